@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import fingerprint, mixing, pii, sharding, toxicity, warc
+from . import decontamination, fingerprint, licenses, mixing, pii, sharding, toxicity, warc
 
 QUERIES = {
+    "op1_licenses": licenses.op1,
     "op2_fingerprints": fingerprint.op2,
     "op3_mixing": mixing.op3,
     "op5_pii": pii.op5,
     "op7_warc": warc.op7,
     "op8_sharding": sharding.op8,
+    "op9_decontamination": decontamination.op9,
     "op10_toxicity": toxicity.op10,
 }
-ORACLES = {"op7_warc": warc.ORACLE}
+ORACLES = {"op7_warc": warc.ORACLE, "op9_decontamination": decontamination.ORACLE}

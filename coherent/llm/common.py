@@ -8,6 +8,7 @@ import operator
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -95,3 +96,8 @@ def range_bucketed(df: DataFrame, key: str, buckets: int, out: str) -> DataFrame
     d = df.withColumn("_key_d", F.coalesce(F.col(key).cast("double"), F.lit(0.0)))
     d = Bucketizer(splits=splits, inputCol="_key_d", outputCol="_key_b").transform(d)
     return d.withColumn(out, F.when(F.col(key).isNull(), len(splits)).otherwise(F.col("_key_b")).cast("int")).drop("_key_d", "_key_b")
+
+
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """`body` of `value`, which is computed once a row however often `body` uses it and wherever the optimizer moves it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
