@@ -10,6 +10,8 @@ import tempfile
 import uuid
 from collections.abc import Callable
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -101,3 +103,8 @@ def range_bucketed(df: DataFrame, key: str, buckets: int, out: str) -> DataFrame
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """`body` of `value`, which is computed once a row however often `body` uses it and wherever the optimizer moves it."""
     return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def whole(texts: pa.Array) -> pa.Array:
+    """`texts` without nulls and in buffers of its own: Arrow's lower-case kernels misread slices of large strings."""
+    return pc.fill_null(texts, "").take(pa.array(range(len(texts)), pa.int64())).cast(pa.large_string())

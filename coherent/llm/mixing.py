@@ -129,3 +129,10 @@ def mix(docs: DataFrame) -> DataFrame:
 
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(common.table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", "source", "copies")
+
+
+def mixture(docs: DataFrame) -> DataFrame:
+    """The rows of `docs` as often as the mix takes them, with all columns; rows of equal doc_id are taken alike."""
+    copies = mix(docs).groupBy(F.col("doc_id").alias("_id")).agg(F.max("copies").alias("_copies")).where("_copies > 0")
+    taken = docs.join(copies, F.col("doc_id").eqNullSafe(F.col("_id")))
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])

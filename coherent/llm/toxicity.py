@@ -36,7 +36,7 @@ SCHEMA = "doc_id long, score double, n_windows long"
 
 def tokens(texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
     """Distinct words (lower case, trimmed of marks), the word number of each token, and each text's first token."""
-    lists = pc.ascii_split_whitespace(pc.utf8_lower(pc.fill_null(texts, "").cast(pa.large_string())))
+    lists = pc.ascii_split_whitespace(pc.utf8_lower(common.whole(texts)))
     flat = lists.flatten().dictionary_encode()
     codes, raw = flat.indices.to_numpy(zero_copy_only=False), flat.dictionary.to_numpy(zero_copy_only=False).tolist()
     trimmed = [w.strip(MARKS) for w in raw]
@@ -354,12 +354,6 @@ def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_windows")
 
 
-def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose score is under 0.5."""
-    net = learn(docs, common.table(spark, sf_dir, "labels"))
-    return keep_clean(docs, net)
-
-
 def keep_clean(docs: DataFrame, net: Network | None) -> DataFrame:
     """The rows of `docs` that score under 0.5, with all columns; texts travel to the scorer and back in one pass."""
     if net is None:
