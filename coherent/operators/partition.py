@@ -12,7 +12,7 @@ def row_counts(mat: DataFrame, m: int | None = None) -> DataFrame:
     c = mat.groupBy("sys", "s").agg(F.count(F.lit(1)).alias("nnz"))
     if m is None:
         return c
-    every = mat.select("sys").distinct().select("sys", F.explode(F.sequence(F.lit(1), F.lit(m))).cast("long").alias("s"))
+    every = mat.select("sys").distinct().select("sys", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(m).cast("long"))).alias("s"))
     return every.join(c, ["sys", "s"], "left").na.fill(0, ["nnz"])
 
 

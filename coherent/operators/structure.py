@@ -39,19 +39,20 @@ def planes(vec: DataFrame, n: int, m: str = "idx") -> DataFrame:
     a, b, c = F.least("j", "k", "c"), None, F.greatest("j", "k", "c")
     b = F.col("j") + F.col("k") + F.col("c") - a - c
     t = t.select(*keep, "fam", pos.alias("pos"), a.alias("a"), b.alias("b"), c.alias("c"))
-    edges = ((F.col("a"), F.col("b")), (F.col("b"), F.col("c")), (F.col("a"), F.col("c")))
-    index = {"S": S, "J": J}
-    options = []
+    number = {0: basis.pair_number(F.col("a"), F.col("b")), 1: basis.pair_number(F.col("b"), F.col("c")), 2: basis.pair_number(F.col("a"), F.col("c"))}
+    at = lambda i: F.when(F.col("pos") == 1, number[i % 3]).when(F.col("pos") == 2, number[(i + 1) % 3]).otherwise(number[(i + 2) % 3])
+    # Per position and family, what the two edges after it may be (in cyclic order: an even permutation).
+    half = basis.pairs(n)
+    options = None
     for p in (1, 2, 3):
-        for fams in TRIANGLE:
-            q, r = p % 3, (p + 1) % 3  # the two edges after it, in cyclic order: an even permutation
-            first, second = index[fams[q]](*edges[q]), index[fams[r]](*edges[r])
-            x = F.lit(fams[4] * basis.ROOT_HALF)
-            value = (x, 0.0) if fams[3] == "alpha" else (0.0, x)
-            back = (-x, 0.0) if fams[3] == "alpha" else (0.0, x)
-            on = (F.col("pos") == p) & (F.col("fam") == fams[p - 1])
-            options += [F.when(on, _row(first, second, *value)), F.when(on, _row(second, first, *back))]
-    triangles = t.select(*keep, F.explode(F.array_compact(F.array(*options))).alias("_x")).select(*keep, "_x.*")
+        for own in "SJ":
+            rows = [(0 if f[p % 3] == "S" else half, 0 if f[(p + 1) % 3] == "S" else half, f[4] * basis.ROOT_HALF * (f[3] == "alpha"), f[4] * basis.ROOT_HALF * (f[3] == "beta")) for f in TRIANGLE if f[p - 1] == own]
+            table = F.array(*[F.struct(F.lit(x).alias("f"), F.lit(y).alias("g"), F.lit(float(u)).alias("u"), F.lit(float(w)).alias("w")) for x, y, u, w in rows])
+            on = (F.col("pos") == p) & (F.col("fam") == own)
+            options = F.when(on, table) if options is None else options.when(on, table)
+    t = t.select(*keep, at(1).alias("p1"), at(2).alias("p2"), F.explode(options).alias("o"))
+    first, second, u, w = F.col("o.f") + F.col("p1"), F.col("o.g") + F.col("p2"), F.col("o.u"), F.col("o.w")
+    triangles = t.select(*keep, F.explode(F.array(_row(first, second, u, w), _row(second, first, -u, w))).alias("_x")).select(*keep, "_x.*")
 
     # Pairs: an off-diagonal element with its partner and each diagonal element that separates or holds its levels.
     j, k, l = F.col("j"), F.col("k"), F.col("l")

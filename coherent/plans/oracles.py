@@ -95,8 +95,8 @@ def drift_sql(h: str) -> str:
 def super_sql(n: int, c: str | None = None) -> str:
     """CTEs C, G, X: the generator on cells from L(op, r, c, re, im, g), or from given cells C."""
     c = c or "C AS (SELECT x.r AS a, y.r AS b, x.c AS c, y.c AS d, sum(x.g * (x.re * y.re + x.im * y.im)) AS re, sum(x.g * (x.im * y.re - x.re * y.im)) AS im FROM L x JOIN L y ON x.op = y.op GROUP BY ALL)"
-    return f"""{c}, G AS (SELECT d AS p, c AS q, sum(re) AS re, sum(im) AS im FROM C WHERE a = b GROUP BY ALL),
-X AS (SELECT a, b, c, d, sum(re) AS re, sum(im) AS im FROM (SELECT a, b, c, d, re, im FROM C UNION ALL SELECT p, i, q, i, -re / 2, -im / 2 FROM G, lev UNION ALL SELECT i, q, i, p, -re / 2, -im / 2 FROM G, lev) GROUP BY ALL)"""
+    return f"""{c}, sink AS (SELECT d AS p, c AS q, sum(re) AS re, sum(im) AS im FROM C WHERE a = b GROUP BY ALL),
+X AS (SELECT a, b, c, d, sum(re) AS re, sum(im) AS im FROM (SELECT a, b, c, d, re, im FROM C UNION ALL SELECT p, i, q, i, -re / 2, -im / 2 FROM sink, lev UNION ALL SELECT i, q, i, p, -re / 2, -im / 2 FROM sink, lev) GROUP BY ALL)"""
 
 
 RELAX = """(SELECT s, n, sum(re * x - im * y) AS x FROM (SELECT n, a, b, sum(X.re * e.re - X.im * e.im) AS re, sum(X.re * e.im + X.im * e.re) AS im FROM X JOIN (SELECT idx AS n, r AS c, c AS d, re, im FROM elem) e USING (c, d) GROUP BY n, a, b)

@@ -32,6 +32,11 @@ def query(name: str, oracle: str | None = None):
     return add
 
 
+def seconds(ts: Column) -> Column:
+    """Seconds since 1970, of timestamps with or without a zone."""
+    return F.unix_micros(ts.cast("timestamp")) / 1e6
+
+
 def sparse(df: DataFrame, *keys: str | Column, values: tuple[str, ...] = ("x",)) -> DataFrame:
     """Nonzeros above the tolerance, rounded."""
     kept = None
@@ -111,7 +116,7 @@ def expand_jump(spark, d):
     return _vec(expand.expand(l0, n))
 
 
-@query("prefix_d", _vec_sql(f"{o.elem(25)}, {o.dimer_cells(25, 'nation', 'n_nationkey')}", "h0").replace("WHERE abs", "WHERE idx > 600 AND abs", 1).replace("abs(re) > 1e-9 OR abs(im) > 1e-9", "greatest(abs(re), abs(im)) > 1e-9"))
+@query("prefix_d", _vec_sql(f"{o.elem(25)}, {o.dimer_cells(25, 'nation', 'n_nationkey')}", "h0").replace(") WHERE abs(re) > 1e-9 OR abs(im) > 1e-9", ") WHERE idx > 600 AND (abs(re) > 1e-9 OR abs(im) > 1e-9)"))
 def prefix_d(spark, d):
     h0, *_ = workloads.dimer(spark, d, "nation")
     return _vec(expand.expand(h0, 25)).where("idx > 600")
@@ -268,7 +273,7 @@ def drift_at_times(spark, d):
 
 @query("square_wave", f"SELECT event_id, {r6('-1.0 + -1.5 * CASE WHEN (epoch(ts) % 86400) < 43200 THEN 1.0 ELSE -1.0 END')} AS eps, {r6('-1.0 - -1.5 * CASE WHEN (epoch(ts) % 86400) < 43200 THEN 1.0 ELSE -1.0 END')} AS minus FROM events")
 def square_wave(spark, d):
-    t = F.col("ts").cast("double")
+    t = seconds(F.col("ts"))
     return io.table(spark, d, "events").select("event_id", c6(models.square_wave(t, -1.0, -1.5, 86400.0)).alias("eps"), c6(models.square_wave(t, -1.0, -1.5, 86400.0, "minus_first")).alias("minus"))
 
 
@@ -423,19 +428,19 @@ def local_eigen(spark, d):
     return spectrum.eigenvalues(assemble.relaxation_from_rates(r, 4), 15)
 
 
-GRID = "p AS (SELECT floor((embedding[1]::DOUBLE + 4) / 0.08)::INT AS bx, floor((embedding[2]::DOUBLE + 4) / 0.08)::INT AS by FROM embeddings)"
+GRID = "p AS (SELECT floor((embedding[1]::DOUBLE + 4) / 0.08)::INT AS bx, floor((embedding[2]::DOUBLE + 4) / 0.08)::INT AS cy FROM embeddings)"
 
 
 def _points(spark, d):
     return io.table(spark, d, "embeddings").select(F.lit("points").alias("sys"), F.col("embedding")[0].cast("double").alias("re"), F.col("embedding")[1].cast("double").alias("im"))
 
 
-@query("density_grid", f"WITH {GRID} SELECT bx, by, count(*) AS n, {r6('count(*) / (SELECT count(*) FROM p)::DOUBLE / (0.08 * 0.08)')} AS density FROM p WHERE bx BETWEEN 0 AND 99 AND by BETWEEN 0 AND 99 GROUP BY bx, by")
+@query('density_grid', f'''WITH {GRID} SELECT bx, cy AS "by", count(*) AS n, {r6('count(*) / (SELECT count(*) FROM p)::DOUBLE / (0.08 * 0.08)')} AS density FROM p WHERE bx BETWEEN 0 AND 99 AND cy BETWEEN 0 AND 99 GROUP BY bx, cy''')
 def density_grid(spark, d):
     return spectrum.density(_points(spark, d), bounds=(-4.0, 4.0, -4.0, 4.0)).select("bx", "by", "n", c6(F.col("density")).alias("density"))
 
 
-@query("grid_area_norm", f"WITH {GRID} SELECT 10000::BIGINT AS cells, {r6('(SELECT count(*) FROM p WHERE bx BETWEEN 0 AND 99 AND by BETWEEN 0 AND 99) / (SELECT count(*) FROM p)::DOUBLE')} AS mass")
+@query("grid_area_norm", f"WITH {GRID} SELECT 10000::BIGINT AS cells, {r6('(SELECT count(*) FROM p WHERE bx BETWEEN 0 AND 99 AND cy BETWEEN 0 AND 99) / (SELECT count(*) FROM p)::DOUBLE')} AS mass")
 def grid_area_norm(spark, d):
     g = spectrum.density(_points(spark, d), bounds=(-4.0, 4.0, -4.0, 4.0), empty=True)
     return g.agg(F.count(F.lit(1)).alias("cells"), c6(F.sum("density") * 0.08 * 0.08).alias("mass"))
@@ -761,7 +766,7 @@ def props_drive(spark, d):
 
 @query("event_phase", f"SELECT event_id, {r6('(epoch(ts) % 86400) / 86400.0')} AS phase FROM events")
 def event_phase(spark, d):
-    return io.table(spark, d, "events").select("event_id", c6(F.pmod(F.col("ts").cast("double"), F.lit(86400.0)) / 86400.0).alias("phase"))
+    return io.table(spark, d, "events").select("event_id", c6(F.pmod(seconds(F.col("ts")), F.lit(86400.0)) / 86400.0).alias("phase"))
 
 
 @query("drive_tumbling", f"SELECT time_bucket(INTERVAL 1 DAY, ts) AS t0, count(*) AS n, {r6('avg(value)')} AS eps FROM events GROUP BY 1")
@@ -782,7 +787,7 @@ def drive_session(spark, d):
 @query("drive_moving_avg", f"WITH t AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS t0, avg(value) AS eps FROM events GROUP BY 1) SELECT t0, {r6('avg(eps) OVER (ORDER BY t0 RANGE BETWEEN INTERVAL 2 DAY PRECEDING AND CURRENT ROW)')} AS eps FROM t")
 def drive_moving_avg(spark, d):
     t = drives.tumbling(io.table(spark, d, "events"))
-    w = Window.orderBy(F.col("t0").cast("long")).rangeBetween(-2 * 86400, 0)  # a row a day
+    w = Window.orderBy(seconds(F.col("t0")).cast("long")).rangeBetween(-2 * 86400, 0)  # a row a day
     return t.select("t0", c6(F.avg("eps").over(w)).alias("eps"))
 
 
@@ -795,7 +800,7 @@ def drive_intervals(spark, d):
 @query("asof_drive", "SELECT e.event_id, max_by(s.value, (s.ts, s.event_id)) AS eps FROM events e JOIN events s ON s.event_type = 'signup' AND s.user_id = e.user_id AND s.ts <= e.ts GROUP BY e.event_id")
 def asof_drive(spark, d):
     e = io.table(spark, d, "events")
-    w = Window.partitionBy("user_id").orderBy(F.col("ts").cast("double")).rangeBetween(Window.unboundedPreceding, 0)
+    w = Window.partitionBy("user_id").orderBy(seconds(F.col("ts"))).rangeBetween(Window.unboundedPreceding, 0)
     last = F.max(F.when(F.col("event_type") == "signup", F.struct("ts", "event_id", "value"))).over(w)
     return e.select("event_id", last["value"].alias("eps")).where("eps IS NOT NULL")
 
