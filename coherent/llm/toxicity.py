@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SAMPLE, LONGEST, WINDOW, STRIDE, HIDDEN, WORD_DIM, BINS, EPOCHS, SEED = 4000, 20_000, 32, 24, 8, 4, 1 << 15, 6, 7
+SAMPLE, LONGEST, WINDOW, STRIDE, HIDDEN, WORD_DIM, BINS, EPOCHS, SEED = 3000, 20_000, 32, 24, 8, 4, 1 << 15, 6, 7
 STATS, GRAMS = 3, (4, 6)
 MARKS = " \t\n!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…–—¿¡|"
 SCHEMA = "doc_id long, score double, n_windows long"
@@ -74,7 +74,7 @@ def grams(words: list[str]) -> list[tuple[np.ndarray, np.ndarray]]:
         count = length - n + 1
         spans = np.concatenate([[0], np.cumsum(count)])
         at = np.arange(spans[-1]) + np.repeat(begin[:-1] - spans[:-1], count)
-        out.append(((h[at] % np.uint32(BINS)).astype(np.int64), spans))
+        out.append(((h[at] % np.uint32(BINS)).astype(np.int32), spans))
     return out
 
 
@@ -113,6 +113,10 @@ class Network:
 
     def inputs(self, lists: list[tuple[np.ndarray, np.ndarray]], ids: np.ndarray, odds: np.ndarray, gram_odds: np.ndarray) -> np.ndarray:
         """One row a distinct word; `lists` has its n-grams, `ids` its word bin, `odds` its log odds."""
+        most = 20_000  # words at a time, for memory
+        if len(ids) > most:
+            cut = [np.arange(i, min(i + most, len(ids))) for i in range(0, len(ids), most)]
+            return np.concatenate([self.inputs([(b[s[c[0]] : s[c[-1] + 1]], s[c[0] : c[-1] + 2] - s[c[0]]) for b, s in lists], ids[c], odds[c], gram_odds) for c in cut])
         x = np.empty((len(ids), 2 * WORD_DIM + STATS), np.float32)
         width = sum(np.diff(spans) for _, spans in lists).astype(np.float32)
         x[:, :WORD_DIM] = self.w["word"][ids]
@@ -230,31 +234,30 @@ def fit(texts: list[str], y: np.ndarray, epochs: int = EPOCHS) -> Network | None
     net = Network(rng)
     words, word, starts = tokens(pa.array(texts))
     lists, ids = grams(words), word_bins(words)
-    doc_of = np.repeat(np.arange(len(y)), np.diff(starts))
-    pair = np.unique(doc_of * len(words) + word)  # each word once a document
-    p_doc, p_word = pair // len(words), pair % len(words)
-    gram_pairs = []  # each n-gram bin once a document
-    for bins, spans in lists:
-        width = np.diff(spans)[p_word]
-        inner = np.arange(width.sum()) - np.repeat(np.cumsum(width) - width, width)
-        gram_pairs.append(np.unique(np.repeat(p_doc, width) * BINS + bins[np.repeat(spans[p_word], width) + inner]))
-    gram_pair = np.unique(np.concatenate(gram_pairs))
-    g_doc, g_bin = gram_pair // BINS, gram_pair % BINS
-    del gram_pairs, gram_pair
-
-    def stats(docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        inside = np.zeros(len(y), bool)
-        inside[docs] = True
-        n = int(y[docs].sum()), int((1 - y[docs]).sum())
-        out = []
-        for d, k, size in ((p_doc, p_word, len(words)), (g_doc, g_bin, BINS)):
-            pos, neg = (np.bincount(k[inside[d] & (y[d] == c)], minlength=size) for c in (1, 0))
-            out.append(_odds(pos, neg, *n))
-        return out[0], out[1]
-
     fold = rng.permutation(len(y)) % 3
-    crossed = [stats(np.flatnonzero(fold != f)) for f in range(3)]
-    odds, net.gram_odds = stats(np.arange(len(y)))
+    # Documents of each fold and class that hold a word, or an n-gram bin; a few hundred documents at a time.
+    has_word, has_gram = np.zeros((3, 2, len(words)), np.int32), np.zeros((3, 2, BINS), np.int32)
+    for i in range(0, len(y), 256):
+        group = np.arange(i, min(i + 256, len(y)))
+        doc_of = np.repeat(group, np.diff(starts)[group])
+        pair = np.unique(doc_of * len(words) + word[starts[group[0]] : starts[group[-1] + 1]])
+        p_doc, p_word = pair // len(words), pair % len(words)
+        np.add.at(has_word, (fold[p_doc], y[p_doc], p_word), 1)
+        found = []
+        for bins, spans in lists:
+            width = np.diff(spans)[p_word]
+            inner = np.arange(width.sum()) - np.repeat(np.cumsum(width) - width, width)
+            found.append(np.unique(np.repeat(p_doc, width) * BINS + bins[np.repeat(spans[p_word], width) + inner]))
+        both = np.unique(np.concatenate(found))
+        np.add.at(has_gram, (fold[both // BINS], y[both // BINS], both % BINS), 1)
+
+    def stats(folds: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        inside = np.isin(fold, folds)
+        n = int(y[inside].sum()), int((1 - y[inside]).sum())
+        return tuple(_odds(h[folds, 1].sum(axis=0), h[folds, 0].sum(axis=0), *n) for h in (has_word, has_gram))
+
+    crossed = [stats([g for g in range(3) if g != f]) for f in range(3)]
+    odds, net.gram_odds = stats([0, 1, 2])
     net.word_odds = {w: float(v) for w, v in zip(words, odds, strict=True) if abs(v) > 0.05}
     doc, first, last = windows(starts)
     lead = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=len(y)))])
