@@ -33,7 +33,8 @@ def expand(op: DataFrame, n: int) -> DataFrame:
     norm = F.sqrt(l * (l + 1.0))
     diag = whole.select(*key, "a", *[((F.sum(c).over(before) - l * F.col(c)) / norm).alias(c) for c in ("re", "im")]).where("a > 1")
     diag = diag.select(*key, basis.index_of("D", l, l, n).alias("idx"), "re", "im")
-    return pairs.unionByName(diag).where((F.abs("re") > TOL) | (F.abs("im") > TOL))
+    # The result is small (at most n^2 rows an operator) and every plane branch reads it: keep it. Lost blocks are recomputed.
+    return pairs.unionByName(diag).where((F.abs("re") > TOL) | (F.abs("im") > TOL)).coalesce(8).persist()
 
 
 def traces(op: DataFrame) -> DataFrame:

@@ -35,7 +35,7 @@ def imbalance_of(rho: DataFrame, n: int) -> DataFrame:
 def observables(rho: DataFrame) -> DataFrame:
     """sys, values: a map of named observables."""
     own = rho.groupBy("sys").agg(F.sum(F.when(F.col("row") == F.col("col"), F.col("re")).otherwise(0.0)).alias("trace"), F.sum(F.expr("re*re+im*im")).alias("purity"))
-    return own.select("sys", F.map_from_entries(F.array(*[F.struct(F.lit(c), F.col(c)) for c in ("trace", "purity")])).alias("values"))
+    return own.select("sys", F.map_from_entries(F.array(*[F.struct(F.lit(c).alias("k"), F.col(c).alias("v")) for c in ("trace", "purity")])).alias("values"))
 
 
 def nnz(mat: DataFrame) -> DataFrame:

@@ -26,7 +26,7 @@ def flow(spark: SparkSession, d: str, level: str = "region") -> DataFrame:
         x = x.select(F.col("c_nationkey").alias("row"), F.col("s_nationkey").alias("col"), "v")
     top = x.agg(F.max("v").alias("top"))
     name = "flow5" if level == "region" else "flow25"
-    return x.crossJoin(F.broadcast(top)).select(F.lit(name).alias("sys"), (F.col("row") + 1).cast("int").alias("row"), (F.col("col") + 1).cast("int").alias("col"), (F.col("v") / F.col("top")).alias("re"), F.lit(0.0).alias("im"))
+    return x.crossJoin(F.broadcast(top)).select(F.lit(name).alias("sys"), (F.col("row") + 1).cast("int").alias("row"), (F.col("col") + 1).cast("int").alias("col"), (F.col("v") / F.col("top")).alias("re"), F.lit(0.0).alias("im")).coalesce(1).persist()
 
 
 def flow_hamiltonian(x: DataFrame) -> DataFrame:
