@@ -106,7 +106,7 @@ def _by_panels(system: DataFrame, m: int, h: float, parts: list[tuple[int, float
 
     One system at a time: the vector (m doubles, bounded by the model) is what tasks and driver exchange.
     """
-    spark, out = system.sparkSession, []
+    spark, out, system = system.sparkSession, [], system.persist()
     for (name,) in system.select("sys").distinct().collect():
         own = system.where(F.col("sys") == name)
         rows = own.where("part IN ('Q0','Q1','R')").groupBy("s", "part").agg(F.collect_list(F.struct("n", "x")).alias("cells")).withColumn("panel", F.col("s") % panels).repartition(panels, "panel").persist()
@@ -139,24 +139,30 @@ def _by_panels(system: DataFrame, m: int, h: float, parts: list[tuple[int, float
                 done += 1
         rows.unpersist()
         out += [(name, done, done * h, i + 1, float(x)) for i, x in enumerate(v)]
+    system.unpersist()
     return spark.createDataFrame(out, "sys string, step int, t double, idx long, x double")
 
 
 def _by_plans(system: DataFrame, m: int, steps: int, h: float, parts: list[tuple[int, float]]) -> DataFrame:
-    """Joins and sums only, four products a step: for teaching and a few tens of steps."""
-    v = system.where("part = 'v'").select("sys", F.col("s").alias("idx"), "x")
-    k = system.where("part = 'k'").select("sys", F.col("s").alias("idx"), "x")
+    """Joins and sums only, four products a step: for teaching and a few tens of steps.
+
+    Each stage's vector (m values a system) goes through the driver, so plans stay one product deep.
+    """
+    system = system.persist()
+    fixed = lambda d: d.sparkSession.createDataFrame(d.select("sys", "idx", "x").collect(), "sys string, idx long, x double")
+    v = fixed(system.where("part = 'v'").select("sys", F.col("s").alias("idx"), "x"))
+    k = fixed(system.where("part = 'k'").select("sys", F.col("s").alias("idx"), "x"))
     add = lambda *terms: _sum([d.select("sys", "idx", (F.col("x") * w).alias("x")) for d, w in terms])
     for count, eps in parts:
         a = system.where("part IN ('Q0','Q1','R')").select("sys", "s", "n", F.when(F.col("part") == "Q1", F.col("x") * eps).otherwise(F.col("x")).alias("x"))
-        f = lambda u, a=a: add((linalg.matvec(a, u).withColumnRenamed("s", "idx"), 1.0), (k, 1.0))
+        f = lambda u, a=a: fixed(add((linalg.matvec(a, u).withColumnRenamed("s", "idx"), 1.0), (k, 1.0)))
         for _ in range(count):
             s1 = f(v)
             s2 = f(add((v, 1.0), (s1, h / 2)))
             s3 = f(add((v, 1.0), (s2, h / 2)))
             s4 = f(add((v, 1.0), (s3, h)))
-            v = add((v, 1.0), (s1, h / 6), (s2, h / 3), (s3, h / 3), (s4, h / 6))
-            v = v.sparkSession.createDataFrame(v.collect(), v.schema)  # one vector of m values a system
+            v = fixed(add((v, 1.0), (s1, h / 6), (s2, h / 3), (s3, h / 3), (s4, h / 6)))
+    system.unpersist()
     return v.select("sys", F.lit(steps).alias("step"), F.lit(steps * h).alias("t"), "idx", "x")
 
 

@@ -46,7 +46,7 @@ def test_decaying_qubit(spark):
     assert r == pytest.approx({(1, 1): -gamma / 2, (2, 2): -gamma / 2, (3, 3): -gamma})
     k = as_dict(assemble.inhomogeneity(lv, w, 2), "s")
     assert k == pytest.approx({3: gamma / math.sqrt(2)})
-    system = integrate.bundle(assemble.drift(hv, 2), assemble.relaxation(lv, w, 2), assemble.inhomogeneity(lv, w, 2), expand.initial_vector(expand.pure(spark, "qubit", 2), 2))
+    system = integrate.bundle(assemble.drift(hv, 2), assemble.relaxation(lv, w, 2), assemble.inhomogeneity(lv, w, 2), expand.initial_vector(expand.pure(spark, "qubit", 2), 2)).persist()
     assert as_dict(integrate.steady_state(system, 3), "idx")[3] == pytest.approx(1 / math.sqrt(2))
     got = {s: as_dict(integrate.rk4(system, 3, 4, 0.4, strategy=s), "idx") for s in integrate.STRATEGIES}
     for s in integrate.STRATEGIES[1:]:
