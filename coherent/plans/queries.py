@@ -580,9 +580,9 @@ def _rho_sql(steps: int, period: float) -> str:
     return _rk4_sql(steps, period) + f"""SELECT row, col, {r6('re')} AS re, {r6('im')} AS im FROM (SELECT a.i AS row, b.i AS col, v[(a.i - 1) * 6 + (b.i - 1) * 2 + 1] AS re, v[(a.i - 1) * 6 + (b.i - 1) * 2 + 2] AS im FROM it, lev a, lev b WHERE k = {steps}) WHERE abs(re) > 1e-9 OR abs(im) > 1e-9"""
 
 
-@query("rk4_short", _rk4_vec(3, 0.3))
+@query("rk4_short", _rk4_vec(2, 0.2))
 def rk4_short(spark, d):
-    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 3, 0.3, strategy="step"), "idx")
+    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 2, 0.2, strategy="step"), "idx")
 
 
 @query("rk4_grouped", _rk4_vec(40, 2.0))
