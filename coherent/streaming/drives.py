@@ -42,9 +42,13 @@ def propagated(events: DataFrame, a0: np.ndarray, a1: np.ndarray, k: np.ndarray,
     """user_id, events, t, x: per user, the vector v carried from event to event under the drive's last value.
 
     State is v, the last value and the last time; late events (before the last time) only set the drive. Steps of
-    `hours_per_step` advance by the collapsed map. Works on a stream with a watermark and on a batch.
+    `hours_per_step` advance by the collapsed map. A stream gives a row for each user of each trigger, a batch one for each
+    user: its tasks read sorted events and hold one user's state at a time. Events without a time are left out; a null user is a user.
     """
     m = len(k)
+    schema = "user_id long, events long, t double, x array<double>"
+    fresh = ([0.0] * m, 0.0, -1.0, 0)
+    timed = events.where(F.col("ts").isNotNull())
 
     def advance(v: np.ndarray, eps: float, hours: float) -> np.ndarray:
         steps = int(hours // hours_per_step)
@@ -53,16 +57,42 @@ def propagated(events: DataFrame, a0: np.ndarray, a1: np.ndarray, k: np.ndarray,
         power = np.linalg.matrix_power(integrate.step_map(a0 + eps * a1, k, 0.05), steps)
         return (power @ np.append(v, 1.0))[:m]
 
-    def run(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        v, eps, last, seen = state.get if state.exists else ([0.0] * m, 0.0, -1.0, 0)
+    def carried(state: tuple, rows: pd.DataFrame) -> tuple:
+        v, eps, last, seen = state
         v = np.array(v)
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         for ts, value in zip(rows["ts"], rows["value"], strict=True):
             t = ts.timestamp() / 3600
             if last >= 0 and t > last:
                 v = advance(v, eps, t - last)
             last, eps, seen = max(last, t), float(value), seen + 1
-        state.update((v.tolist(), eps, last, seen))
-        yield pd.DataFrame({"user_id": [key[0]], "events": [seen], "t": [last], "x": [v.tolist()]})
-
-    return events.groupBy("user_id").applyInPandasWithState(run, "user_id long, events long, t double, x array<double>", "v array<double>, eps double, last double, seen long", "update", "NoTimeout")
+        return v.tolist(), eps, last, seen
+
+    def table(ended: list[tuple]) -> pd.DataFrame:
+        users, states = [u for u, _ in ended], [s for _, s in ended]
+        return pd.DataFrame({"user_id": pd.array(users, "Int64"), "events": [s[3] for s in states], "t": [s[2] for s in states], "x": [s[0] for s in states]})
+
+    def on_trigger(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        now = carried(state.get if state.exists else fresh, pd.concat(list(frames)).sort_values(["ts", "event_id"]))
+        state.update(now)
+        yield table([(key[0], now)])
+
+    def on_sorted(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        user, state = None, None
+        number = lambda u: int(u) if u else None
+        for frame in frames:
+            ended = []
+            for u, rows in frame.groupby("user", sort=False):
+                if u != user:
+                    if user is not None:
+                        ended.append((number(user), state))
+                    user, state = u, fresh
+                state = carried(state, rows)
+            if ended:
+                yield table(ended)
+        if user is not None:
+            yield table([(number(user), state)])
+
+    if events.isStreaming:
+        return timed.groupBy("user_id").applyInPandasWithState(on_trigger, schema, "v array<double>, eps double, last double, seen long", "update", "NoTimeout")
+    keyed = timed.select(F.coalesce(F.col("user_id").cast("string"), F.lit("")).alias("user"), "ts", "event_id", "value")
+    return keyed.repartition("user").sortWithinPartitions("user", "ts", "event_id").mapInPandas(on_sorted, schema)

@@ -1,6 +1,7 @@
 """Hand values, invariants, equal routes and strategies, hostile input."""
 
 import math
+import uuid
 
 import numpy as np
 import pytest
@@ -173,7 +174,7 @@ def test_streams_equal_batches(spark, tmp_path):
     stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(src)
 
     def run(df, mode):
-        name = f"t{abs(hash((str(tmp_path), mode, len(df.columns))))}"
+        name = f"t{uuid.uuid4().hex}"
         q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
         q.awaitTermination(120)
         return spark.table(name)
@@ -182,7 +183,17 @@ def test_streams_equal_batches(spark, tmp_path):
     want = drives.tumbling(events)
     assert sorted((r.t0, r.n) for r in got.collect()) == sorted((r.t0, r.n) for r in want.collect())
     a0, a1, k = -0.1 * np.eye(2), np.array([[0.0, 0.01], [-0.01, 0.0]]), np.array([0.1, 0.0])
-    last = run(drives.propagated(stream, a0, a1, k), "update").groupBy("user_id").agg(F.max("events").alias("n"))
+    streamed = run(drives.propagated(stream, a0, a1, k), "update")
+    batch = drives.propagated(events, a0, a1, k)
+    events.coalesce(1).write.parquet(f"{src}-ordered")  # one trigger: no event is late
+    ordered = as_dict(run(drives.propagated(spark.readStream.schema(events.schema).parquet(f"{src}-ordered"), a0, a1, k), "update"), "user_id", value="x")
+    want = as_dict(batch, "user_id", value="x")
+    assert ordered.keys() == want.keys() and all(ordered[u] == pytest.approx(want[u]) for u in want)
+    odd = events.select("event_id", F.when(F.col("user_id") % 2 == 0, F.col("user_id")).alias("user_id"), F.when(F.col("event_id") % 3 > 0, F.col("ts")).alias("ts"), "value")
+    counts = odd.where("ts is not null").groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+    assert as_dict(drives.propagated(odd, a0, a1, k), "user_id", value="events") == as_dict(counts, "user_id", value="n")
+    assert drives.propagated(events.where("1 = 0"), a0, a1, k).count() == 0
+    last = streamed.groupBy("user_id").agg(F.max("events").alias("n"))
     assert as_dict(last, "user_id", value="n") == as_dict(events.groupBy("user_id").agg(F.count(F.lit(1)).alias("n")), "user_id", value="n")
 
 
