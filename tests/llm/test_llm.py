@@ -198,6 +198,27 @@ def test_licenses(docs, rows, empty):
     assert len(licenses.rules()) > 200 and licenses.scan(empty).count() == 0
 
 
+def test_license_detections_against_brute_force(spark):
+    rng = random.Random(11)
+    parts = ["Licensed under the Apache License, Version 2.0", "SPDX-License-Identifier: MIT", "the GPL v2", "released under the terms of the GNU General Public License version 3", "MIT License; mit license", "Copyright (c) 2019 A. B.",
+             "All rights reserved", "into the public domain", "CC BY-SA license", "creative commons attribution sharealike", "BSD 3-Clause License", "zlib", "proprietary and confidential", "é ünder", "commit mit", "license", "gpl or later"]
+    texts = [rng.choice([" ", "\n", ". "]).join(rng.choice(parts) for _ in range(rng.randrange(1, 9))) for _ in range(60)]
+    got = by_id(licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")))
+    found = 0
+    for i, text in enumerate(texts):
+        low = text.translate(LOWER)
+        norm = f" {re.sub(licenses.GAP, ' ', low).strip(' ')} "
+        hits = {(m.start(), -m.end(), -prio, label) for label, key, rule, prio in licenses.rules() if key in norm for m in re.finditer(rule, norm, re.ASCII)}
+        hits = sorted(hits) if any(x in low for x in licenses.STEMS) else []
+        want = []
+        for n, (s, e, prio, label) in enumerate(hits):
+            if not any(e2 <= e and p2 <= prio for _, e2, p2, _ in hits[:n]):
+                want.append((norm[:s].count(" "), norm[:-e].count(" "), -prio, label))
+        assert [(d.s, d.e, d.prio, d.label) for d in got[i].detections] == want, text
+        found += len(want)
+    assert found > 100
+
+
 def test_decontamination(spark, docs, empty):
     item = "If Anna buys 12 apples and then 7 pears for 3 km of road, how many fruits does she carry home"
     bench = spark.createDataFrame([(1, item), (2, "too short"), (3, None)], "item_id long, text string")
