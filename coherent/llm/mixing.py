@@ -135,5 +135,6 @@ def mixture(docs: DataFrame) -> DataFrame:
     """The rows of `docs` as often as the mix takes them, with all columns; rows of equal doc_id are taken alike."""
     copies = mix(docs).groupBy(F.col("doc_id").alias("_id")).agg(F.max("copies").alias("_copies")).where("_copies > 0")
     # The side of the copies grows with the documents: joined by a merge at every size, never broadcast.
-    taken = docs.join(copies.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")))
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])
+    taken = docs.join(copies.hint("merge"), docs["doc_id"].eqNullSafe(copies["_id"]))
+    own = [docs[f"`{c}`"] for c in docs.columns]
+    return taken.select(*own, F.explode(F.sequence(F.lit(1), copies["_copies"])).alias("_copy")).select(*own)

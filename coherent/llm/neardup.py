@@ -233,4 +233,4 @@ def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
 def keep_one(docs: DataFrame) -> DataFrame:
     """The rows of `docs` whose document its group keeps, with all columns."""
     gone = common.durable(group(docs).where("not kept").select(F.col("doc_id").alias("_gone")).distinct(), "near-duplicates")
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

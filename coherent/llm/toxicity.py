@@ -12,7 +12,8 @@ Only texts are inputs of a score.
 
 Edge cases: null, empty and blank texts have one window without words and get the score of the bias alone; a null
 doc_id counts as the empty string for the split; without labels of both classes every score is 0; labels of unknown
-documents and null labels are ignored; an empty table gives an empty result; other columns are ignored.
+documents and null labels are ignored; of a document's differing labels the larger counts, of its differing texts the
+first in code-point order; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -321,10 +322,10 @@ def fit(texts: list[str], y: np.ndarray, epochs: int = EPOCHS) -> Network | None
 def learn(docs: DataFrame, labels: DataFrame) -> Network | None:
     """Fit on the bounded sample of labelled rows (see the module's text)."""
     key = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
-    own = labels.where((F.crc32(key) % 5 != 0) & F.col("toxic").isin(0, 1)).select(F.col("doc_id").alias("_l"), "toxic", F.xxhash64(key).alias("_h"))
-    own = own.dropDuplicates(["_l"]).orderBy("_h", "_l").limit(SAMPLE)
-    got = docs.where(F.length("text") <= LONGEST).join(F.broadcast(own), F.col("doc_id") == F.col("_l")).select("_h", "doc_id", "text", "toxic").toArrow().to_pandas()
-    got = got.drop_duplicates("doc_id").sort_values(["_h", "doc_id"], kind="stable")
+    own = labels.where((F.crc32(key) % 5 != 0) & F.col("toxic").isin(0, 1)).groupBy(F.col("doc_id").alias("_l"), F.xxhash64(key).alias("_h")).agg(F.max("toxic").alias("toxic"))
+    own = own.orderBy("_h", "_l").limit(SAMPLE)
+    got = docs.where(F.length("text") <= LONGEST).select("doc_id", "text").join(F.broadcast(own), F.col("doc_id") == F.col("_l")).select("_h", "doc_id", "text", "toxic").toArrow().to_pandas()
+    got = got.sort_values(["_h", "doc_id", "text"], kind="stable").drop_duplicates("doc_id")
     return fit(got["text"].tolist(), got["toxic"].to_numpy())
 
 
@@ -367,7 +368,9 @@ def keep_clean(docs: DataFrame, net: Network | None) -> DataFrame:
         for whole in batches:
             for at in range(0, whole.num_rows, 512):
                 part = whole.slice(at, 512)
-                s, _ = shared.value.score(part.column("text"))
+                s, _ = shared.value.score(part.column(text))
                 yield part.filter(pa.array(s < 0.5))
 
-    return docs.mapInArrow(run, docs.schema)
+    # By position: Spark's Arrow mapping does not take every column name.
+    text, plain = docs.columns.index("text"), docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
+    return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)

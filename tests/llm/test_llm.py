@@ -258,3 +258,28 @@ def test_pipeline_stages(spark, tmp_path, docs):
         if name != "sharding":
             assert d.columns == before.columns
     assert d.count() == before.count() and set(r.shard for r in d.select("shard").collect()) <= set(range(16))
+
+
+def test_stages_with_clashing_columns_and_repeated_rows(spark, tmp_path):
+    import corpus_pipeline
+
+    names = ("_copies", "_copy", "_id", "_gone", "_bad", "_l", "_h", "toxic", "node", "root", "a.b")
+    rng = random.Random(8)
+    texts = [" ".join(rng.choice(WORDS) for _ in range(rng.randrange(1, 80))) for _ in range(40)]
+    rows = [(i, t, "en", None, len(t)) for i, t in enumerate(texts)] + [(3, texts[3], "en", "s", 1)] * 3 + [(None, None, None, None, None)] * 2
+    rows.append((7, "another text of the same number", "en", "s", 1))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.select("*", *[F.lit(1).alias(c) for c in names])
+    labels = [(i, 1, int(i % 3 == 0)) for i in range(40)]
+    for n, (folder, own) in enumerate({"a": labels, "b": labels[::-1]}.items()):
+        own = own + [(4, 0, 1), (None, 1, 1), (5, 1, None), (999, 1, 1)] if n else [(4, 0, 1), (None, 1, 1), (5, 1, None), (999, 1, 1)] + own
+        spark.createDataFrame(own, "doc_id long, quality int, toxic int").coalesce(1).write.parquet(f"{tmp_path}/{folder}/labels.parquet")
+        spark.createDataFrame([(1, "no such passage in any of these documents at all")], "item_id long, text string").write.parquet(f"{tmp_path}/{folder}/benchmark.parquet")
+    for name, stage in corpus_pipeline.STAGES:
+        got = stage(spark, docs, f"{tmp_path}/a")
+        assert name == "sharding" or got.columns == docs.columns, name
+        assert got.count() > 0
+        none = stage(spark, docs.where("1 = 0"), f"{tmp_path}/a")
+        assert none.count() == 0 and none.columns == got.columns
+    scores = [toxicity.score(docs, toxicity.learn(docs, common.table(spark, f"{tmp_path}/{f}", "labels"))).orderBy("doc_id", "score").collect() for f in "ab"]
+    assert scores[0] == scores[1]
