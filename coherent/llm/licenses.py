@@ -2,7 +2,8 @@
 
 A text is lower-cased (A-Z) and normalised to its words with single spaces. Each family of licenses has names; every name
 yields rules for its SPDX tag, for prose that grants under it, and for a plain mention, in this order of priority. A rule
-is tried only where its keyword occurs in the normalised text (and all of them only where one of a few stems does).
+is tried only where its keyword occurs in the normalised text, and all of them only where one of `STEMS` does: every match of
+every rule holds both, so neither leaves out a match.
 Detections are intervals; one that lies within another of at least its priority is suppressed.
 
 The base phrases are counted on the words themselves: every place where a phrase's words stand one after the other.
@@ -21,8 +22,9 @@ from . import common
 TOKEN = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 BASE = (("apache", ("apache", "license")), ("gpl", ("general", "public", "license")), ("mit", ("mit", "license")))
-#: A text without any of these has no signature.
-STEMS = ("licen", "copyright", "public domain", "all rights reserved", "copyleft", "creative commons", "gpl")
+#: A text without any of these has no signature: a tag and a mention hold "licen" or "version", a grant one of its verbs, and
+#: each of `OTHERS` a word of its own. Single words, as the text has other gaps than the normalised one.
+STEMS = ("licen", "version", "released", "distribut", "available", "published", "covered", "provided", "governed", "domain", "reserved", "proprietary", "copyright", "copyleft")
 #: label: names as they read after normalising; the first words of each name are its keyword.
 FAMILIES: dict[str, tuple[str, ...]] = {
     "mit": ("mit", "expat", "x11"), "mit-0": ("mit 0", "mit no attribution"), "isc": ("isc", "internet systems consortium"),

@@ -219,6 +219,19 @@ def test_license_detections_against_brute_force(spark):
     assert found > 100
 
 
+def test_licenses_without_a_license_word(spark):
+    parts = ["Distributed under the terms of the MPL 2.0", "available under MIT", "Released under the Apache 2.0 terms", "released under the BSD 3-Clause", "Provided under CC BY-SA 4.0", "covered by the EPL 2.0",
+             "governed by\nthe Zlib terms", "published with Expat", "redistributed under ISC", "Apache Version 2.0", "Zlib version 1.2", "All rights\nreserved", "into the public-domain", "Proprietary software", "plain words"]
+    texts = parts + [f"{a}; {b}" for a in parts for b in parts[::4]]
+    got = by_id(licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")))
+    for i, text in enumerate(texts):
+        norm = f" {re.sub(licenses.GAP, ' ', text.translate(LOWER)).strip(' ')} "
+        hits = sorted({(m.start(), -m.end(), -prio, label) for label, _, rule, prio in licenses.rules() for m in re.finditer(rule, norm, re.ASCII)})
+        want = [(norm[:s].count(" "), norm[:-e].count(" "), -p, label) for n, (s, e, p, label) in enumerate(hits) if not any(e2 <= e and p2 <= p for _, e2, p2, _ in hits[:n])]
+        assert [(d.s, d.e, d.prio, d.label) for d in got[i].detections] == want, text
+    assert all(got[i].detections for i in range(len(parts) - 1)) and not got[len(parts) - 1].detections
+
+
 def test_decontamination(spark, docs, empty):
     item = "If Anna buys 12 apples and then 7 pears for 3 km of road, how many fruits does she carry home"
     bench = spark.createDataFrame([(1, item), (2, "too short"), (3, None)], "item_id long, text string")
