@@ -1,17 +1,21 @@
 """Benchmark decontamination by template canonicalisation, with DataFrame functions only.
 
 Texts become tokens; numbers, units and names inside sentences become typed placeholders, so that a question with other numbers
-or names has the template of the original. Windows of `WINDOW` template tokens of the benchmark are looked up in every
-window of every document. Windows of one document and item on one diagonal (document position - item position) belong to one copy;
-a copy counts if it has `LEAST` windows (or all of a shorter item's) and its slots are consistent: on the diagonal each value of the item maps
-to one value of the document.
+or names has the template of the original. Windows of `WINDOW` tokens of the benchmark are looked up in every window of every
+document, by two keys: their template, if it has `PLAIN` plain tokens, and their words as they are (in lower case). Whether a
+capital is a name depends on what stands before it, which an item's first token lacks: the first window is also looked up with
+that token as a name, and counts if the document has the item's own word there. Windows of one document and item on one diagonal
+(document position - item position) belong to one copy; a copy counts if the windows of either key, or of both together, are
+`LEAST` (or all of a shorter item's) and their slots are consistent: on the diagonal each value of the item maps to one value of
+the document. The figures of a pair are those of its templates as they stand where these suffice (a first window found as a name is not
+counted then), and else the largest of the others.
 
 The benchmark's window hashes are a set of checked size: up to `INLINE` they are literals that the scan of the
 documents tests in place, so texts are never exchanged; a larger benchmark is joined by hash instead.
 
 Edge cases: null or empty texts match nothing; items of fewer than `SHORTEST` tokens, and windows with fewer than four
-plain tokens, are too general to match; items shorter than `WINDOW` are one window of their own length; repeated rows of
-a doc_id are one document; ties cannot arise; an empty table on either side gives an empty result; other columns are ignored.
+plain tokens, have templates too general to match and are found word for word only (an item of one word in every document that
+has the word); items shorter than `WINDOW` are one window of their own length; repeated rows of a doc_id are one document; ties cannot arise; an empty table on either side gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -42,31 +46,50 @@ def template(raw: Column) -> Column:
     return F.transform(raw, one)
 
 
+def words(raw: Column) -> Column:
+    """The tokens as they are, in lower case and without marks."""
+    return F.transform(raw, lambda t: F.lower(F.ltrim(t, F.lit(MARK))))
+
+
+def _word_key(w: Column) -> Column:
+    return F.xxhash64(w, F.lit("words"))  # apart from the templates' keys
+
+
 def item_windows(benchmark: DataFrame) -> DataFrame:
-    """_hash, item_id, _at, _values (raw tokens), _n (windows of the item) of every usable window of the benchmark."""
-    t = benchmark.select(F.col("item_id").cast("long").alias("item_id"), tokens(F.col("text")).alias("_raw")).where(F.size("_raw") >= SHORTEST)
+    """_hash, _kind, item_id, _at, _first, _values (raw tokens), _n (windows of the item and kind) of every usable window of the benchmark."""
+    t = benchmark.select(F.col("item_id").cast("long").alias("item_id"), tokens(F.col("text")).alias("_raw")).where(F.size("_raw") > 0)
     t = t.withColumn("_t", template(F.col("_raw"))).withColumn("_w", F.least(F.lit(WINDOW), F.size("_t")))
     starts = F.expr("sequence(1, size(_t) - _w + 1)")
     w = t.select("item_id", "_raw", "_t", "_w", F.explode(starts).alias("_at"))
-    plain = F.size(F.filter(F.slice("_t", F.col("_at"), F.col("_w")), lambda x: ~x.isin(*SLOTS)))
-    w = w.where(plain >= F.lit(PLAIN))
-    w = w.select("item_id", "_at", "_w", F.xxhash64(F.slice("_t", F.col("_at"), F.col("_w"))).alias("_hash"), F.slice("_raw", F.col("_at"), F.col("_w")).alias("_values"), F.slice("_t", F.col("_at"), F.col("_w")).alias("_slots"))
-    n = w.groupBy(F.col("item_id").alias("_i")).agg(F.countDistinct("_at").alias("_n"))
-    return w.join(n, F.col("item_id") == F.col("_i")).drop("_i").dropDuplicates(["item_id", "_at", "_hash"])
+    w = w.select("item_id", "_at", "_w", *[F.slice(c, F.col("_at"), F.col("_w")).alias(n) for c, n in (("_raw", "_values"), ("_t", "_slots"))])
+    plain = (F.size(F.filter("_slots", lambda x: ~x.isin(*SLOTS))) >= PLAIN) & (F.col("_w") >= SHORTEST)
+    renamed = F.concat(F.array(F.lit("<name>")), F.slice("_slots", 2, WINDOW))
+    capital = (F.col("_at") == 1) & F.col("_values")[0].rlike(r"^\p{Lu}")
+    key = lambda kind, first, h: F.struct(F.lit(kind).alias("_kind"), F.lit(first).alias("_first"), h.alias("_hash"))
+    keys = F.array(
+        key("words", False, _word_key(words(F.col("_values")))), F.when(plain, key("template", False, F.xxhash64("_slots"))), F.when(plain & capital, key("template", True, F.xxhash64(renamed)))
+    )
+    w = w.withColumn("_key", F.explode(F.array_compact(keys))).select("*", "_key.*").drop("_key")
+    n = w.groupBy(F.col("item_id").alias("_i"), F.col("_kind").alias("_k")).agg(F.countDistinct("_at").alias("_n"))
+    return w.join(n, (F.col("item_id") == F.col("_i")) & (F.col("_kind") == F.col("_k"))).drop("_i", "_k").dropDuplicates(["item_id", "_at", "_hash"])
 
 
 def _found(w: int, known: list[int] | None) -> Column:
-    """The windows of `w` tokens of `text` whose hash is in `known` (all where it is None): position, hash, raw tokens.
+    """The windows of `w` tokens of `text` with a key in `known` (all where it is None): position, key, raw tokens.
 
-    Tokens and template are bound as variables, so each is computed once a document.
+    Tokens, template and words are bound as variables, so each is computed once a document.
     """
 
-    def windows(raw: Column, t: Column) -> Column:
+    def windows(raw: Column, t: Column, low: Column) -> Column:
         starts = F.when(F.size(t) >= w, F.sequence(F.lit(1), F.size(t) - w + 1)).otherwise(F.array().cast("array<int>"))
-        hashed = F.transform(starts, lambda i: F.struct(i.alias("p"), F.xxhash64(F.slice(t, i, w)).alias("h")))
-        return F.transform(F.filter(hashed, lambda x: F.lit(True) if known is None else x["h"].isin(known)), lambda x: F.struct(x["p"].alias("p"), x["h"].alias("h"), F.slice(raw, x["p"], w).alias("v")))
+        keyed = [
+            F.transform(starts, lambda i: F.struct(i.alias("p"), F.xxhash64(F.slice(t, i, w)).alias("h"))),
+            F.transform(starts, lambda i: F.struct(i.alias("p"), _word_key(F.slice(low, i, w)).alias("h"))),
+        ]
+        kept = [F.filter(k, lambda x: F.lit(True) if known is None else x["h"].isin(known)) for k in keyed]
+        return F.transform(F.concat(*kept), lambda x: F.struct(x["p"].alias("p"), x["h"].alias("h"), F.slice(raw, x["p"], w).alias("v")))
 
-    return common.let(tokens(F.col("text")), lambda raw: common.let(template(raw), lambda t: windows(raw, t)))
+    return common.let(tokens(F.col("text")), lambda raw: common.let(template(raw), lambda t: common.let(words(raw), lambda low: windows(raw, t, low))))
 
 
 def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -87,13 +110,21 @@ def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         return docs.sparkSession.createDataFrame([], schema)
     right = F.broadcast(items) if inline else items
     m = hits.join(right, (F.col("_h") == F.col("_hash")) & (F.col("_width") == F.col("_w")))
+    own_word = words(F.slice("_v", 1, 1)) == words(F.slice("_values", 1, 1))
+    m = m.where(~F.col("_first") | own_word)
     slot_pairs = F.filter(F.arrays_zip(F.col("_slots").alias("s"), F.col("_values").alias("a"), F.col("_v").alias("b")), lambda x: x["s"].isin(*SLOTS))
-    m = m.select("doc_id", "item_id", "_n", "_at", (F.col("_p") - F.col("_at")).alias("_diagonal"), F.transform(slot_pairs, lambda x: F.struct(F.lower(x["a"]).alias("a"), F.lower(x["b"]).alias("b"))).alias("_pairs"))
+    m = m.select("doc_id", "item_id", "_kind", "_first", "_n", "_at", (F.col("_p") - F.col("_at")).alias("_diagonal"), F.transform(slot_pairs, lambda x: F.struct(F.lower(x["a"]).alias("a"), F.lower(x["b"]).alias("b"))).alias("_pairs"))
+    # Words cover every window of an item, so their number of windows is that of both keys together.
+    n = right.where("_kind = 'words'").groupBy(F.col("item_id").alias("_i")).agg(F.max("_n").alias("_every"))
+    m = m.join(F.broadcast(n) if inline else n, F.col("item_id") == F.col("_i"))
+    # A first window with a name belongs to "named" and "both" only, so that "template" counts windows as they stand.
+    m = m.withColumn("_kind", F.explode(F.array_compact(F.array(F.when(~F.col("_first"), F.col("_kind")), F.when(F.col("_kind") == "template", "named"), F.lit("both"))))).withColumn("_n", F.when(F.col("_kind") == "both", F.col("_every")).otherwise(F.col("_n")))
     # A diagonal has at most the item's windows, so its sets are bounded by the item's length.
-    copy = m.groupBy("doc_id", "item_id", "_n", "_diagonal").agg(F.countDistinct("_at").alias("_m"), F.array_distinct(F.flatten(F.collect_set("_pairs"))).alias("_pairs"))
+    copy = m.groupBy("doc_id", "item_id", "_kind", "_n", "_diagonal").agg(F.countDistinct("_at").alias("_m"), F.array_distinct(F.flatten(F.collect_set("_pairs"))).alias("_pairs"))
     consistent = F.size(F.array_distinct(F.transform("_pairs", lambda x: x["a"]))) == F.size("_pairs")
     copy = copy.where((F.col("_m") >= F.least(F.lit(LEAST), F.col("_n"))) & consistent)
-    best = copy.groupBy("doc_id", "item_id").agg(F.max("_m").alias("n_windows"), F.max(F.col("_m") / F.col("_n")).alias("coverage"), F.max(F.size("_pairs")).cast("long").alias("n_slots"))
+    most = lambda c: F.coalesce(F.max(F.when(F.col("_kind") == "template", c)), F.max(c))
+    best = copy.groupBy("doc_id", "item_id").agg(most(F.col("_m")).alias("n_windows"), most(F.col("_m") / F.col("_n")).alias("coverage"), most(F.size("_pairs")).cast("long").alias("n_slots"))
     return best.select("doc_id", "item_id", "n_windows", F.round("coverage", 6).alias("coverage"), "n_slots")
 
 

@@ -242,6 +242,18 @@ def test_decontamination(spark, docs, empty):
     assert decontamination.find(empty, bench).count() == 0 and decontamination.find(docs, bench.where("1 = 0")).count() == 0
 
 
+def test_decontamination_word_for_word(spark):
+    items = [(1, "Compute 12 + 7 - 3 times 44 minus 9."), (2, "What is the capital of France"), (3, "two words"), (4, "Which of the brothers buys 12 pears at noon"), (5, "Sum 1 2 3 4 5 6 7 8 9 10 11 12")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    texts = [
+        (1, "so " + items[0][1] + " then"), (2, "they asked What is the capital of France today"), (3, "here are Two words."), (4, "he asks Which of the brothers buys 40 pears at noon, again"), (5, "as in Sum 1 2 3 4 5 6 7 8 9 10, then"),
+        (6, "Compute 13 + 7 - 3 times 44 minus 9."), (7, "they asked Where is the capital of France today"), (8, "two other words"), (9, "Sum 1 2 3 4 5 6 7 8"), (10, None), (11, "He asks Whose of the brothers buys 40 pears at noon"),
+    ]
+    found = decontamination.find(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()
+    # Document 11 has one of item 4's two windows, 9 two of item 5's six.
+    assert {(r.doc_id, r.item_id) for r in found} == {(i, i) for i in range(1, 6)}
+
+
 def test_toxicity_learns_words(spark, empty):
     rng = random.Random(2)
     texts, y = [], []
