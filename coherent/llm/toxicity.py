@@ -1,7 +1,8 @@
 """Toxicity scores from a small bidirectional gated recurrent network, trained and run in numpy.
 
 Input of each word: a learned word vector, the mean of learned vectors of its character n-grams, and label statistics of
-the word and of its n-grams (smoothed log odds, fitted across folds so that no document meets its own label). A
+the word and of its n-grams (smoothed log odds, fitted across folds so that no document meets its own label). Words of over
+`PIECE` characters, as in glued text, are read whole as several words (`pieces`). A
 gated recurrent unit reads each window in both directions, attention pools its states, and a logistic unit scores the
 window. Windows of `WINDOW` words overlap by half and cover the whole text; a document's score is that of its
 highest window, in training (the loss goes to that window) as in scoring.
@@ -18,6 +19,7 @@ first in code-point order; an empty table gives an empty result; other columns a
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -30,24 +32,36 @@ from pyspark.sql import functions as F
 from . import common
 
 SAMPLE, LONGEST, WINDOW, STRIDE, HIDDEN, WORD_DIM, BINS, EPOCHS, SEED = 3000, 20_000, 32, 24, 8, 4, 1 << 15, 6, 7
-STATS, GRAMS = 3, (4, 6)
+STATS, GRAMS, PIECE = 3, (4, 6), 40
 MARKS = " \t\n!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…–—¿¡|"
 SCHEMA = "doc_id long, score double, n_windows long"
 
 
+def pieces(word: str) -> list[str]:
+    """The word; one of over `PIECE` characters is split at marks and blanks of any kind, and what is still longer into overlapping pieces.
+
+    Neighbours share `max(GRAMS)` characters, so every n-gram of the word's parts lies whole in a piece.
+    """
+    if len(word) <= PIECE:
+        return [word] if word else []
+    return [p[i : i + PIECE] for p in re.findall(r"[^\W_]+", word) or [word] for i in range(0, max(1, len(p) - max(GRAMS)), PIECE - max(GRAMS))]
+
+
 def tokens(texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
     """Distinct words (lower case, trimmed of marks), the word number of each token, and each text's first token."""
     lists = pc.ascii_split_whitespace(pc.utf8_lower(common.whole(texts)))
     flat = lists.flatten().dictionary_encode()
     codes, raw = flat.indices.to_numpy(zero_copy_only=False), flat.dictionary.to_numpy(zero_copy_only=False).tolist()
-    trimmed = [w.strip(MARKS) for w in raw]
     number: dict[str, int] = {"": 0}
-    of = np.fromiter((number.setdefault(w, len(number)) for w in trimmed), np.int32, len(trimmed))
-    word = of[codes] if len(codes) else np.zeros(0, np.int32)
-    keep = word > 0
+    cut = [[number.setdefault(x, len(number)) for x in pieces(w.strip(MARKS))] for w in raw]
+    count = np.fromiter(map(len, cut), np.int64, len(cut))
+    of = np.fromiter((x for xs in cut for x in xs), np.int32, count.sum())
+    begin = np.cumsum(count) - count
+    width = count[codes] if len(codes) else np.zeros(0, np.int64)
+    at = np.concatenate([[0], np.cumsum(width)])
+    word = of[np.repeat(begin[codes] - at[:-1], width) + np.arange(at[-1])] if at[-1] else np.zeros(0, np.int32)
     starts = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]).astype(np.int64)
-    kept = np.concatenate([[0], np.cumsum(keep)])
-    return list(number), word[keep], kept[starts]
+    return list(number), word, at[starts]
 
 
 def windows(starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -62,7 +76,7 @@ def windows(starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def grams(words: list[str]) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each size in GRAMS: bins of the n-grams (bytes, words marked at both ends) and where each word's begin."""
-    marked = [f"<{w[:40]}>".encode().ljust(max(GRAMS), b"\0") for w in words]
+    marked = [f"<{w}>".encode().ljust(max(GRAMS), b"\0") for w in words]
     buf = np.frombuffer(b"".join(marked) + b"\0" * max(GRAMS), np.uint8).astype(np.uint32)
     length = np.fromiter(map(len, marked), np.int64, len(marked))
     begin = np.concatenate([[0], np.cumsum(length)])
@@ -329,6 +343,16 @@ def learn(docs: DataFrame, labels: DataFrame) -> Network | None:
     return fit(got["text"].tolist(), got["toxic"].to_numpy())
 
 
+def _slices(batch: pa.RecordBatch, text: str | int) -> Iterator[pa.RecordBatch]:
+    """The rows of `batch`, about 4 MB of text at a time."""
+    sizes = np.concatenate([[0], np.cumsum(pc.fill_null(pc.binary_length(batch.column(text)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)])
+    at = 0
+    while at < batch.num_rows:
+        end = max(at + 1, int(np.searchsorted(sizes, sizes[at] + 4_000_000, "right")) - 1)
+        yield batch.slice(at, end - at)
+        at = end
+
+
 def score(docs: DataFrame, net: Network | None) -> DataFrame:
     """Score and number of windows of each row of `docs` (doc_id, text)."""
     spark = docs.sparkSession
@@ -339,14 +363,9 @@ def score(docs: DataFrame, net: Network | None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            at = 0
-            sizes = np.concatenate([[0], np.cumsum(pc.fill_null(pc.binary_length(whole.column("text")), 0).to_numpy(zero_copy_only=False))])
-            while at < whole.num_rows:  # about 4 MB of text at a time
-                end = max(at + 1, int(np.searchsorted(sizes, sizes[at] + 4_000_000, "right")) - 1)
-                part = whole.slice(at, end - at)
+            for part in _slices(whole, "text"):
                 s, n = shared.value.score(part.column("text"))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(s, pa.float64()), pa.array(n, pa.int64())], names=["doc_id", "score", "n_windows"])
-                at = end
 
     return d.mapInArrow(run, SCHEMA)
 
@@ -366,8 +385,7 @@ def keep_clean(docs: DataFrame, net: Network | None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for at in range(0, whole.num_rows, 512):
-                part = whole.slice(at, 512)
+            for part in _slices(whole, text):
                 s, _ = shared.value.score(part.column(text))
                 yield part.filter(pa.array(s < 0.5))
 

@@ -5,6 +5,7 @@ import random
 import re
 import zlib
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -272,6 +273,20 @@ def test_toxicity_learns_words(spark, empty):
     assert toxicity.fit(["a", "b"], [0, 0]) is None and toxicity.score(empty, net).count() == 0
 
 
+def test_toxicity_reads_whole_words():
+    word = "".join(chr(97 + i * i % 23) for i in range(500)) + "ünïcode" * 9
+    cut = toxicity.pieces(word)
+    assert max(map(len, cut)) <= toxicity.PIECE and all(any(word[i : i + 6] in p for p in cut) for i in range(len(word) - 5))
+    assert toxicity.pieces("x" * 30 + "-vile_word\u00a0end\u3000.") == ["x" * 30, "vile", "word", "end"]
+    rng = random.Random(4)
+    plain = [[rng.choice(WORDS) for _ in range(30)] for _ in range(240)]
+    y = [int(i % 4 == 0) for i in range(240)]
+    net = toxicity.fit([" ".join(w[:15] + ["vilewort"] * v + w[15:]) for w, v in zip(plain, y, strict=True)], y)
+    for glue in ("-", "_", ".", "\u00a0", "\u3000"):
+        scores, _ = net.score(pa.array([glue.join(w[:20] + ["vilewort"] * v + w[20:]) for w, v in zip(plain, y, strict=True)]))
+        assert sum((s >= 0.5) == bool(v) for s, v in zip(scores, y, strict=True)) >= 228, glue
+
+
 def test_pipeline_stages(spark, tmp_path, docs):
     import corpus_pipeline
 
