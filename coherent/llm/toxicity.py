@@ -7,7 +7,8 @@ gated recurrent unit reads each window in both directions, attention pools its s
 window. Windows of `WINDOW` words overlap by half and cover the whole text; a document's score is that of its
 highest window, in training (the loss goes to that window) as in scoring.
 
-Fitting uses a bounded sample of labelled rows: at most `SAMPLE` documents of at most `LONGEST` characters, those of the
+Training takes `EPOCHS * STEPS` gradient steps of up to `BATCH` documents at every size of the sample, rounded up to whole passes
+over it; before each pass every document's highest window is chosen anew. Fitting uses a bounded sample of labelled rows: at most `SAMPLE` documents of at most `LONGEST` characters, those of the
 smallest hash of doc_id, none held out (crc32 of doc_id mod 5 = 0). Everything else covers all rows and whole texts.
 Only texts are inputs of a score.
 
@@ -31,8 +32,8 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SAMPLE, LONGEST, WINDOW, STRIDE, HIDDEN, WORD_DIM, BINS, EPOCHS, SEED = 3000, 20_000, 32, 24, 8, 4, 1 << 15, 6, 7
-STATS, GRAMS, PIECE = 3, (4, 6), 40
+SAMPLE, LONGEST, WINDOW, STRIDE, HIDDEN, WORD_DIM, BINS, EPOCHS, SEED = 3000, 20_000, 32, 16, 8, 4, 1 << 15, 6, 7
+STATS, GRAMS, PIECE, BATCH, STEPS = 3, (4, 6), 40, 64, 72
 MARKS = " \t\n!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~«»„“”‘’…–—¿¡|"
 SCHEMA = "doc_id long, score double, n_windows long"
 
@@ -240,8 +241,13 @@ def _odds(pos: np.ndarray, neg: np.ndarray, n_pos: int, n_neg: int) -> np.ndarra
     return (np.clip(ratio, -4, 4) * seen / (seen + 3) / 2).astype(np.float32)
 
 
+def passes(folds: np.ndarray, epochs: int = EPOCHS) -> int:
+    """Passes over folds of these sizes until `epochs * STEPS` gradient steps are made."""
+    return -(-epochs * STEPS // int(np.sum(-(-folds // BATCH))))
+
+
 def fit(texts: list[str], y: np.ndarray, epochs: int = EPOCHS) -> Network | None:
-    """Train on whole texts and labels 0 / 1; None without both classes."""
+    """Train on whole texts and labels 0 / 1, in `passes` of the sample; None without both classes."""
     y = np.asarray(y, np.int64)
     if not 0 < y.sum() < len(y):
         return None
@@ -280,9 +286,9 @@ def fit(texts: list[str], y: np.ndarray, epochs: int = EPOCHS) -> Network | None
     step, best_at = 0, lead[:-1].copy()
     weight = np.where(y == 1, min(4.0, (1 - y).sum() / y.sum()), 1.0).astype(np.float32)
     logits = np.zeros(len(doc), np.float32)
-    epochs = epochs if len(y) > 1500 else 3 * epochs
+    epochs = passes(np.bincount(fold), epochs)
     for epoch in range(epochs + 1):
-        for f in range(3) if epoch in (0, 1, 3, epochs) or len(y) <= 1500 else ():  # the highest window of each document, under statistics that don't know its label
+        for f in range(3):  # the highest window of each document, under statistics that don't know its label
             x = net.inputs(lists, ids, *crossed[f])
             own = np.flatnonzero(fold[doc] == f)
             if epoch == 0:  # no weights yet: the window with the largest statistics
@@ -301,8 +307,8 @@ def fit(texts: list[str], y: np.ndarray, epochs: int = EPOCHS) -> Network | None
         rate = 0.02 * (1 - epoch / epochs) + 0.002
         for f in rng.permutation(3):
             docs = rng.permutation(np.flatnonzero(fold == f))
-            for i in range(0, len(docs), 64):
-                some = docs[i : i + 64]
+            for i in range(0, len(docs), BATCH):
+                some = docs[i : i + BATCH]
                 at, on = _laid(word, first[best_at[some]], last[best_at[some]])
                 used, local = np.unique(at, return_inverse=True)
                 local = local.reshape(at.shape)

@@ -287,6 +287,21 @@ def test_toxicity_reads_whole_words():
         assert sum((s >= 0.5) == bool(v) for s, v in zip(scores, y, strict=True)) >= 228, glue
 
 
+def test_toxicity_schedule_and_overlap(monkeypatch):
+    count, steps = [], []
+    back = toxicity.Network.backward
+    monkeypatch.setattr(toxicity.Network, "backward", lambda *a: steps.append(1) or back(*a))
+    for n in (90, 1500, 1501, 1600):
+        steps.clear()
+        toxicity.fit([f"alpha beta {'bad' if i % 3 else 'good'}" for i in range(n)], [int(i % 3 > 0) for i in range(n)])
+        count.append(len(steps))
+    least = toxicity.EPOCHS * toxicity.STEPS
+    assert all(least <= c < least + 30 for c in count), count
+    # A run of half a window, wherever it is, lies whole in some window.
+    _, first, last = toxicity.windows(toxicity.np.array([0, 1000]))
+    assert all(any(a <= p and p + toxicity.WINDOW // 2 <= b for a, b in zip(first, last, strict=True)) for p in range(1000 - toxicity.WINDOW // 2 + 1))
+
+
 def test_pipeline_stages(spark, tmp_path, docs):
     import corpus_pipeline
 
