@@ -146,7 +146,11 @@ def write(pages: DataFrame, root: str, roll: int = ROLL_BYTES) -> DataFrame:
     spark = pages.sparkSession
     html = F.coalesce(F.col("html"), F.lit(""))
     p = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", F.sha1(html.cast("binary")).alias("_digest"), F.octet_length(html).cast("long").alias("_size"))
-    p = common.range_bucketed(p, "page_id", RANGES * common.partitions(spark), "_bucket")
+    ranges = RANGES * common.partitions(spark)
+    p = common.range_bucketed(p, "page_id", ranges, "_bucket")
+    # Pages without a number come in the order of their digests, in as many ranges of their own.
+    of_digest = F.conv(F.substring("_digest", 1, 4), 16, 10).cast("int") * ranges / 65536
+    p = p.withColumn("_bucket", F.col("_bucket") + F.when(F.col("page_id").isNull(), of_digest.cast("int")).otherwise(0))
     small = common.durable(p.select("_bucket", "page_id", "_digest", "_size"), "warc-pages")
     large = small.where((F.col("_size") >= REVISIT_BYTES) & F.col("page_id").isNotNull())
     chosen = large.groupBy(F.col("_digest").alias("_d")).agg(F.max("page_id").alias("_to"), F.count(F.lit(1)).alias("_of")).where("_of > 1").drop("_of")
@@ -156,8 +160,9 @@ def write(pages: DataFrame, root: str, roll: int = ROLL_BYTES) -> DataFrame:
         told.select("_bucket", "page_id", F.lit(0).alias("_kind"), none.cast("string").alias("url"), none.cast("string").alias("html"), "_digest", "_size", "_to")
     )
     sorted_ = rows.repartition(common.partitions(spark), "_bucket").sortWithinPartitions("_bucket", F.col("page_id").asc_nulls_last(), "_kind", "_digest", "url")
-    files = sorted_.mapInArrow(_writer(root, roll), MANIFEST)
-    files.coalesce(1).write.parquet(f"{root}/_manifest")  # the commit: as many rows as there are files
+    # Every range writes its archives in its own task and leaves a row a file; the commit gathers those few rows.
+    files = common.durable(sorted_.mapInArrow(_writer(root, roll), MANIFEST), "warc-files")
+    files.repartition(1).write.parquet(f"{root}/_manifest")
     return spark.read.schema(MANIFEST).parquet(f"{root}/_manifest")
 
 
