@@ -4,7 +4,9 @@ An Aho-Corasick automaton walks each whole text once and reports anchors: at-sig
 identifier cues. A deterministic parser of each kind then expands from the anchor in both directions and validates the
 boundaries. The four base kinds give exactly the leftmost non-overlapping matches of their patterns (failing matches are
 dropped and not retried); the method adds URLs, account numbers (IBAN by check digits), national identifiers, secrets
-behind a cue, and street addresses.
+behind a cue, and street addresses. An account number by check digits counts on the line of its cue, a house number at the end of the
+words behind a street; values are taken whole, however long. What a parser reads ahead is remembered, so that many cues on one
+long line don't read it again and again.
 
 Edge cases: a null text is the empty text, without spans; rows of equal doc_id are each scanned on their own; an empty table
 gives an empty result; other columns are ignored. Offsets are code points, ends exclusive.
@@ -14,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -35,13 +38,14 @@ CUES = {
     "secret": ("password", "passwd", "api_key", "api key", "apikey", "secret", "token", "akia", "ghp_", "sk-"),
     "address": (" street", " avenue", " road", " lane", " boulevard", "straße", "strasse", "rue ", "calle "),
 }
-IBAN = re.compile(r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
+IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 ACCOUNT = re.compile(r"[\s:#=.no]{0,8}([0-9]{6,18})(?![0-9])", re.I)
 NATIONAL = re.compile(r"[\s:#=.no]{0,8}([0-9]{3}-[0-9]{2}-[0-9]{4}|[A-Z]{1,2}[0-9]{6,9})(?![A-Za-z0-9])")
-SECRET = re.compile(r"[\s:=\"']{1,4}([A-Za-z0-9_\-/+=]{8,128})")
+SECRET = re.compile(r"[\s:=\"']{1,4}([A-Za-z0-9_\-/+=]{8,})")
 KEY = re.compile(r"(?:AKIA[0-9A-Z]{16}|ghp_[A-Za-z0-9]{36}|sk-[A-Za-z0-9_-]{20,})(?![A-Za-z0-9])")
-HOUSE_AFTER = re.compile(r"[A-Za-zßéèáíóúñ ]{0,40}?,? ([0-9]{1,5}[a-z]?)(?![0-9A-Za-z])")
-HOUSE_BEFORE = re.compile(r"(?<![0-9A-Za-z])[0-9]{1,5}[a-z]? (?:[A-Z][A-Za-z]* ){1,3}$")
+NAMES = re.compile(r"(?:(?:de|del|la|las|le|les|los|du|des|el|et|y|[A-ZÀ-Ý][A-Za-zÀ-ÿ'’]*)(?: (?=[A-Za-zÀ-Ý])|(?![A-Za-zÀ-ÿ])))*")
+HOUSE = re.compile(r"([0-9]{1,5}[a-z]?)(?![0-9A-Za-z])")
+HOUSE_BEFORE = re.compile(r"(?<![0-9A-Za-z])[0-9]{1,5}[a-z]?\Z")
 SCHEMA = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long"
 
 
@@ -124,6 +128,7 @@ def find(text: str) -> list[tuple[int, int, int]]:
     spans: list[tuple[int, int, int]] = []
     free_email = free_ip = free_card = free_phone = -1
     free_email = 0
+    ahead = _Ahead(text)
     for last, what in _automaton().iter(text):
         if what == "@":
             if got := _email(text, last, free_email):
@@ -157,32 +162,81 @@ def find(text: str) -> list[tuple[int, int, int]]:
                 if 14 <= end - last and 14 <= len(digits := text[last:end].replace(" ", "").replace("-", "")) <= 19 and _luhn(digits):
                     spans.append((last, 2, end))
         else:
-            spans += _cued(text, what[0], last + 1 - what[1], last + 1)
+            spans += _cued(text, what[0], last + 1 - what[1], last + 1, ahead)
     return sorted(set(spans))
 
 
-def _cued(text: str, kind: str, start: int, end: int) -> list[tuple[int, int, int]]:
+class _Ahead:
+    """What lies ahead of the cues of one text, read once."""
+
+    def __init__(self, text: str) -> None:
+        self.text, self.run, self.numbers, self.link, self.value = text, (0, 0), None, 0, 0
+
+    def names_end(self, at: int) -> int:
+        """Where the names from `at` end."""
+        if not self.run[0] <= at < self.run[1]:
+            self.run = (at, NAMES.match(self.text, at).end())
+        return self.run[1]
+
+    def iban(self, at: int) -> tuple[int, int] | None:
+        """The first valid account number from `at` on the same line."""
+        if self.numbers is None:
+            self.numbers = [m.span() for m in IBAN.finditer(self.text) if _iban_ok(m[0])]
+        k = bisect_left(self.numbers, (at, 0))
+        if k == len(self.numbers) or self.text.find("\n", at, self.numbers[k][0]) >= 0:
+            return None
+        return self.numbers[k]
+
+
+def _house_before(text: str, start: int) -> int | None:
+    """Start of the house number of up to three capitalised words that end at the blank at `start`."""
+    end = start
+    for _ in range(3):
+        word = end
+        while word > 0 and "A" <= text[word - 1] <= "z" and text[word - 1].isalpha():
+            word -= 1
+        if word == end or not text[word].isupper() or word == 0 or text[word - 1] != " ":
+            return None
+        end = word - 1
+        if m := HOUSE_BEFORE.search(text, max(0, end - 7), end):
+            return m.start()
+    return None
+
+
+def _cued(text: str, kind: str, start: int, end: int, ahead: _Ahead) -> list[tuple[int, int, int]]:
     k = KINDS.index(kind)
     if kind == "url":
+        if start < ahead.link:  # within another address
+            return []
         stop = end
         while stop < len(text) and not text[stop].isspace() and text[stop] not in "<>\"'`{}|\\^[]":
             stop += 1
+        ahead.link = stop
         while stop > end and text[stop - 1] in ".,;:!?)":
             stop -= 1
         return [(start, k, stop)] if stop > end else []
     if kind == "account":
-        found = [(m.start(), k, m.end()) for m in IBAN.finditer(text, end, end + 60) if _iban_ok(m[0])]
-        return found or [(m.start(1), k, m.end(1)) for m in [ACCOUNT.match(text, end)] if m]
+        if found := ahead.iban(end):
+            return [(found[0], k, found[1])]
+        return [(m.start(1), k, m.end(1)) for m in [ACCOUNT.match(text, end)] if m]
     if kind == "identifier":
         return [(m.start(1), k, m.end(1)) for m in [NATIONAL.match(text, end)] if m]
     if kind == "secret":
         if m := KEY.match(text, start):
             return [(m.start(), k, m.end())]
-        return [(m.start(1), k, m.end(1)) for m in [SECRET.match(text, end)] if m and re.search(r"[0-9]", m[1]) and re.search(r"[A-Za-z]", m[1])]
-    lead = max(0, start - 60)
-    if m := HOUSE_BEFORE.search(text[lead : start + 1]):
-        return [(lead + m.start(), k, end)]
-    return [(start, k, m.end(1)) for m in [HOUSE_AFTER.match(text, end)] if m]
+        if start < ahead.value or not (m := SECRET.match(text, end)):
+            return []
+        ahead.value = m.end()
+        return [(m.start(1), k, m.end(1))] if re.search(r"[0-9]", m[1]) and re.search(r"[A-Za-z]", m[1]) else []
+    if text[start] == " " and (number := _house_before(text, start)) is not None:
+        return [(number, k, end)]
+    stop = end
+    if text[end - 1] == " ":  # the street's name follows
+        stop = ahead.names_end(end)
+        if stop == end or (start and text[start - 1].isalnum()):
+            return []
+    gap = 2 if text.startswith(", ", stop) else 1 if text.startswith(" ", stop) else 0
+    return [(start, k, m.end(1)) for m in [HOUSE.match(text, stop + gap)] if m and gap]
 
 
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
