@@ -10,11 +10,14 @@
    bounded bytes, where an overlap of the union's sketch filters pairs and the exact similarity confirms links.
 4. Components of the links give component_id, the smallest doc_id reachable.
 
+Classes have numbers of their own, and rows are told apart by doc_id and text, so null and repeated doc_ids are no special case.
+
 Nothing is dropped or capped: a family of any size is compared block by block, and pairs already connected are skipped.
 
 Edge cases: null, empty and blank texts have no shingles and link with nothing; texts of one to four words have their whole
-sequence as one shingle; a null doc_id counts as the largest; rows of equal doc_id count as one document with either
-text; an empty table gives an empty result; other columns are ignored.
+sequence as one shingle; a null doc_id counts as the largest (a component of nulls alone has a null component_id, and the row of the
+smallest text hash is kept); rows of equal doc_id and different texts are separate documents; equal rows get equal results, and `keep_one`
+keeps one of them; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -77,14 +80,17 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys = np.array([np.frombuffer(xxhash.xxh3_128_digest(s.tobytes()), np.int64) for s in sets], np.int64).reshape(-1, 2)
         sketches = [s[:K] for s in sets]
         values = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum([len(s) for s in sketches])]).astype(np.int32), pa.array(np.concatenate(sketches), pa.int64()))
-        yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys[:, 0]), pa.array(keys[:, 1]), values], names=["doc_id", "n", "k1", "k2", "sketch"])
+        yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("h"), pa.array([len(s) for s in sets], pa.int64()), pa.array(keys[:, 0]), pa.array(keys[:, 1]), values], names=["doc_id", "h", "n", "k1", "k2", "sketch"])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for part in _slices(batches, 256):
-        sets = shingle_sets(part.column("text"))
-        values = pa.array([s.tobytes() for s in sets], pa.binary())
-        yield pa.RecordBatch.from_arrays([part.column(c) for c in ("cluster", "blocks", "block", "doc_id")] + [values], names=["cluster", "blocks", "block", "doc_id", "values"])
+        sets = [s.tobytes() for s in shingle_sets(part.column("text"))]
+        # A row whose text hash agrees with its class by chance only is left out.
+        own = np.array([np.frombuffer(xxhash.xxh3_128_digest(s), np.int64) for s in sets], np.int64).reshape(-1, 2)
+        same = (own[:, 0] == part.column("k1").to_numpy()) & (own[:, 1] == part.column("k2").to_numpy())
+        got = pa.RecordBatch.from_arrays([part.column(c) for c in ("cluster", "blocks", "block", "node")] + [pa.array(sets, pa.binary())], names=["cluster", "blocks", "block", "node", "values"])
+        yield got.filter(pa.array(same))
 
 
 def similar(a: np.ndarray, b: np.ndarray) -> bool:
@@ -136,11 +142,13 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return got
 
     for part in _slices(batches, 1024):
-        for cluster, left, right, block, doc_id, values in zip(*(part.column(c).to_pylist() for c in ("cluster", "left", "right", "block", "doc_id", "values")), strict=True):
+        for cluster, left, right, block, node, values in zip(*(part.column(c).to_pylist() for c in ("cluster", "left", "right", "block", "node", "values")), strict=True):
             if key != (cluster, left, right):
                 done()
                 key, sides = (cluster, left, right), ([], [])
-            sides[int(block != left)].append((doc_id, np.frombuffer(values, np.int64)))
+            side = sides[int(block != left)]
+            if not side or side[-1][0] != node:  # equal rows of a table bring a class more than once
+                side.append((node, np.frombuffer(values, np.int64)))
         if out:
             yield flush()
     done()
@@ -198,32 +206,45 @@ def _candidates(classes: DataFrame) -> DataFrame:
     return pairs.unionByName(ties)
 
 
-def group(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for each row of `docs` (doc_id, text)."""
+def _groups(docs: DataFrame) -> DataFrame:
+    """doc_id (null: LAST), h (hash of the text), n, k1, k2, first (least doc_id and h of its component) of each row of `docs`."""
     spark = docs.sparkSession
     n = common.partitions(spark)
-    d = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), "text")
-    every = common.durable(d.mapInArrow(_sketch, "doc_id long, n long, k1 long, k2 long, sketch array<long>"), "sketches")
-    classes = common.durable(every.where("n > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "classes")
-    cluster = components(_candidates(classes), "clusters")
+    d = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("h"), "text")
+    every = common.durable(d.mapInArrow(_sketch, "doc_id long, h long, n long, k1 long, k2 long, sketch array<long>"), "sketches")
+    row = F.struct("doc_id", "h")
+    classes = every.where("n > 0").groupBy("k1", "k2").agg(F.min(row).alias("first"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
+    classes = common.durable(classes.withColumn("node", F.monotonically_increasing_id()), "classes")  # written once, so the numbers stay
+    cluster = components(_candidates(classes.select(F.col("node").alias("doc_id"), "n", "sketch")), "clusters")
     members = cluster.unionByName(cluster.select(F.col("root").alias("node"), "root").distinct())
-    sizes = members.join(classes.select("doc_id", "n"), F.col("node") == F.col("doc_id")).select("node", "root", "n")
+    sizes = members.join(classes.select("node", "n", "k1", "k2", "first"), "node")
     total = sizes.groupBy(F.col("root").alias("cluster")).agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_DOCS), F.ceil(F.sum("n") / BLOCK_VALUES)).cast("int").alias("blocks"))
-    placed = sizes.join(total, F.col("root") == F.col("cluster")).select("node", "cluster", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
+    placed = sizes.join(total, F.col("root") == F.col("cluster"))
+    placed = placed.select("node", "cluster", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"), "k1", "k2", F.col("first.doc_id").alias("_doc"), F.col("first.h").alias("_h"))
     placed = common.durable(placed, "members")
-    sets = d.join(placed, F.col("doc_id") == F.col("node")).select("cluster", "blocks", "block", "doc_id", "text").mapInArrow(_sets, "cluster long, blocks int, block int, doc_id long, values binary")
+    texts = d.join(placed, (F.col("doc_id") == F.col("_doc")) & (F.col("h") == F.col("_h")))
+    sets = texts.select("cluster", "blocks", "block", "node", "k1", "k2", "text").mapInArrow(_sets, "cluster long, blocks int, block int, node long, values binary")
     # A block meets every block of its cluster, itself included.
     meets = sets.select("*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
-        "cluster", F.least("block", "other").alias("left"), F.greatest("block", "other").alias("right"), "block", "doc_id", "values"
+        "cluster", F.least("block", "other").alias("left"), F.greatest("block", "other").alias("right"), "block", "node", "values"
     )
-    links = meets.repartition(n, "cluster", "left", "right").sortWithinPartitions("cluster", "left", "right", "block", "doc_id").mapInArrow(_verify, "a long, b long")
+    links = meets.repartition(n, "cluster", "left", "right").sortWithinPartitions("cluster", "left", "right", "block", "node").mapInArrow(_verify, "a long, b long")
     joined = components(links, "links")
-    of_class = classes.select(F.col("k1").alias("_1"), F.col("k2").alias("_2"), F.col("doc_id").alias("_rep")).join(joined, F.col("_rep") == F.col("node"), "left")
-    of_class = common.durable(of_class.select("_1", "_2", F.coalesce("root", "_rep").alias("_component")), "components")
-    flat = every.select("doc_id", "n", "k1", "k2").join(of_class, (F.col("k1") == F.col("_1")) & (F.col("k2") == F.col("_2")) & (F.col("n") > 0), "left")
-    component = F.coalesce("_component", "doc_id")
+    linked = joined.unionByName(joined.select(F.col("root").alias("node"), "root").distinct()).join(classes.select("node", "k1", "k2", "first"), "node")
+    least = linked.groupBy(F.col("root").alias("_root")).agg(F.min("first").alias("least"))
+    of_class = linked.join(least, F.col("root") == F.col("_root")).select(F.col("k1").alias("_1"), F.col("k2").alias("_2"), "least")
+    alone = classes.join(linked.select("node"), "node", "left_anti").select(F.col("k1").alias("_1"), F.col("k2").alias("_2"), F.col("first").alias("least"))
+    of_class = common.durable(of_class.unionByName(alone), "components")
+    flat = every.select("doc_id", "h", "n", "k1", "k2").join(of_class, (F.col("k1") == F.col("_1")) & (F.col("k2") == F.col("_2")) & (F.col("n") > 0), "left")
+    return flat.select("doc_id", "h", "n", F.coalesce("least", row).alias("first"))
+
+
+def group(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept for each row of `docs` (doc_id, text)."""
     null = lambda c: F.when(c != LAST, c)
-    return flat.select(null(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), null(component).alias("component_id"), (F.col("doc_id") == component).alias("kept"))
+    component = F.col("first.doc_id")
+    kept = F.when(F.col("doc_id") == LAST, (component == LAST) & (F.col("h") == F.col("first.h"))).otherwise(F.col("doc_id") == component)
+    return _groups(docs).select(null(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), null(component).alias("component_id"), kept.alias("kept"))
 
 
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -231,6 +252,22 @@ def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of `docs` whose document its group keeps, with all columns."""
-    gone = common.durable(group(docs).where("not kept").select(F.col("doc_id").alias("_gone")).distinct(), "near-duplicates")
-    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    """One row of `docs` of each group of similar documents, with all columns: that of the least doc_id and text hash.
+
+    Rows without shingles stay. Of rows equal in doc_id and text, the one whose other columns have the least hash stays.
+    """
+    spark = docs.sparkSession
+    seen = _groups(docs).groupBy("doc_id", "h").agg(F.count(F.lit(1)).alias("rows"), F.max("n").alias("n"), F.first("first").alias("first"))
+    seen = seen.select(F.col("doc_id").alias("_doc"), F.col("h").alias("_h"), ((F.col("first.doc_id") == F.col("doc_id")) & (F.col("first.h") == F.col("h"))).alias("_stays"), ((F.col("rows") > 1) & (F.col("n") > 0)).alias("_often"))
+    marks = common.durable(seen.where("not _stays or _often"), "near-duplicates")
+    # By position: a table may have any column names.
+    plain = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
+    doc, text = (F.col(f"c{docs.columns.index(c)}") for c in ("doc_id", "text"))
+    on = (F.coalesce(doc.cast("long"), F.lit(LAST)) == F.col("_doc")) & (F.xxhash64(F.coalesce(text, F.lit(""))) == F.col("_h"))
+    out = plain.join(marks, on, "left_anti")
+    often = marks.where("_stays and _often")
+    if not often.isEmpty():
+        whole = F.struct(*plain.columns)
+        one = plain.join(often, on).groupBy("_doc", "_h").agg(F.min_by(whole, F.xxhash64(F.to_json(whole))).alias("x"))
+        out = out.unionByName(one.select("x.*"))
+    return out.toDF(*docs.columns)
