@@ -1,20 +1,22 @@
 """Removal of repeated 100-byte strings, as a depth-limited radix sort of the suffixes.
 
-Only windows of `DEPTH` bytes matter, so suffixes are ordered only that deep, most significant key first:
+Only windows of `DEPTH` bytes matter, so suffixes are ordered only that deep, and those that stand alone leave early:
 
-1. Each window is filed under the smallest hash among its inner `GRAM`-byte strings (its anchor). Equal windows have equal anchors,
-   and neighbouring windows mostly share one, so a run of windows with one anchor is one row: a slice of text.
-2. Rows are sorted by (anchor, hash of the slice, document, position). A slice that came before is covered whole; an
-   anchor with one slice repeats nothing; the first rows of the different slices of one anchor stay.
-3. Those slices alone are fetched from the texts, and the windows of an anchor are compared in document order: equal groups are
-   exactly the repeated windows, and all but a group's first cover their bytes.
+1. The first pass deals windows by content: each is filed under the smallest hash among its inner `GRAM`-byte strings (its anchor).
+   Equal windows have equal anchors, and neighbouring windows mostly share one, so a run of windows with one anchor is one row.
+2. Rows are range-sorted by (anchor, hash of the slice of text, document, position), which spreads an anchor over tasks wherever its
+   slices differ. A slice that came before is covered whole; an anchor with one slice repeats nothing; the first rows
+   of the different slices of one anchor stay.
+3. The windows of those slices alone are sorted by their bytes, `DIGIT` of them a pass from the most significant on: each pass splits the
+   groups of the pass before, and windows that are alone in their group leave. Groups left after the last pass are
+   exactly the repeated windows; all but a group's first cover their bytes. Anchors are sorted whole, many in one array. One of
+   over `LARGE` slices is dealt over tasks by window instead, and its equal windows meet in a sorted stream.
 
-Texts travel compressed and keyed by doc_id; what is filed is about one row in 36 bytes of text. Tasks read sorted rows as a
-stream; an anchor costs memory for its different windows only.
+Texts travel compressed; what is filed is about one row in 36 bytes of text. No task holds more than an anchor of `LARGE` slices.
 
 Edge cases: a null or empty text has 0 bytes and the sha256 of nothing; texts under 100 bytes stay whole; equal texts of at least
-100 bytes are removed but the first; a null doc_id counts as the largest; doc_id is the key of a document, so rows of
-equal doc_id each get the covers of either; an empty table gives an empty result; other columns are ignored.
+100 bytes are removed but the first; a null doc_id counts as the largest; rows of equal doc_id are documents of their own, in the order
+of their texts' hash, and of wholly equal ones one comes first; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,7 +33,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
-DEPTH, GRAM, CHUNK = 100, 28, 1 << 19
+DEPTH, GRAM, CHUNK, DIGIT, LARGE, BATCH = 100, 28, 1 << 19, 8, 4096, 4096
 INNER = DEPTH - GRAM + 1
 LAST = (1 << 63) - 1
 SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:int,end:int>>"
@@ -77,7 +79,7 @@ def anchors(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray,
 
 
 def _file(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    def flush(ids: list[int], texts: list[bytes], offsets: list[int]) -> pa.RecordBatch:
+    def flush(ids: list[tuple[int, int]], texts: list[bytes], offsets: list[int]) -> pa.RecordBatch:
         raw = b"".join(texts)
         ends = np.cumsum([len(t) for t in texts])
         doc, first, last, anchor = anchors(np.frombuffer(raw, np.uint8), ends)
@@ -85,19 +87,20 @@ def _file(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         slices = np.fromiter((digest(raw[a:b]) for a, b in zip(first.tolist(), (last + DEPTH).tolist(), strict=True)), np.uint64, len(first)).view(np.int64)
         shift = np.array(offsets, np.int64) - np.concatenate([[0], ends[:-1]])
         place = ((first + shift[doc]) << 8) | (last - first)
-        return pa.RecordBatch.from_arrays([pa.array(anchor), pa.array(slices), pa.array(np.array(ids, np.int64)[doc]), pa.array(place)], names=["anchor", "slice", "doc_id", "place"])
+        keys = np.array(ids, np.int64)[doc]
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in (anchor, slices, keys[:, 0], keys[:, 1], place)], names=["anchor", "slice", "doc_id", "h", "place"])
 
     ids, texts, offsets, size = [], [], [], 0
     for whole in batches:
         for at in range(0, whole.num_rows, 256):
             part = whole.slice(at, 256)
-            for doc_id, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
+            for doc_id, h, text in zip(*(part.column(c).to_pylist() for c in ("doc_id", "h", "text")), strict=True):
                 data = (text or "").encode()
                 if len(data) < DEPTH:
                     continue
                 for cut in range(0, len(data) - DEPTH + 1, CHUNK):  # pieces of a long text overlap by all but one byte of a window
                     piece = data[cut : cut + CHUNK + DEPTH - 1]
-                    ids.append(doc_id)
+                    ids.append((doc_id, h))
                     texts.append(piece)
                     offsets.append(cut)
                     size += len(piece)
@@ -108,38 +111,46 @@ def _file(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield flush(ids, texts, offsets)
 
 
+KEYS = ("anchor", "slice", "doc_id", "h", "place")
+
+
 def _repeats(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From rows sorted by (anchor, slice, doc_id, place): whole = 1 for slices that came before, 0 for those to compare."""
-    prev_k = prev_s = pending = None
+    """From rows sorted by `KEYS`: whole = 1 for slices that came before, 0 for those to compare.
+
+    The task's first and last anchor may go on in its neighbours, so their slices are all compared.
+    """
+    before = pending = None  # the row before; the one slice so far of the anchor that the last batch ended with
+    names = ["doc_id", "h", "anchor", "place", "whole"]
+
+    def marks(rows: np.ndarray, whole: int) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([*(pa.array(rows[KEYS.index(c)]) for c in names[:4]), pa.array(np.full(rows.shape[1], whole, np.int8))], names=names)
+
     for b in batches:
         if not b.num_rows:
             continue
-        k, s, d, p = (b.column(c).to_numpy() for c in ("anchor", "slice", "doc_id", "place"))
-        new_k = np.concatenate([[k[0] != prev_k if prev_k is not None else True], k[1:] != k[:-1]])
-        new_s = new_k | np.concatenate([[s[0] != prev_s if prev_s is not None else True], s[1:] != s[:-1]])
-        run = np.cumsum(new_k) - (1 if new_k[0] else 0)  # 0: still the anchor of the batch before, if that goes on
-        run = run if new_k[0] else run
-        distinct = np.bincount(run, weights=new_s)
-        out = [(d[~new_s], k[~new_s], p[~new_s], np.ones((~new_s).sum(), np.int8))]
-        continued = not new_k[0]
-        need = new_s & ((distinct[run] >= 2) | (continued & (run == 0)))
+        rows = np.stack([b.column(c).to_numpy() for c in KEYS])
+        prior = np.concatenate([rows[:, :1] if before is None else before, rows[:, :-1]], axis=1)
+        new_k, new_s = rows[0] != prior[0], (rows[:2] != prior[:2]).any(axis=0)
+        again = (rows == prior).all(axis=0)  # an equal row of the table
+        if before is None:
+            new_s[0], again[0] = True, False
+        run = np.cumsum(new_k)  # 0: the anchor of the batch before, or the task's first
+        several = np.bincount(run, weights=new_s) >= 2
+        several[0] = True
         if pending is not None:
-            if continued and distinct[0] >= 1:
-                out.append(tuple(np.array([v], np.int64) for v in pending[:3]) + (np.zeros(1, np.int8),))
+            if (new_s & (run == 0)).any():
+                yield marks(pending, 0)
                 pending = None
-            elif not continued or run[-1] > 0:
+            elif run[-1] > 0:
                 pending = None
-        out.append((d[need], k[need], p[need], np.zeros(need.sum(), np.int8)))
-        final = run[-1]
-        if not (continued and final == 0) and distinct[final] == 1:
-            i = int(np.flatnonzero(run == final)[0])
-            pending = (d[i], k[i], p[i])
-        elif not (continued and final == 0):
-            pending = None
-        prev_k, prev_s = k[-1], s[-1]
-        cols = [np.concatenate(c) for c in zip(*out, strict=True)]
-        if len(cols[0]):
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["doc_id", "anchor", "place", "whole"])
+        yield marks(rows[:, ~new_s & ~again], 1)
+        yield marks(rows[:, new_s & several[run]], 0)
+        if not several[run[-1]]:
+            at = int(np.flatnonzero(new_s)[-1])
+            pending = rows[:, at : at + 1]
+        before = rows[:, -1:]
+    if pending is not None:
+        yield marks(pending, 0)
 
 
 def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,7 +159,7 @@ def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for at in range(0, whole.num_rows, 512):
             part = whole.slice(at, 512)
             packed = [press.compress((t or "").encode()) for t in part.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(packed, pa.binary())], names=["doc_id", "packed"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("h"), pa.array(packed, pa.binary())], names=["doc_id", "h", "packed"])
 
 
 def _unpack(data: bytes) -> bytes:
@@ -156,45 +167,100 @@ def _unpack(data: bytes) -> bytes:
 
 
 def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The bytes of the wanted slices; of a large anchor, the windows' digests, each in a part of its own."""
+    kinds = [(c, pa.int64()) for c in ("anchor", "part", "doc_id", "h", "start")] + [("digest", pa.binary()), ("bytes", pa.binary())]
+    digest = xxhash.xxh3_128_digest
     for whole in batches:
         for at in range(0, whole.num_rows, 128):
-            part = whole.slice(at, 128)
-            rows: tuple[list, list, list, list] = ([], [], [], [])
-            for doc_id, packed, wanted in zip(part.column("doc_id").to_pylist(), part.column("packed").to_pylist(), part.column("wanted").to_pylist(), strict=True):
+            rows: list[tuple] = []
+            for doc_id, h, packed, wanted in zip(*(whole.slice(at, 128).column(c).to_pylist() for c in ("doc_id", "h", "packed", "wanted")), strict=True):
                 text = _unpack(packed)
                 for w in wanted:
                     start = w["place"] >> 8
-                    rows[0].append(w["anchor"])
-                    rows[1].append(doc_id)
-                    rows[2].append(start)
-                    rows[3].append(text[start : start + (w["place"] & 255) + DEPTH])
-            if rows[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.int64()), pa.array(rows[2], pa.int64()), pa.array(rows[3], pa.binary())], names=["anchor", "doc_id", "start", "bytes"])
+                    end = start + (w["place"] & 255) + 1
+                    if not w["large"]:
+                        rows.append((w["anchor"], 0, doc_id, h, start, b"", text[start : end - 1 + DEPTH]))
+                        continue
+                    for i in range(start, end):
+                        d = digest(text[i : i + DEPTH])
+                        rows.append((w["anchor"], int.from_bytes(d[:8], "big", signed=True) or 1, doc_id, h, i, d, b""))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(zip(*rows, strict=True), kinds, strict=True)], names=[c for c, _ in kinds])
+
+
+def equal_windows(group: np.ndarray, data: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(row, place in it) of every window that equals an earlier one of its group; `group` numbers the rows, in order.
+
+    Digits are `DIGIT` bytes as a number, the most significant first; what is alone after a pass leaves.
+    """
+    size = np.fromiter(map(len, data), np.int64, len(data))
+    begin = np.cumsum(size) - size
+    raw = np.frombuffer(b"".join(data) + b"\0" * DIGIT, np.uint8)
+    number = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(raw, DIGIT)).view(">u8").ravel().astype(np.uint64)
+    count = np.maximum(size - DEPTH + 1, 0)
+    row = np.repeat(np.arange(len(data)), count)
+    at = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count) + begin[row]
+    key = group[row].astype(np.int64)
+    item = np.arange(len(row))
+    for offset in [*range(0, DEPTH - DIGIT, DIGIT), DEPTH - DIGIT]:
+        digit = number[at[item] + offset]
+        order = np.lexsort((digit, key))  # stable: a group's windows stay in the order of the documents
+        item, key, digit = item[order], key[order], digit[order]
+        new = np.concatenate([[True], (key[1:] != key[:-1]) | (digit[1:] != digit[:-1])]) if len(item) else np.zeros(0, bool)
+        key = np.cumsum(new)
+        shared = np.bincount(key)[key] > 1 if len(key) else new
+        item, key = item[shared], key[shared]
+        if not len(item):
+            break
+    later = np.concatenate([[False], key[1:] == key[:-1]]) if len(item) else np.zeros(0, bool)
+    item = np.sort(item[later])
+    return row[item], at[item] - begin[row[item]]
+
+
+COVER, ORDER = ["doc_id", "h", "start", "end"], ["anchor", "part", "digest", "doc_id", "h", "start"]
 
 
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From slices sorted by (anchor, doc_id, start): the bytes covered by windows seen before under the same anchor."""
-    anchor, seen, digest = None, set(), xxhash.xxh3_64_intdigest
+    """From rows sorted by `ORDER`: the bytes covered by windows seen before under the same anchor.
+
+    Slices of whole anchors are gathered and sorted together; a large anchor's windows come one a row, equal ones next to each other.
+    """
+    keys: list[tuple[int, int, int, int]] = []
+    data: list[bytes] = []
+    window = first = None
+
+    def covers() -> pa.RecordBatch | None:
+        k = np.array(keys, np.int64)
+        row, place = equal_windows(np.cumsum(np.concatenate([[0], k[1:, 0] != k[:-1, 0]])), data)
+        if not len(row):
+            return None
+        start = k[row, 3] + place
+        head = np.concatenate([[True], (row[1:] != row[:-1]) | (start[1:] > start[:-1] + DEPTH)])
+        last = np.concatenate([head[1:], [True]])
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in (k[row[head], 1], k[row[head], 2], start[head], start[last] + DEPTH)], names=COVER)
+
     for b in batches:
-        out: tuple[list, list, list] = ([], [], [])
-        for a, doc_id, start, data in zip(*(b.column(c).to_pylist() for c in ("anchor", "doc_id", "start", "bytes")), strict=True):
-            if a != anchor:
-                anchor, seen = a, set()
-            begin = end = -1
-            for i in range(len(data) - DEPTH + 1):
-                w = digest(data[i : i + DEPTH])
-                if w not in seen:
-                    seen.add(w)
-                elif end >= start + i:
-                    end = start + i + DEPTH
-                else:
-                    if begin >= 0:
-                        out[0].append(doc_id), out[1].append(begin), out[2].append(end)
-                    begin, end = start + i, start + i + DEPTH
-            if begin >= 0:
-                out[0].append(doc_id), out[1].append(begin), out[2].append(end)
-        if out[0]:
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], names=["doc_id", "start", "end"])
+        singles: list[tuple] = []
+        for anchor, part, digest, *key, text in zip(*(b.column(c).to_pylist() for c in (*ORDER, "bytes")), strict=True):
+            if part:
+                if (anchor, digest) != window:
+                    window, first = (anchor, digest), key
+                elif key != first:
+                    singles.append((*key, key[2] + DEPTH))
+                continue
+            if keys and (anchor, *key) == keys[-1]:  # from an equal row of the table
+                continue
+            if len(keys) >= BATCH and anchor != keys[-1][0]:
+                if (got := covers()) is not None:
+                    yield got
+                keys.clear()
+                data.clear()
+            keys.append((anchor, *key))
+            data.append(text)
+        if singles:
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*singles, strict=True)], names=COVER)
+    if keys and (got := covers()) is not None:
+        yield got
 
 
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -213,9 +279,9 @@ def _apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for at in range(0, whole.num_rows, 256):
             part, rows = whole.slice(at, 256), []
-            for doc_id, packed, covers in zip(part.column("doc_id").to_pylist(), part.column("packed").to_pylist(), part.column("covers").to_pylist(), strict=True):
+            for doc_id, packed, covers, gone in zip(*(part.column(c).to_pylist() for c in ("doc_id", "packed", "covers", "gone")), strict=True):
                 text = _unpack(packed)
-                spans = merged([(c["start"], c["end"]) for c in covers or ()])
+                spans = [(0, len(text))] if gone and len(text) >= DEPTH else merged([(c["start"], c["end"]) for c in covers or ()])
                 sha, done = hashlib.sha256(), 0
                 for s, e in spans:
                     sha.update(text[done:s])
@@ -227,19 +293,34 @@ def _apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def deduplicate(docs: DataFrame) -> DataFrame:
     """What is removed from each row of `docs` (doc_id, text); see SCHEMA."""
-    n = common.partitions(docs.sparkSession)
-    d = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), "text")
-    filed = d.mapInArrow(_file, "anchor long, slice long, doc_id long, place long")
-    marks = filed.repartition(2 * n, "anchor").sortWithinPartitions("anchor", "slice", "doc_id", "place").mapInArrow(_repeats, "doc_id long, anchor long, place long, whole byte")
+    n, key = common.partitions(docs.sparkSession), ["doc_id", "h"]
+    d = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("h"), "text")
+    filed = d.mapInArrow(_file, "anchor long, slice long, doc_id long, h long, place long")
+    marks = filed.repartitionByRange(2 * n, "anchor", "slice").sortWithinPartitions(*KEYS).mapInArrow(_repeats, "doc_id long, h long, anchor long, place long, whole byte")
     marks = common.durable(marks, "repeats")
-    packed = d.mapInArrow(_pack, "doc_id long, packed binary")
-    wanted = marks.where("whole = 0").groupBy("doc_id").agg(F.collect_list(F.struct("anchor", "place")).alias("wanted"))  # at most one a byte of the text
-    slices = packed.join(wanted, "doc_id").select("doc_id", "packed", "wanted").mapInArrow(_cut, "anchor long, doc_id long, start long, bytes binary")
-    partly = slices.repartition(n, "anchor").sortWithinPartitions("anchor", "doc_id", "start").mapInArrow(_compare, "doc_id long, start long, end long")
+    open_ = marks.where("whole = 0")
+    large = common.durable(open_.groupBy("anchor").agg(F.count(F.lit(1)).alias("_of")).where(F.col("_of") > LARGE).select(F.col("anchor").alias("_large")), "large-anchors")
+    open_ = open_.join(large, F.col("anchor") == F.col("_large"), "left")
+    packed = d.mapInArrow(_pack, "doc_id long, h long, packed binary")
+    wanted = open_.groupBy(*key).agg(F.collect_list(F.struct("anchor", "place", F.col("_large").isNotNull().alias("large"))).alias("wanted"))  # at most one a byte of the text
+    slices = packed.join(wanted, key).select(*key, "packed", "wanted").mapInArrow(_cut, "anchor long, part long, doc_id long, h long, start long, digest binary, bytes binary")
+    partly = slices.repartition(n, "anchor", "part").sortWithinPartitions(*ORDER).mapInArrow(_compare, "doc_id long, h long, start long, end long")
     start = F.shiftright("place", 8)
-    fully = marks.where("whole = 1").select("doc_id", start.alias("start"), (start + F.col("place").bitwiseAND(255) + DEPTH).alias("end"))
-    covers = fully.unionByName(partly).groupBy("doc_id").agg(F.collect_list(F.struct("start", "end")).alias("covers"))
-    return packed.join(covers, "doc_id", "left").select("doc_id", "packed", "covers").mapInArrow(_apply, SCHEMA)
+    fully = marks.where("whole = 1").select(*key, start.alias("start"), (start + F.col("place").bitwiseAND(255) + DEPTH).alias("end"))
+    covers = fully.unionByName(partly).groupBy(*key).agg(F.collect_list(F.struct("start", "end")).alias("covers"))
+    often = common.durable(d.groupBy(*key).agg(F.count(F.lit(1)).alias("_rows")).where("_rows > 1"), "equal-rows")
+    once, none = packed, F.lit(None).cast("array<struct<start:bigint,end:bigint>>")
+    later = None
+    if not often.isEmpty():  # of equal rows, one is judged like any other, and the others are copies of it
+        once = packed.join(often, key, "left_anti")
+        same = packed.join(often, key).groupBy(*key, "_rows").agg(F.first("packed").alias("packed"))
+        once = once.unionByName(same.drop("_rows"))
+        later = same.select("doc_id", "packed", none.alias("covers"), F.lit(True).alias("gone"), "_rows")
+    out = once.join(covers, key, "left").select("doc_id", "packed", "covers", F.lit(False).alias("gone")).mapInArrow(_apply, SCHEMA)
+    if later is not None:
+        copies = later.select("doc_id", "packed", "covers", "gone", F.explode(F.sequence(F.lit(2).cast("long"), F.col("_rows"))).alias("_copy")).repartition(n)
+        out = out.unionByName(copies.drop("_copy").mapInArrow(_apply, SCHEMA))
+    return out
 
 
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
