@@ -15,7 +15,8 @@ documents tests in place, so texts are never exchanged; a larger benchmark is jo
 
 Edge cases: null or empty texts match nothing; items of fewer than `SHORTEST` tokens, and windows with fewer than four
 plain tokens, have templates too general to match and are found word for word only (an item of one word in every document that
-has the word); items shorter than `WINDOW` are one window of their own length; repeated rows of a doc_id are one document; ties cannot arise; an empty table on either side gives an empty result; other columns are ignored.
+has the word); items shorter than `WINDOW` are one window of their own length; rows are told
+apart by doc_id (null or not) and text, so each text is judged on its own, and equal rows give one result; ties cannot arise; an empty table on either side gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -51,6 +52,10 @@ def words(raw: Column) -> Column:
     return F.transform(raw, lambda t: F.lower(F.ltrim(t, F.lit(MARK))))
 
 
+def _text_key(text: Column) -> Column:
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
 def _word_key(w: Column) -> Column:
     return F.xxhash64(w, F.lit("words"))  # apart from the templates' keys
 
@@ -92,8 +97,8 @@ def _found(w: int, known: list[int] | None) -> Column:
     return common.let(tokens(F.col("text")), lambda raw: common.let(template(raw), lambda t: common.let(words(raw), lambda low: windows(raw, t, low))))
 
 
-def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """One row for each (doc_id, item_id) with a copy: windows, share of the item's windows, slots of the best copy."""
+def _copies(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """One row for each (doc_id, _text, item_id) with a copy, where _text is the hash of the document's text."""
     items = common.durable(item_windows(benchmark), "benchmark-windows")
     widths = sorted(r[0] for r in items.select("_w").distinct().collect())  # at most WINDOW numbers
     known = items.select("_hash").distinct()
@@ -101,11 +106,11 @@ def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     hits = None
     for w in widths:
         found = _found(w, [r[0] for r in items.where(F.col("_w") == w).select("_hash").distinct().collect()] if inline else None)
-        rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.explode(F.array(found)).alias("_found"))
-        each = rows.select("doc_id", F.explode("_found").alias("_x"))
-        each = each.select("doc_id", F.col("_x.p").alias("_p"), F.col("_x.h").alias("_h"), F.col("_x.v").alias("_v"), F.lit(w).alias("_width"))
+        rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), _text_key(F.col("text")).alias("_text"), F.explode(F.array(found)).alias("_found"))
+        each = rows.select("doc_id", "_text", F.explode("_found").alias("_x"))
+        each = each.select("doc_id", "_text", F.col("_x.p").alias("_p"), F.col("_x.h").alias("_h"), F.col("_x.v").alias("_v"), F.lit(w).alias("_width"))
         hits = each if hits is None else hits.unionByName(each)
-    schema = "doc_id long, item_id long, n_windows long, coverage double, n_slots long"
+    schema = "doc_id long, _text long, item_id long, n_windows long, coverage double, n_slots long"
     if hits is None:
         return docs.sparkSession.createDataFrame([], schema)
     right = F.broadcast(items) if inline else items
@@ -113,25 +118,30 @@ def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     own_word = words(F.slice("_v", 1, 1)) == words(F.slice("_values", 1, 1))
     m = m.where(~F.col("_first") | own_word)
     slot_pairs = F.filter(F.arrays_zip(F.col("_slots").alias("s"), F.col("_values").alias("a"), F.col("_v").alias("b")), lambda x: x["s"].isin(*SLOTS))
-    m = m.select("doc_id", "item_id", "_kind", "_first", "_n", "_at", (F.col("_p") - F.col("_at")).alias("_diagonal"), F.transform(slot_pairs, lambda x: F.struct(F.lower(x["a"]).alias("a"), F.lower(x["b"]).alias("b"))).alias("_pairs"))
+    m = m.select("doc_id", "_text", "item_id", "_kind", "_first", "_n", "_at", (F.col("_p") - F.col("_at")).alias("_diagonal"), F.transform(slot_pairs, lambda x: F.struct(F.lower(x["a"]).alias("a"), F.lower(x["b"]).alias("b"))).alias("_pairs"))
     # Words cover every window of an item, so their number of windows is that of both keys together.
     n = right.where("_kind = 'words'").groupBy(F.col("item_id").alias("_i")).agg(F.max("_n").alias("_every"))
     m = m.join(F.broadcast(n) if inline else n, F.col("item_id") == F.col("_i"))
     # A first window with a name belongs to "named" and "both" only, so that "template" counts windows as they stand.
     m = m.withColumn("_kind", F.explode(F.array_compact(F.array(F.when(~F.col("_first"), F.col("_kind")), F.when(F.col("_kind") == "template", "named"), F.lit("both"))))).withColumn("_n", F.when(F.col("_kind") == "both", F.col("_every")).otherwise(F.col("_n")))
     # A diagonal has at most the item's windows, so its sets are bounded by the item's length.
-    copy = m.groupBy("doc_id", "item_id", "_kind", "_n", "_diagonal").agg(F.countDistinct("_at").alias("_m"), F.array_distinct(F.flatten(F.collect_set("_pairs"))).alias("_pairs"))
+    copy = m.groupBy("doc_id", "_text", "item_id", "_kind", "_n", "_diagonal").agg(F.countDistinct("_at").alias("_m"), F.array_distinct(F.flatten(F.collect_set("_pairs"))).alias("_pairs"))
     consistent = F.size(F.array_distinct(F.transform("_pairs", lambda x: x["a"]))) == F.size("_pairs")
     copy = copy.where((F.col("_m") >= F.least(F.lit(LEAST), F.col("_n"))) & consistent)
     most = lambda c: F.coalesce(F.max(F.when(F.col("_kind") == "template", c)), F.max(c))
-    best = copy.groupBy("doc_id", "item_id").agg(most(F.col("_m")).alias("n_windows"), most(F.col("_m") / F.col("_n")).alias("coverage"), most(F.size("_pairs")).cast("long").alias("n_slots"))
-    return best.select("doc_id", "item_id", "n_windows", F.round("coverage", 6).alias("coverage"), "n_slots")
+    best = copy.groupBy("doc_id", "_text", "item_id").agg(most(F.col("_m")).alias("n_windows"), most(F.col("_m") / F.col("_n")).alias("coverage"), most(F.size("_pairs")).cast("long").alias("n_slots"))
+    return best.select("doc_id", "_text", "item_id", "n_windows", F.round("coverage", 6).alias("coverage"), "n_slots")
+
+
+def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """One row for each document and item with a copy: windows, share of the item's windows, slots of the best copy."""
+    return _copies(docs, benchmark).drop("_text")
 
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of `docs` without a copy of a benchmark item, with all columns."""
-    bad = common.durable(find(docs, benchmark).select(F.col("doc_id").alias("_bad")).distinct(), "contaminated")
-    return docs.join(bad, docs["doc_id"] == bad["_bad"], "left_anti")
+    bad = common.durable(_copies(docs, benchmark).select(F.col("doc_id").alias("_bad"), "_text").distinct(), "contaminated")
+    return docs.join(bad, docs["doc_id"].cast("long").eqNullSafe(bad["_bad"]) & (_text_key(docs["text"]) == bad["_text"]), "left_anti")
 
 
 def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
