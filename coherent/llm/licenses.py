@@ -1,9 +1,9 @@
 """License scans by ordered signature rules, with DataFrame functions only.
 
-A text is lower-cased (A-Z) and normalised to its words with single spaces. Each family of licenses has names; every name
-yields rules for its SPDX tag, for prose that grants under it, and for a plain mention, in this order of priority. A rule
-is tried only where its keyword occurs in the normalised text, and all of them only where one of `STEMS` does: every match of
-every rule holds both, so neither leaves out a match.
+A text is lower-cased (A-Z) and normalised to its words with single spaces. The signatures, in order of priority: passages of the
+licenses themselves (4), file headers and notices (3; both in `license_texts`), tags and field values of a license's name (3), prose
+that grants under a name (2), a plain mention (1). A rule is tried only where its keyword, a run of words that every match of it
+holds, occurs in the normalised text, and all of them only where one of `STEMS` does, of which every rule needs one.
 Detections are intervals; one that lies within another of at least its priority is suppressed.
 
 The base phrases are counted on the words themselves: every place where a phrase's words stand one after the other.
@@ -18,13 +18,17 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
+from .license_texts import BODIES, NOTICES, literal
 
 TOKEN = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 GAP = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 BASE = (("apache", ("apache", "license")), ("gpl", ("general", "public", "license")), ("mit", ("mit", "license")))
 #: A text without any of these has no signature: a tag and a mention hold "licen" or "version", a grant one of its verbs, and
 #: each of `OTHERS` a word of its own. Single words, as the text has other gaps than the normalised one.
-STEMS = ("licen", "version", "released", "distribut", "available", "published", "covered", "provided", "governed", "domain", "reserved", "proprietary", "copyright", "copyleft")
+STEMS = ("licen", "version", "released", "distribut", "available", "published", "covered", "provided", "governed", "domain", "reserved", "proprietary", "copyright", "copyleft",
+         "permi", "freedom", "waive", "warrant", "liab", "clause", "attribution", "software", "dealings", "executable", "stuff", "fuck", "endorse",
+         "prominent", "forming", "verbatim", "derivative", "statically", "png", "commercial", "restrictions", "invariant", "gcc", "mozilla",
+         "sil", "lppl", "charityware", "prohibited", "reproduced", "agreement", "oracle")
 #: label: names as they read after normalising; the first words of each name are its keyword.
 FAMILIES: dict[str, tuple[str, ...]] = {
     "mit": ("mit", "expat", "x11"), "mit-0": ("mit 0", "mit no attribution"), "isc": ("isc", "internet systems consortium"),
@@ -40,6 +44,7 @@ FAMILIES: dict[str, tuple[str, ...]] = {
     "python-2.0": ("python software foundation", "psf", "python 2 0"), "php-3.01": ("php license", "php 3 01"), "ruby": ("ruby license",), "ncsa": ("ncsa", "university of illinois"), "openssl": ("openssl",), "ofl-1.1": ("ofl 1 1", "sil open font"), "postgresql": ("postgresql license",), "ms-pl": ("ms pl", "microsoft public"), "ms-rl": ("ms rl", "microsoft reciprocal"), "nasa": ("nasa open source",), "intel": ("intel open source",), "ipl-1.0": ("ipl 1 0", "ibm public"), "lppl": ("lppl", "latex project public"), "qpl": ("qpl", "q public"), "sleepycat": ("sleepycat",), "vim": ("vim license",), "w3c": ("w3c software", "w3c license"), "zope": ("zope public", "zpl"), "upl-1.0": ("upl 1 0", "universal permissive"), "mulanpsl-2.0": ("mulan psl",), "cecill": ("cecill",), "odbl": ("odbl", "open database license"), "odc-by": ("odc by", "open data commons attribution"), "pddl": ("pddl", "public domain dedication and"), "blueoak": ("blue oak model",), "hippocratic": ("hippocratic license",), "openrail": ("openrail", "open rail"), "llama": ("llama community",),
     "cc0": ("cc0", "creative commons zero", "cc zero"), "cc-by": ("cc by", "creative commons attribution"), "cc-by-sa": ("cc by sa", "creative commons attribution sharealike", "creative commons attribution share alike"), "cc-by-nc": ("cc by nc", "creative commons attribution noncommercial", "creative commons attribution non commercial"), "cc-by-nd": ("cc by nd", "creative commons attribution noderivatives", "creative commons attribution no derivatives"), "cc-by-nc-sa": ("cc by nc sa", "creative commons attribution noncommercial sharealike"), "cc-by-nc-nd": ("cc by nc nd", "creative commons attribution noncommercial noderivatives"),
 }
+TOP = 4
 OTHERS = (
     ("public-domain", "public domain", r"(?:in|into|to) the public domain", 2), ("public-domain", "public domain", r"dedicated to (?:\S+ ){0,3}public domain", 3),
     ("proprietary", "all rights reserved", r"all rights reserved", 1), ("proprietary", "proprietary", r"proprietary (?:and confidential|licen[sc]e|software)", 2),
@@ -56,6 +61,7 @@ def rules() -> list[tuple[str, str, str, int]]:
             out.append((label, f" {name}", rf" (?:spdx )?license identifier(?: \S+)?? {name}(?= )(?: only| or later)?", 3))
             out.append((label, f" {name}", rf" {GRANT} {name}(?= )(?:(?: software| public)? licen[sc]e)?", 2))
             out.append((label, f" {name}", rf" (?:the )?{name}(?:(?: software| public)? licen[sc]e| version [0-9](?: [0-9])?)", 1))
+    out += [(label, literal(pattern), f" {pattern}(?= )", priority) for table, priority in ((BODIES, 4), (NOTICES, 3)) for label, pattern in table]
     return out + [(label, f" {key}", f" {pattern}(?= )", priority) for label, key, pattern, priority in OTHERS]
 
 
@@ -81,15 +87,15 @@ def _detections(norm: Column) -> Column:
 def _resolved(found: Column) -> Column:
     """Suppress what lies within another detection of at least its priority. One pass in order of start, longest first."""
     none = F.lit(-1)
-    acc = F.struct(none.alias("m1"), none.alias("m2"), none.alias("m3"), F.array().cast("array<struct<s:int,e:int,prio:int,label:string>>").alias("kept"))
+    acc = F.struct(*[none.alias(f"m{k}") for k in range(1, TOP + 1)], F.array().cast("array<struct<s:int,e:int,prio:int,label:string>>").alias("kept"))
 
     def step(a: Column, d: Column) -> Column:
         end, prio = -d["ne"], -d["np"]
         # m_k: the furthest end so far of a detection of priority k or more
-        reach = F.when(prio >= 3, a["m3"]).when(prio == 2, a["m2"]).otherwise(a["m1"])
+        reach = F.element_at(F.array(*[a[f"m{k}"] for k in range(1, TOP + 1)]), prio)
         one = F.struct(d["s"].alias("s"), end.alias("e"), prio.alias("prio"), d["label"].alias("label"))
         keep = lambda k: F.when(prio >= k, F.greatest(a[f"m{k}"], end)).otherwise(a[f"m{k}"])
-        return F.struct(keep(1).alias("m1"), keep(2).alias("m2"), keep(3).alias("m3"), F.when(end <= reach, a["kept"]).otherwise(F.concat(a["kept"], F.array(one))).alias("kept"))
+        return F.struct(*[keep(k).alias(f"m{k}") for k in range(1, TOP + 1)], F.when(end <= reach, a["kept"]).otherwise(F.concat(a["kept"], F.array(one))).alias("kept"))
 
     return F.aggregate(F.array_sort(F.array_distinct(found)), acc, step, lambda a: a["kept"])
 
@@ -140,5 +146,5 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.select(
         "doc_id", "n_words", F.size(every).cast("long").alias("n_base"), F.array_min(every).cast("long").alias("first_word"), F.array_max(every).cast("long").alias("last_word"),
         F.array_join(base, ",").alias("base_labels"), F.array_join(F.array_sort(F.array_union(base, own)), ",").alias("labels"),
-        F.greatest(F.coalesce(F.lit(0.3) * top, F.lit(0.0)), F.when(F.size(base) > 0, 0.8).otherwise(0.0)).alias("score"), F.size("detections").cast("long").alias("n_detections"),
+        F.greatest(F.coalesce(F.lit(0.25) * top, F.lit(0.0)), F.when(F.size(base) > 0, 0.8).otherwise(0.0)).alias("score"), F.size("detections").cast("long").alias("n_detections"),
     )
