@@ -59,43 +59,134 @@ def by_id(df):
     return {r.doc_id: r for r in df.collect()}
 
 
-def test_near_duplicates(docs, rows, empty):
-    sets = {}
-    for i, t, *_ in rows:
-        w = re.findall(common.WORD, (t or "").translate(LOWER))
-        sets[i] = {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if w else set()
-    root = {i: i for i in sets}
+def shingles(text):
+    w = re.findall(common.WORD, (text or "").translate(LOWER))
+    return {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if w else set()
+
+
+def linked(sets):
+    """The number of each set's group: the smallest place reachable over links."""
+    root = list(range(len(sets)))
 
     def find(x):
         while root[x] != x:
             x = root[x]
         return x
 
-    for a in sets:
-        for b in sets:
-            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]):
-                x, y = sorted((find(a), find(b)))
-                root[y] = x
+    for a, x in enumerate(sets):
+        for b in range(a):
+            if x and 100 * len(x & sets[b]) >= 75 * len(x | sets[b]):
+                p, q = sorted((find(a), find(b)))
+                root[q] = p
+    return [find(i) for i in range(len(sets))]
+
+
+def test_near_duplicates(docs, rows, empty):
+    sets = [shingles(t) for _, t, *_ in rows]
+    want = {i: (len(sets[i]), g, g == i) for i, g in enumerate(linked(sets))}
     got = by_id(neardup.group(docs))
-    assert {i: (len(sets[i]), find(i), find(i) == i) for i in sets} == {i: (r.n_shingles, r.component_id, r.kept) for i, r in got.items()}
+    assert {i: (r.n_shingles, r.component_id, r.kept) for i, r in got.items()} == want
     assert neardup.group(empty).count() == 0
 
 
-def test_repeated_strings(docs, rows, empty):
-    seen, want = set(), {}
-    for i, t, *_ in rows:
-        b, spans = (t or "").encode(), []
+def test_near_duplicates_of_null_and_repeated_numbers(spark):
+    a, b, c, d = (" ".join(f"{x}{i}" for i in range(60)) for x in "abcd")
+    near = lambda t: t + " tail"
+    long = " ".join(f"w{i % 50_000}" for i in range(250_000))  # over a megabyte
+    rows = [(3, a), (7, near(a)), (7, b), (None, near(near(a))), (None, c), (None, near(c)), (None, None), (None, ""), (4, d), (4, d), (4, None), (9, long), (8, long + " x"), (1, "one two"), (2, "One  two")]
+    df = spark.createDataFrame([(*r, 1, "x") for r in rows], "doc_id long, text string, h int, `c0.n` string").repartition(3)
+    groups = linked([shingles(t) for _, t in rows])
+    least = [min((rows[j][0] for j in range(len(rows)) if groups[j] == g and rows[j][0] is not None), default=None) for g in groups]
+    show = lambda x: tuple("" if v is None else str(v) for v in x)
+    got = sorted(show((r.doc_id, r.n_shingles, r.component_id)) for r in neardup.group(df).collect())
+    assert got == sorted(show((i, len(shingles(t)), least[k])) for k, (i, t) in enumerate(rows))
+    kept = neardup.keep_one(df)
+    assert kept.columns == df.columns
+    left = [(r.doc_id, r.text) for r in kept.collect()]
+    # One row of each group, of the least number; all rows without words.
+    assert sorted(show(x) for x in left if x[1] not in (c, near(c))) == sorted(show(x) for x in [(3, a), (7, b), (None, None), (None, ""), (4, d), (4, None), (8, long + " x"), (1, "one two")])
+    assert len([x for x in left if x[1] in (c, near(c))]) == 1
+
+
+def test_large_families_and_shared_boilerplate(spark):
+    rng = random.Random(21)
+    word = lambda: f"w{rng.randrange(5000)}"
+    plate = [word() for _ in range(60)]
+    base = [word() for _ in range(120)]
+    texts = []
+    for i in range(900):
+        if i % 3 == 0:  # a family of near copies
+            w = list(base)
+            w[rng.randrange(120)] = f"edit{i}"
+            texts.append(w)
+        else:  # half of it shared by all, the rest its own
+            texts.append(plate + [word() for _ in range(60)])
+    rows = [(i, " ".join(w)) for i, w in enumerate(texts)]
+    sets = [shingles(t) for _, t in rows]
+    got = by_id(neardup.group(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)))
+    assert [got[i].component_id for i in range(len(rows))] == linked(sets)
+
+
+def removed(rows, order):
+    """Expected rows of op6, one for each of `rows` taken in `order`."""
+    seen, out = set(), {}
+    for i in order:
+        b, spans = (rows[i][1] or "").encode(), []
         for j in range(len(b) - 99):
-            spans += [(j, j + 100)] if b[j : j + 100] in seen else []
-            seen.add(b[j : j + 100])
-        spans = substrings.merged(spans)
-        kept = bytes(c for j, c in enumerate(b) if not any(s <= j < e for s, e in spans))
-        want[i] = (len(b), sum(e - s for s, e in spans), len(spans), hashlib.sha256(kept).hexdigest())
-    got = by_id(substrings.deduplicate(docs))
-    assert {i: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for i, r in got.items()} == want
+            w = b[j : j + 100]
+            if w in seen:
+                spans.append((j, j + 100))
+            seen.add(w)
+        spans, kept, at = substrings.merged(spans), b"", 0
+        for s, e in spans:
+            kept, at = kept + b[at:s], e
+        out[i] = (rows[i][0], len(b), sum(e - s for s, e in spans), len(spans), hashlib.sha256(kept + b[at:]).hexdigest())
+    return out
+
+
+def test_repeated_strings(docs, rows, empty):
+    got = [(r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in substrings.deduplicate(docs).collect()]
+    assert sorted(got) == sorted(removed(rows, range(len(rows))).values())
     assert substrings.deduplicate(empty).count() == 0
 
 
+@pytest.mark.parametrize("large", [4096, 3])
+def test_repeated_strings_of_null_and_repeated_numbers(spark, monkeypatch, large):
+    monkeypatch.setattr(substrings, "LARGE", large)  # 3: every anchor is dealt over tasks by window
+    rng = random.Random(3)
+    vocabulary = ["".join(rng.choice("abcdefgh") for _ in range(rng.randrange(2, 9))) for _ in range(300)]
+    text = lambda k: " ".join(rng.choice(vocabulary) for _ in range(k))
+    shared, rows = [text(60) for _ in range(4)], []
+    for i in range(120):
+        t = text(rng.randrange(1, 80)) + (f" {rng.choice(shared)} {text(10)}" if i % 3 == 0 else "")
+        rows.append((rng.choice([i, i, None, i // 2]), rng.choice(rows)[1] if i % 7 == 6 else t))
+    rows += [(5, None), (5, "x" * 50), (None, ""), (9, "ü" * 400), (9, "ü" * 400), (9, "ü" * 400), (None, rows[0][1]), (None, rows[0][1]), (77, "ab" * 300_000), (78, text(110_000))]
+    df = spark.createDataFrame([(*r, 1, 2) for r in rows], "doc_id long, text string, h int, packed int").repartition(5)
+    h = [r.h for r in spark.createDataFrame(rows, "doc_id long, text string").select(F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")).collect()]
+    order = sorted(range(len(rows)), key=lambda i: (rows[i][0] is None, rows[i][0] or 0, h[i]))
+    key = lambda x: (x[0] is None, x[0] or 0, *x[1:])
+    got = [(r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in substrings.deduplicate(df).collect()]
+    assert sorted(got, key=key) == sorted(removed(rows, order).values(), key=key)
+
+
+def test_digit_passes():
+    rng = random.Random(1)
+    for _ in range(30):
+        base, rows, groups = bytes(rng.choice(b"ab") for _ in range(400)), [], []
+        for g in range(3):
+            for _ in range(rng.randrange(1, 8)):
+                a, size = rng.randrange(260), rng.randrange(100, 137)
+                rows.append(base[a : a + size] if rng.random() < 0.7 else bytes(rng.choice(b"ab") for _ in range(size)))
+                groups.append(g)
+        seen, want = set(), []
+        for i, (g, x) in enumerate(zip(groups, rows, strict=True)):
+            for j in range(len(x) - 99):
+                want += [(i, j)] if (g, x[j : j + 100]) in seen else []
+                seen.add((g, x[j : j + 100]))
+        row, place = substrings.equal_windows(substrings.np.array(groups), rows)
+        assert list(zip(row.tolist(), place.tolist(), strict=True)) == want
+
+
 def test_personal_data_equals_patterns():
     kinds = {
         "email": (re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"), lambda s: True),
@@ -114,9 +205,40 @@ def test_personal_data_equals_patterns():
     assert pii.mask("mail a@b.co now") == "mail <email> now"
 
 
-def test_personal_data_rows(docs, empty):
-    r = by_id(pii.scan(docs))
-    assert len(r) == 60 and r[4].base_sha256 is not None and pii.scan(empty).count() == 0
+def test_personal_data_rows(spark, docs, rows, empty):
+    assert len(by_id(pii.scan(docs))) == 60 and pii.scan(empty).count() == 0
+    digits = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+    text = "A é a@b.co and 10.0.0.1; 999.1.1.1 +1 (555) 123-4567 x@y.z.w, " * 9_000  # over half a megabyte
+    own = [(1, text, 1), (1, None, 1), (None, "a@b.co", 1), (2, "", 1), (2, "1.2.3.4", 1)]
+    got = spark.createDataFrame(own, "doc_id long, text string, n_email int").transform(pii.scan).collect()
+    assert sorted((r.doc_id or 0, r.n_email, r.n_ip, r.n_phone) for r in got) == [(0, 1, 0, 0), (1, 0, 0, 0), (1, 18_000, 9_000, 9_000), (2, 0, 0, 0), (2, 0, 1, 0)]
+    found = sorted((m.start(), list(digits).index(k), f"{k}:{m.start()}:{m.end()}") for k, p in digits.items() for m in re.finditer(p, text) if k != "ip" or all(int(x) < 256 for x in m[0].split(".")))
+    want = hashlib.sha256(",".join(x for *_, x in found).encode()).hexdigest()
+    assert [r.base_sha256 for r in got if r.n_ip == 9_000] == [want]
+
+
+def test_personal_data_of_added_kinds():
+    kinds = lambda t: [(pii.KINDS[k], t[s:e]) for s, k, e in pii.find(t) if k >= len(pii.BASE)]
+    long = "a1" * 4000
+    assert kinds(f"password: {long} end") == [("secret", long)]
+    assert kinds("my IBAN, as agreed at length with the office that handles all of these matters for us, is DE89 3704 0044 0532 0130 00.") == [("account", "DE89 3704 0044 0532 0130 00")]
+    assert kinds("IBAN\nDE89 3704 0044 0532 0130 00") == [] and kinds("iban DE88 3704 0044 0532 0130 00") == []
+    assert kinds("12 Baker street, rue de la Grande Paix de Notre Dame et du Bon Secours 7; Hauptstraße 5; calle Mayor, 12; true story 5; the road 4x4") == [
+        ("address", "12 Baker street"), ("address", "rue de la Grande Paix de Notre Dame et du Bon Secours 7"), ("address", "straße 5"), ("address", "calle Mayor, 12")]
+    assert kinds("see https://a.b/c?d=e, or ssn 123-45-6789") == [("url", "https://a.b/c?d=e"), ("identifier", "123-45-6789")]
+    for unit in ("iban ", "token=", "http://", " street", "rue Rue ", "account 1"):  # cues without end take time in proportion
+        pii.find(unit * 40_000)
+
+
+def longest_common(a, b, weight):
+    """Weight of the heaviest common subsequence, by dynamic programming."""
+    best = [0] * (len(b) + 1)
+    for x in a:
+        row = [0]
+        for j, y in enumerate(b):
+            row.append(max(best[j + 1], row[j], best[j] + weight(x) if x == y else 0))
+        best = row
+    return best[-1]
 
 
 def test_fingerprints(docs, rows, empty):
@@ -128,12 +250,64 @@ def test_fingerprints(docs, rows, empty):
         r = got[i]
         assert (r.n_chars, r.edited_sha256) == (len(own), hashlib.sha256(edited.encode()).hexdigest())
         assert r.fingerprint == fingerprint.fingerprint(own)[0] and (r.near_next == 1.0) == (own == nxt)
-        assert 0 <= r.near_edited <= 1
+        assert r.edited_fingerprint == fingerprint.fingerprint(edited)[0] and (r.near_edited == 1.0) == (own == edited)
+        places = [tuple(map(int, x.split(":"))) for x in r.edited_places.split(",") if x]
+        gone = sum(e - s for s, e in places)
+        if own != edited:
+            shared = len(own) - gone
+            assert r.near_edited == pytest.approx(shared / (len(own) + len(edited) - shared))
+            # What is left of the text is, in order, made of the other text's phrases: never more than the best alignment has.
+            assert shared <= longest_common(fingerprint.leaves(own), fingerprint.leaves(edited), len)
+            # All but the phrase that the cut goes through is found again, up to the cut.
+            assert not places or places[0][0] >= len(own) - half - 512
+        else:
+            assert not places
     assert "".join(fingerprint.leaves("A b. C d\n\nE\x00f" * 99)) == "A b. C d\n\nE\x00f" * 99
-    assert fingerprint.differing("a\nb\n\nc\nd", "a\nb\n\nc\nX") == [(1, 1)]
     assert fingerprint.compare_with_next(empty).count() == 0
 
 
+def test_fingerprint_trees():
+    rng = random.Random(9)
+    lines = ["".join(rng.choice(WORDS) + " " for _ in range(rng.randrange(1, 9))) for _ in range(40)]
+    for _ in range(200):
+        a = [rng.choice(lines) + rng.choice(["\n", "\n\n", ". "]) for _ in range(rng.randrange(0, 25))]
+        b = [x for x in a if rng.random() < 0.9] + [rng.choice(lines)] * rng.randrange(2)
+        if rng.random() < 0.3:
+            rng.shuffle(b)
+        x, y = "".join(a), "".join(b)
+        near, places = fingerprint.compare(fingerprint.tree(x), fingerprint.tree(y))
+        back, _ = fingerprint.compare(fingerprint.tree(y), fingerprint.tree(x))
+        assert 0 <= near <= 1 and (near == 1.0) == (x == y) == (back == 1.0)
+        assert (fingerprint.tree(x).digest == fingerprint.tree(y).digest) == (x == y)
+        shared = len(x) - sum(e - s for s, e in places)
+        assert shared <= longest_common(fingerprint.leaves(x), fingerprint.leaves(y), len)
+    # A single edit of a long text is found where it is, and order and repeats count.
+    text = "".join(f"Line {i} has its own words here.\n" + "\n" * (i % 7 == 0) for i in range(5000))
+    at = text.index("Line 3000 ")
+    edited = text.replace("Line 3000 has", "Line 3000 had")
+    near, places = fingerprint.compare(fingerprint.tree(text), fingerprint.tree(edited))
+    assert 0.999 < near < 1 and len(places) == 1 and at <= places[0][0] <= places[0][1] <= at + 40
+    swapped = fingerprint.compare(fingerprint.tree("One two.\nThree four.\n"), fingerprint.tree("Three four.\nOne two.\n"))
+    assert 0 < swapped[0] < 1
+    assert fingerprint.compare(fingerprint.tree("x.\n"), fingerprint.tree("x.\nx.\n"))[0] == 0.5
+    assert fingerprint.estimate(fingerprint.fingerprint(text)[0], fingerprint.fingerprint(edited)[0]) > 0.8
+
+
+def test_fingerprints_of_null_and_repeated_numbers(spark):
+    rng = random.Random(12)
+    keys = [rng.choice([None, None, i // 2, i]) for i in range(120)]
+    rows = [(k, f"text {rng.randrange(60)} " * rng.randrange(1, 30), 1, "e") for k in keys]
+    rows += [(7, "long " * 300_000, 1, "e")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _bucket int, _sha string").repartition(5)
+    order = sorted(rows, key=lambda r: (r[0] is None, r[0] or 0, hashlib.sha256(r[1].encode()).hexdigest()))
+    want = []
+    for i, (k, t, *_) in enumerate(order):
+        half, nxt = len(t) // 2, order[(i + 1) % len(order)][1]
+        want.append((k or -1, len(t), hashlib.sha256((t[: len(t) - half] + nxt[:half]).encode()).hexdigest()))
+    got = [(r.doc_id or -1, r.n_chars, r.edited_sha256) for r in fingerprint.compare_with_next(df).collect()]
+    assert sorted(got) == sorted(want)
+
+
 def test_sharding_against_brute_force(docs, rows, empty):
     got = by_id(sharding.interleave(docs))
     n, groups = len(rows), {}
@@ -209,8 +383,7 @@ def test_license_detections_against_brute_force(spark):
     for i, text in enumerate(texts):
         low = text.translate(LOWER)
         norm = f" {re.sub(licenses.GAP, ' ', low).strip(' ')} "
-        hits = {(m.start(), -m.end(), -prio, label) for label, key, rule, prio in licenses.rules() if key in norm for m in re.finditer(rule, norm, re.ASCII)}
-        hits = sorted(hits) if any(x in low for x in licenses.STEMS) else []
+        hits = sorted({(m.start(), -m.end(), -prio, label) for label, _, rule, prio in licenses.rules() for m in re.finditer(rule, norm, re.ASCII)})
         want = []
         for n, (s, e, prio, label) in enumerate(hits):
             if not any(e2 <= e and p2 <= prio for _, e2, p2, _ in hits[:n]):
@@ -233,16 +406,76 @@ def test_licenses_without_a_license_word(spark):
     assert all(got[i].detections for i in range(len(parts) - 1)) and not got[len(parts) - 1].detections
 
 
+def samples(pattern, rng):
+    """A text that matches `pattern`."""
+    from re import _parser as parser
+
+    def one(items):
+        out = ""
+        for op, arg in items:
+            name = str(op)
+            if name == "LITERAL":
+                out += chr(arg)
+            elif name == "IN":
+                kind, value = rng.choice(arg)
+                out += chr(value) if str(kind) == "LITERAL" else chr(rng.randint(*value)) if str(kind) == "RANGE" else rng.choice("wxyz")
+            elif name == "BRANCH":
+                out += one(rng.choice(arg[1]))
+            elif name in ("MAX_REPEAT", "MIN_REPEAT"):
+                out += "".join(one(arg[2]) for _ in range(rng.randint(arg[0], min(int(arg[1]), arg[0] + 3))))
+            elif name == "SUBPATTERN":
+                out += one(arg[3])
+            elif name == "ASSERT":
+                out += one(arg[1]) if arg[0] > 0 else ""
+            else:
+                raise ValueError(name)
+        return out
+
+    return one(parser.parse(pattern))
+
+
+def test_every_license_rule_is_reached(spark):
+    rng = random.Random(17)
+    rules = licenses.rules()
+    texts = [samples(rule, rng) + " end of it" for _, _, rule, _ in rules for _ in range(2)]
+    marked = [re.sub(" ", lambda _: rng.choice([" ", "\n", ", ", " (", '"-']), t).title() for t in texts]
+    got = by_id(licenses.scan(spark.createDataFrame(list(enumerate(marked)), "doc_id long, text string").repartition(4)))
+    for i, text in enumerate(marked):
+        norm = f" {re.sub(licenses.GAP, ' ', text.translate(LOWER)).strip(' ')} "
+        hits = sorted({(m.start(), -m.end(), -prio, label) for label, _, rule, prio in rules for m in re.finditer(rule, norm, re.ASCII)})
+        assert any(label == rules[i // 2][0] for *_, label in hits), (rules[i // 2], text)
+        want = [(norm[:s].count(" "), norm[:-e].count(" "), -p, label) for n, (s, e, p, label) in enumerate(hits) if not any(e2 <= e and p2 <= p for _, e2, p2, _ in hits[:n])]
+        assert [(d.s, d.e, d.prio, d.label) for d in got[i].detections] == want, text
+    bodies = {"Permission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files (the \"Software\")": "mit", "Redistribution and use in source and binary forms, with or without\n modification, are permitted provided that the following conditions are met:": "bsd"}
+    for text, label in bodies.items():
+        assert [x.label for x in licenses.scan(spark.createDataFrame([(1, text)], "doc_id long, text string")).first().detections] == [label]
+
+
 def test_decontamination(spark, docs, empty):
     item = "If Anna buys 12 apples and then 7 pears for 3 km of road, how many fruits does she carry home"
-    bench = spark.createDataFrame([(1, item), (2, "too short"), (3, None)], "item_id long, text string")
-    texts = [(1, "So. " + item + " today?"), (2, item.replace("12", "40").replace("Anna", "Maria")), (3, item.replace("12", "40", 1) + " " + "noise " * 20), (4, "nothing here at all"), (5, None), (6, item[:30])]
+    slots = "take 12 apples from 12 boxes and eat 12 pears by 12 noon"
+    bench = spark.createDataFrame([(1, item), (2, "too short"), (3, None), (4, slots)], "item_id long, text string")
+    texts = [(1, "So. " + item + " today?"), (2, item.replace("12", "40").replace("Anna", "Maria")), (3, item.replace("12", "40", 1) + " " + "noise " * 20), (4, "nothing here at all"), (5, None), (6, item[:30]),
+             (7, slots.replace("12", "15")), (8, "take 15 apples from 16 boxes and eat 17 pears by 18 noon"), (9, "word " * 200_000 + item)]
     found = decontamination.find(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()
-    assert {(r.doc_id, r.item_id) for r in found} == {(1, 1), (2, 1), (3, 1)}
-    assert {r.doc_id for r in decontamination.clean(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()} == {4, 5, 6}
+    # In document 8 the item's one value has become four: not one re-parameterisation.
+    assert {(r.doc_id, r.item_id) for r in found} == {(1, 1), (2, 1), (3, 1), (7, 4), (9, 1)}
+    assert {r.doc_id for r in decontamination.clean(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()} == {4, 5, 6, 8}
     assert decontamination.find(empty, bench).count() == 0 and decontamination.find(docs, bench.where("1 = 0")).count() == 0
 
 
+def test_decontamination_of_null_and_repeated_numbers(spark):
+    item = "Which of the many old bridges over the river is the longest one in town"
+    bench = spark.createDataFrame([(1, item), (1, item), (None, None)], "item_id long, text string")
+    half = [item[:33], item[33:]]
+    rows = [(None, item), (None, "clean words only"), (None, None), (5, item), (5, "other"), (5, item), (6, half[0]), (6, half[1]), (7, "fine")]
+    df = spark.createDataFrame([(*r, 1, 2, 3) for r in rows], "doc_id long, text string, _bad int, _text int, item_id int")
+    assert sorted((r.doc_id or 0, r.item_id) for r in decontamination.find(df, bench).collect()) == [(0, 1), (5, 1)]
+    kept = decontamination.clean(df, bench)
+    assert kept.columns == df.columns
+    assert sorted((r.doc_id or 0, r.text or "") for r in kept.collect()) == sorted((a or 0, b or "") for a, b in rows if b != item)
+
+
 def test_decontamination_word_for_word(spark):
     items = [(1, "Compute 12 + 7 - 3 times 44 minus 9."), (2, "What is the capital of France"), (3, "two words"), (4, "Which of the brothers buys 12 pears at noon"), (5, "Sum 1 2 3 4 5 6 7 8 9 10 11 12")]
     bench = spark.createDataFrame(items, "item_id long, text string")
