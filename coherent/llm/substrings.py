@@ -4,8 +4,8 @@ Only windows of `DEPTH` bytes matter, so suffixes are ordered only that deep, an
 
 1. The first pass deals windows by content: each is filed under the smallest hash among its inner `GRAM`-byte strings (its anchor).
    Equal windows have equal anchors, and neighbouring windows mostly share one, so a run of windows with one anchor is one row.
-2. Rows are range-sorted by (anchor, hash of the slice of text, document, position), which spreads an anchor over tasks wherever its
-   slices differ. A slice that came before is covered whole; an anchor with one slice repeats nothing; the first rows
+2. Rows are range-sorted by (anchor, hash of the slice of text, document, position), so that any anchor or slice, however common, is
+   spread over tasks. A slice that came before is covered whole; an anchor with one slice repeats nothing; the first rows
    of the different slices of one anchor stay.
 3. The windows of those slices alone are sorted by their bytes, `DIGIT` of them a pass from the most significant on: each pass splits the
    groups of the pass before, and windows that are alone in their group leave. Groups left after the last pass are
@@ -117,7 +117,7 @@ KEYS = ("anchor", "slice", "doc_id", "h", "place")
 def _repeats(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """From rows sorted by `KEYS`: whole = 1 for slices that came before, 0 for those to compare.
 
-    The task's first and last anchor may go on in its neighbours, so their slices are all compared.
+    The task's first and last anchor and slice may go on in its neighbours, so the first of each of their slices is compared.
     """
     before = pending = None  # the row before; the one slice so far of the anchor that the last batch ended with
     names = ["doc_id", "h", "anchor", "place", "whole"]
@@ -296,7 +296,7 @@ def deduplicate(docs: DataFrame) -> DataFrame:
     n, key = common.partitions(docs.sparkSession), ["doc_id", "h"]
     d = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("h"), "text")
     filed = d.mapInArrow(_file, "anchor long, slice long, doc_id long, h long, place long")
-    marks = filed.repartitionByRange(2 * n, "anchor", "slice").sortWithinPartitions(*KEYS).mapInArrow(_repeats, "doc_id long, h long, anchor long, place long, whole byte")
+    marks = filed.repartitionByRange(2 * n, *KEYS).sortWithinPartitions(*KEYS).mapInArrow(_repeats, "doc_id long, h long, anchor long, place long, whole byte")
     marks = common.durable(marks, "repeats")
     open_ = marks.where("whole = 0")
     large = common.durable(open_.groupBy("anchor").agg(F.count(F.lit(1)).alias("_of")).where(F.col("_of") > LARGE).select(F.col("anchor").alias("_large")), "large-anchors")
