@@ -222,7 +222,8 @@ def _groups(docs: DataFrame) -> DataFrame:
     placed = sizes.join(total, F.col("root") == F.col("cluster"))
     placed = placed.select("node", "cluster", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"), "k1", "k2", F.col("first.doc_id").alias("_doc"), F.col("first.h").alias("_h"))
     placed = common.durable(placed, "members")
-    texts = d.join(placed, (F.col("doc_id") == F.col("_doc")) & (F.col("h") == F.col("_h")))
+    # The members grow with the documents: joined by a merge at every size, never broadcast.
+    texts = d.join(placed.hint("merge"), (F.col("doc_id") == F.col("_doc")) & (F.col("h") == F.col("_h")))
     sets = texts.select("cluster", "blocks", "block", "node", "k1", "k2", "text").mapInArrow(_sets, "cluster long, blocks int, block int, node long, values binary")
     # A block meets every block of its cluster, itself included.
     meets = sets.select("*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
