@@ -10,10 +10,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coherent.operators import basis, structure
+from coherent.operators import basis, expand, partition, structure
+from coherent.sources.store import fresh_path, keep
 
 TOL = 1e-12
-KEY = ["sys", "op"]
+KEY, PARTS = ["sys", "op"], 16
 
 
 def _kept(df: DataFrame) -> DataFrame:
@@ -28,15 +29,15 @@ def drift(h: DataFrame, n: int) -> DataFrame:
 
 def drift_at(q0: DataFrame, q1: DataFrame, drive: DataFrame, times: DataFrame) -> DataFrame:
     """sys, t, s, n, x: Q0 + eps(t) Q1 at `times` (sys, t), with eps from the intervals `drive` (sys, t0, t1, eps)."""
-    at = times.join(F.broadcast(drive), (times["sys"] == drive["sys"]) & (times["t"] >= drive["t0"]) & (times["t"] < drive["t1"])).select(times["sys"], "t", "eps")
+    at = times.join(drive, (times["sys"] == drive["sys"]) & (times["t"] >= drive["t0"]) & (times["t"] < drive["t1"])).select(times["sys"], "t", "eps")
     parts = q0.withColumn("w", F.lit(False)).unionByName(q1.withColumn("w", F.lit(True)))
-    both = parts.join(F.broadcast(at), "sys").groupBy("sys", "t", "s", "n").agg(F.sum(F.col("x") * F.when(F.col("w"), F.col("eps")).otherwise(1.0)).alias("x"))
+    both = parts.join(at, "sys").groupBy("sys", "t", "s", "n").agg(F.sum(F.col("x") * F.when(F.col("w"), F.col("eps")).otherwise(1.0)).alias("x"))
     return _kept(both)
 
 
 def inhomogeneity(l: DataFrame, weights: DataFrame, n: int) -> DataFrame:  # noqa: E741
     """sys, s, x: k of jump operators' coefficients `l` (sys, op, idx, re, im) and `weights` (sys, op, gamma)."""
-    w = l.join(F.broadcast(weights), KEY)
+    w = l.join(weights, KEY)
     p = structure.planes(w.select(*KEY, "gamma", "idx", F.col("re").alias("m_re"), F.col("im").alias("m_im")), n).where("abs(alpha) > 1e-12")
     other = l.select(*KEY, F.col("idx").alias("n"), "re", "im")
     x = -F.col("gamma") / n * F.expr("(m_im*re-m_re*im)*alpha")
@@ -59,30 +60,60 @@ def _factors(l: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:  # noqa: E741
     return some(a, "a_re", "a_im"), some(b, "b_re", "b_im")
 
 
-def relaxation(l: DataFrame, weights: DataFrame, n: int, stages: int = 1, path: str | None = None) -> DataFrame:  # noqa: E741
-    """sys, s, n, x: R of jump operators, by the tensor route.
+def relaxation(l: DataFrame, weights: DataFrame, n: int, stages: int = 1, path: str | None = None, route: str = "tensor") -> DataFrame:  # noqa: E741
+    """sys, s, n, x: R of jump operators.
 
-    With `stages` > 1, columns are computed block by block, each block its own plan; given a `path`, each is written to its own
-    partition (an idempotent overwrite, so finished stages survive), which bounds what is shuffled at once.
+    Route `tensor` contracts the structure constants with the coefficients, `cell` goes through matrix cells, `auto` counts the
+    coefficients and takes the one with less work. With `stages` > 1 the tensor route is staged (`staged`).
     """
+    if route == "auto":
+        most = l.groupBy(*KEY).agg(F.count(F.lit(1)).alias("of")).agg(F.max("of")).first()[0]
+        route = choose_route(most or 0, n)
+    if route == "cell":
+        none = l.select(*KEY).distinct().select(*KEY, F.lit(0.0).alias("re"), F.lit(0.0).alias("im"))
+        return relaxation_by_cells(expand.rebuild(l, none, n), weights, n)
+    if stages > 1:
+        return staged(l, weights, n, stages, path or fresh_path(l.sparkSession, "stages"))
     a, b = _factors(l, n)
-    w = b.join(F.broadcast(weights), KEY)
-    m = basis.size(n)
+    return _product(a, b.join(weights, KEY))
+
+
+def _product(a: DataFrame, b: DataFrame) -> DataFrame:
+    x = F.expr("-0.5*gamma*(a_re*b_re-a_im*b_im)")
+    return _kept(a.join(b, [*KEY, "mid"]).groupBy("sys", "s", "n").agg(F.sum(x).alias("x")))
 
-    def block(i: int) -> DataFrame:
-        own = a if stages == 1 else a.where((F.col("n") > i * m // stages) & (F.col("n") <= (i + 1) * m // stages))
-        x = F.expr("-0.5*gamma*(a_re*b_re-a_im*b_im)")
-        return _kept(own.join(w, [*KEY, "mid"]).groupBy("sys", "s", "n").agg(F.sum(x).alias("x")))
 
-    parts = [block(i) for i in range(stages)]
-    if path:
-        for i, p in enumerate(parts):
-            p.write.mode("overwrite").parquet(f"{path}/stage={i}")
-        return l.sparkSession.read.parquet(path).drop("stage")
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+def column_panels(a: DataFrame, m: int, stages: int) -> DataFrame:
+    """n, stage: the columns of R in ranges of about equal nonzeros of the first factor, counted first and then dealt."""
+    counts = a.groupBy(F.lit("").alias("sys"), F.col("n").alias("s")).agg(F.count(F.lit(1)).alias("nnz"))
+    return partition.balanced(counts, stages).select(F.col("s").alias("n"), F.col("panel").alias("stage"))
+
+
+def staged(l: DataFrame, weights: DataFrame, n: int, stages: int, path: str) -> DataFrame:  # noqa: E741
+    """R in `stages` blocks of columns under `path`, one after the other.
+
+    Both factors are written once, the first in one folder a block; a block reads its own part of the first factor only, so what is
+    joined and shuffled at once is bounded by a block. A block that was finished before (its folder has the mark of a
+    committed write) is not computed again, so an interrupted run goes on where it stopped.
+    """
+    spark = l.sparkSession
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path
+
+    def done(folder: str) -> bool:
+        at = hadoop(f"{folder}/_SUCCESS")
+        return at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).exists(at)
+
+    first, second = f"{path}/factors/a", f"{path}/factors/b"
+    if not (done(first) and done(second)):
+        a, b = _factors(l, n)
+        a = keep(a, "factor")
+        a.join(column_panels(a, basis.size(n), stages), "n").write.mode("overwrite").partitionBy("stage").parquet(first)
+        b.join(weights, KEY).write.mode("overwrite").parquet(second)
+    a, b = spark.read.parquet(first), spark.read.parquet(second)
+    for i in range(stages):
+        if not done(f"{path}/blocks/stage={i}"):
+            _product(a.where(F.col("stage") == i).drop("stage"), b).write.mode("overwrite").parquet(f"{path}/blocks/stage={i}")
+    return spark.read.schema("sys string, s long, n long, x double").parquet(*[f"{path}/blocks/stage={i}" for i in range(stages)])
 
 
 def relaxation_from_rates(rates: DataFrame, n: int, route: str = "tensor") -> DataFrame:
@@ -100,10 +131,15 @@ def relaxation_from_rates(rates: DataFrame, n: int, route: str = "tensor") -> Da
 
 
 def jump_cells(jumps: DataFrame, weights: DataFrame) -> DataFrame:
-    """sys, a, b, c, d, re, im of C for jump operators (sys, op, row, col, re, im)."""
-    x = jumps.join(F.broadcast(weights), KEY).select(*KEY, "gamma", F.col("row").alias("a"), F.col("col").alias("c"), F.col("re").alias("x"), F.col("im").alias("y"))
-    y = jumps.select(*KEY, F.col("row").alias("b"), F.col("col").alias("d"), "re", "im")
-    return x.join(y, KEY).groupBy("sys", "a", "b", "c", "d").agg(F.sum(F.expr("gamma*(x*re+y*im)")).alias("re"), F.sum(F.expr("gamma*(y*re-x*im)")).alias("im"))
+    """sys, a, b, c, d, re, im of C for jump operators (sys, op, row, col, re, im).
+
+    Every cell of an operator meets every other one, and there may be one operator: the left cells are dealt in `PARTS` groups, and
+    the right ones are copied to each, so that no operator is one task.
+    """
+    part = F.pmod(F.xxhash64("row", "col"), F.lit(PARTS)).cast("int")
+    x = jumps.join(weights, KEY).select(*KEY, part.alias("part"), "gamma", F.col("row").alias("a"), F.col("col").alias("c"), F.col("re").alias("x"), F.col("im").alias("y"))
+    y = jumps.select(*KEY, F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))).alias("part"), F.col("row").alias("b"), F.col("col").alias("d"), "re", "im")
+    return x.join(y, [*KEY, "part"]).groupBy("sys", "a", "b", "c", "d").agg(F.sum(F.expr("gamma*(x*re+y*im)")).alias("re"), F.sum(F.expr("gamma*(y*re-x*im)")).alias("im"))
 
 
 def rate_cells(rates: DataFrame, n: int) -> DataFrame:

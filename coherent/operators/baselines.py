@@ -25,7 +25,7 @@ def sequential(l: DataFrame, weights: DataFrame, n: int) -> DataFrame:  # noqa:
     spark = l.sparkSession
     t = structure.tensor(spark, n).coalesce(1)
     rows = t.select(F.lit("t").alias("kind"), F.lit("").alias("sys"), F.lit(0).alias("op"), "m", "n", "s", F.col("alpha").alias("a"), F.col("beta").alias("b"))
-    vec = l.join(F.broadcast(weights), ["sys", "op"]).select(F.lit("l").alias("kind"), "sys", "op", F.col("idx").alias("m"), F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("s"), (F.col("re") * F.sqrt("gamma")).alias("a"), (F.col("im") * F.sqrt("gamma")).alias("b"))
+    vec = l.join(weights, ["sys", "op"]).select(F.lit("l").alias("kind"), "sys", "op", F.col("idx").alias("m"), F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("s"), (F.col("re") * F.sqrt("gamma")).alias("a"), (F.col("im") * F.sqrt("gamma")).alias("b"))
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         t, v = pdf[pdf["kind"] == "t"], pdf[pdf["kind"] == "l"]
@@ -54,7 +54,7 @@ def superoperator(jumps: DataFrame, weights: DataFrame, n: int, hamiltonian: Dat
 def rk4_density(hamiltonian: DataFrame, jumps: DataFrame, weights: DataFrame, rho: DataFrame, n: int, steps: int, period: float) -> DataFrame:
     """sys, row, col, re, im: the density matrix propagated as a matrix, apart from the expansion."""
     tag = lambda d, kind: d.withColumn("kind", F.lit(kind))
-    j = jumps.join(F.broadcast(weights), ["sys", "op"]).select("sys", "op", "row", "col", (F.col("re") * F.sqrt("gamma")).alias("re"), (F.col("im") * F.sqrt("gamma")).alias("im"))
+    j = jumps.join(weights, ["sys", "op"]).select("sys", "op", "row", "col", (F.col("re") * F.sqrt("gamma")).alias("re"), (F.col("im") * F.sqrt("gamma")).alias("im"))
     plain = lambda d: d.select("sys", F.lit(0).alias("op"), "row", "col", "re", "im")
     every = tag(plain(hamiltonian), "h").unionByName(tag(j, "l")).unionByName(tag(plain(rho), "r"))
     h = period / steps

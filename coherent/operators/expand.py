@@ -13,7 +13,10 @@ TOL = 1e-12
 
 
 def expand(op: DataFrame, n: int) -> DataFrame:
-    """sys, op, idx, re, im: coefficients of each operator (sys, op if present, row, col, re, im); the trace is left out."""
+    """sys, op, idx, re, im: coefficients of each operator (sys, op if present, row, col, re, im); the trace is left out.
+
+    At most n^2 rows an operator, which every branch of the planes reads: callers keep them (sources.store.keep).
+    """
     levels(n)
     d = op if "op" in op.columns else op.withColumn("op", F.lit(0))
     key = ["sys", "op"]
@@ -33,8 +36,7 @@ def expand(op: DataFrame, n: int) -> DataFrame:
     norm = F.sqrt(l * (l + 1.0))
     diag = whole.select(*key, "a", *[((F.sum(c).over(before) - l * F.col(c)) / norm).alias(c) for c in ("re", "im")]).where("a > 1")
     diag = diag.select(*key, basis.index_of("D", l, l, n).alias("idx"), "re", "im")
-    # The result is small (at most n^2 rows an operator) and every plane branch reads it: keep it. Lost blocks are recomputed.
-    return pairs.unionByName(diag).where((F.abs("re") > TOL) | (F.abs("im") > TOL)).coalesce(8).persist()
+    return pairs.unionByName(diag).where((F.abs("re") > TOL) | (F.abs("im") > TOL))
 
 
 def traces(op: DataFrame) -> DataFrame:
@@ -82,7 +84,7 @@ def recentre_jump(jump: DataFrame, hamiltonian: DataFrame | None, gamma: float,
     cols = ["sys", "row", "col", "re", "im"]
     l0 = jump.select(*cols).unionByName(shift).groupBy("sys", "row", "col").agg(F.sum("re").alias("re"), F.sum("im").alias("im")).where((F.abs("re") > TOL) | (F.abs("im") > TOL))
     # i z has parts (-im, re); conj(c) L0 and c L0^+ are formed cell by cell.
-    with_c = l0.join(F.broadcast(c), "sys")
+    with_c = l0.join(c, "sys")
     first = with_c.select("sys", "row", "col", F.expr("c_re*re+c_im*im").alias("x"), F.expr("c_re*im-c_im*re").alias("y"))
     second = with_c.select("sys", F.col("col").alias("row"), F.col("row").alias("col"), F.expr("-(c_re*re+c_im*im)").alias("x"), F.expr("-(c_im*re-c_re*im)").alias("y"))
     extra = first.unionByName(second).select("sys", "row", "col", (-F.col("y") * gamma / 2).alias("re"), (F.col("x") * gamma / 2).alias("im"))

@@ -67,7 +67,7 @@ def edge_cut(mat: DataFrame, panels: DataFrame) -> DataFrame:
     """sys, cut, remote: nonzeros between panels, and distinct (panel, column) pairs a panel must receive."""
     p = panels.select("sys", "s", F.col("panel").alias("ps"))
     q = panels.select("sys", F.col("s").alias("n"), F.col("panel").alias("pn"))
-    d = mat.join(F.broadcast(p), ["sys", "s"]).join(F.broadcast(q), ["sys", "n"]).where("ps <> pn")
+    d = mat.join(p, ["sys", "s"]).join(q, ["sys", "n"]).where("ps <> pn")
     return d.groupBy("sys").agg(F.count(F.lit(1)).alias("cut"), F.countDistinct("ps", "n").alias("remote"))
 
 
@@ -79,8 +79,30 @@ def scaling_efficiency(runs: DataFrame) -> DataFrame:
 
 
 def partition_bytes(df: DataFrame) -> DataFrame:
-    """part, rows, bytes: estimated from the width of the columns, 8 bytes each."""
-    return df.groupBy(F.spark_partition_id().alias("part")).agg(F.count(F.lit(1)).alias("rows")).withColumn("bytes", F.col("rows") * 8 * len(df.columns))
+    """part, rows, bytes: what each partition holds, in Arrow's layout as a worker receives it."""
+
+    def run(batches):
+        import pyarrow as pa
+        from pyspark import TaskContext
+
+        rows = size = 0
+        for b in batches:
+            rows, size = rows + b.num_rows, size + b.nbytes
+        yield pa.RecordBatch.from_pydict({"part": [TaskContext.get().partitionId()], "rows": [rows], "bytes": [size]}, pa.schema([("part", pa.int32()), ("rows", pa.int64()), ("bytes", pa.int64())]))
+
+    return df.mapInArrow(run, "part int, rows long, bytes long")
+
+
+def peak_memory(spark: SparkSession) -> DataFrame:
+    """stage, tasks, execution, spilled, written: of each stage the engine still knows, the largest execution memory of its tasks
+    together (bytes), what they spilled and what they wrote to shuffles. From the status store, which the driver keeps anyway."""
+    store, rows = spark.sparkContext._jsc.sc().statusStore(), []
+    none = spark._jvm.java.util.ArrayList()
+    stages = store.stageList(none, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), none)
+    for i in range(stages.size()):
+        s = stages.apply(i)
+        rows.append((s.stageId(), s.numCompleteTasks(), s.peakExecutionMemory(), s.memoryBytesSpilled(), s.shuffleWriteBytes()))
+    return spark.createDataFrame(rows, "stage int, tasks int, execution long, spilled long, written long")
 
 
 def timed(df: DataFrame) -> float:

@@ -84,7 +84,7 @@ def rates_of(cells: DataFrame, n: int) -> DataFrame:
     b = cells.select("sys", F.col("row").alias("k"), "col", "re", "im")
     w = a.join(b, ["sys", "col"]).groupBy("sys", "j", "k").agg(F.sum(F.expr("x*re+y*im")).alias("re"), F.sum(F.expr("y*re-x*im")).alias("im"))
     t = cells.groupBy("sys").agg(F.sum(F.expr("re*re+im*im")).alias("_t"))
-    return w.join(F.broadcast(t), "sys").select("sys", F.col("j").cast("long").alias("j"), F.col("k").cast("long").alias("k"), (n * F.col("re") / F.col("_t")).alias("re"), (n * F.col("im") / F.col("_t")).alias("im"))
+    return w.join(t, "sys").select("sys", F.col("j").cast("long").alias("j"), F.col("k").cast("long").alias("k"), (n * F.col("re") / F.col("_t")).alias("re"), (n * F.col("im") / F.col("_t")).alias("im"))
 
 
 def random_rates(spark: SparkSession, n: int, systems: DataFrame, seed: str = "rates", local: bool = False) -> DataFrame:
@@ -137,6 +137,47 @@ def chain(sites: DataFrame, count: int, body: int, boundary: str = "open") -> tu
     return jumps, s.select("sys", F.col("site").cast("int").alias("op"), "gamma")
 
 
+def random_chain(sites: DataFrame, count: int, body: int, seed: str = "chain", boundary: str = "open", mode: str = "jump") -> tuple[DataFrame, DataFrame]:
+    """(jump operators sys, op, row, col, re, im; weights) of a chain of random local dissipators, one for each window of `body` sites.
+
+    `jump`: a window has one operator, a complex normal matrix on its 2^body levels. `rates`: it has a random rate matrix, G G^+ of
+    trace 2^body, taken as the 4^body - 1 jump operators that are G's columns over the local basis. Local operators are made
+    traceless; weights are the sites' gamma. They act as the identity elsewhere: a cell of a local operator is one on every
+    setting of the other bits, found by bit arithmetic. `sites` has (sys, site 0..count-1, gamma); numbers follow from `seed`.
+    """
+    if mode not in ("jump", "rates") or body not in (1, 2, 3) or body > count:
+        raise ValueError("mode is jump or rates, body 1 to 3 and at most the number of sites")
+    size, last = 1 << body, count if boundary == "ring" else count - body + 1
+    s = sites.where(F.col("site") < last).select("sys", F.col("site").cast("int").alias("site"), "gamma")
+    key = lambda *c: F.concat_ws(":", F.lit(seed), "sys", *[F.col(x).cast("string") for x in c])
+    normal = lambda k: (F.sqrt(-F.log(uniform(k, 0))) * F.cos(2 * math.pi * uniform(k, 1)), F.sqrt(-F.log(uniform(k, 0))) * F.sin(2 * math.pi * uniform(k, 1)))
+    spread = lambda d, name, lo, hi: d.select("*", F.explode(F.sequence(F.lit(lo), F.lit(hi))).alias(name))
+    if mode == "jump":
+        cells = spread(spread(s, "p", 1, size), "q", 1, size)
+        re, im = normal(key("site", "p", "q"))
+        local = cells.select("sys", "site", F.lit(0).alias("nr"), "p", "q", re.alias("re"), im.alias("im"))
+    else:
+        m = basis.size(size)
+        g = spread(spread(s, "idx", 1, m), "nr", 1, m)
+        re, im = normal(key("site", "idx", "nr"))
+        g = g.select("sys", "site", "idx", "nr", re.alias("x"), im.alias("y"))
+        norm = g.groupBy("sys", "site").agg(F.sqrt(size / F.sum(F.expr("x*x+y*y"))).alias("c"))
+        e = basis.elements(sites.sparkSession, size).select("idx", F.col("row").alias("p"), F.col("col").alias("q"), "re", "im")
+        local = g.join(norm, ["sys", "site"]).join(e, "idx").groupBy("sys", "site", "nr", "p", "q").agg(F.sum(F.expr("c*(x*re-y*im)")).alias("re"), F.sum(F.expr("c*(x*im+y*re)")).alias("im"))
+    mean = local.where("p = q").groupBy("sys", "site", "nr").agg((F.sum("re") / size).alias("t"), (F.sum("im") / size).alias("u"))
+    local = local.join(mean, ["sys", "site", "nr"]).select("sys", "site", "nr", "p", "q", F.expr("re - if(p = q, t, 0.0D)").alias("re"), F.expr("im - if(p = q, u, 0.0D)").alias("im"))
+    # Bit b of a local level is bit (site + b) mod count of the chain's; the other count - body bits run over all settings, filling the gaps.
+    place = lambda value: sum((F.expr(f"shiftleft(shiftright(cast({value} - 1 AS bigint), {b}) & 1L, cast(pmod(site + {b}, {count}) AS int))") for b in range(1, body)), F.expr(f"shiftleft(cast({value} - 1 AS bigint) & 1L, cast(pmod(site, {count}) AS int))"))
+    rest = spread(local.withColumn("_p", place("p")).withColumn("_q", place("q")), "_z", 0, (1 << (count - body)) - 1)
+    others = sum((F.expr(f"shiftleft(shiftright(cast(_z AS bigint), {b}) & 1L, cast(pmod(site + {body + b}, {count}) AS int))") for b in range(count - body)), F.lit(0).cast("long"))
+    rest = rest.withColumn("_o", others)
+    per = 1 if mode == "jump" else basis.size(size)
+    op = (F.col("site") * per + F.greatest(F.col("nr") - 1, F.lit(0))).cast("int")
+    jumps = rest.select("sys", op.alias("op"), (F.col("_p") + F.col("_o") + 1).cast("int").alias("row"), (F.col("_q") + F.col("_o") + 1).cast("int").alias("col"), "re", "im")
+    weights = spread(s, "nr", 0, per - 1).select("sys", (F.col("site") * per + F.col("nr")).cast("int").alias("op"), "gamma")
+    return jumps, weights
+
+
 def decaying_qubit(spark: SparkSession, omega: float, gamma: float) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(H, jump operator, weights) of the hand example."""
     h = spark.createDataFrame([("qubit", 1, 1, omega / 2, 0.0), ("qubit", 2, 2, -omega / 2, 0.0)], "sys string, row int, col int, re double, im double")

@@ -33,18 +33,47 @@ def moments(mat: DataFrame) -> DataFrame:
     return t.join(t2, "sys")
 
 
-def density(eig: DataFrame, nx: int = 100, ny: int = 100, bounds: tuple[float, float, float, float] = (-2.0, 0.0, -1.0, 1.0), empty: bool = False) -> DataFrame:
-    """sys, bx, by, n, density: points per cell, divided by points and cell area. The trivial eigenvalue 0 isn't among them."""
-    x0, x1, y0, y1 = bounds
-    dx, dy = (x1 - x0) / nx, (y1 - y0) / ny
-    b = eig.select("sys", F.floor((F.col("re") - x0) / dx).cast("int").alias("bx"), F.floor((F.col("im") - y0) / dy).cast("int").alias("by"))
-    b = b.where((F.col("bx") >= 0) & (F.col("bx") < nx) & (F.col("by") >= 0) & (F.col("by") < ny))
-    grid = b.groupBy("sys", "bx", "by").agg(F.count(F.lit(1)).alias("n"))
+def _cells(eig: DataFrame, nx: int, ny: int, bounds: tuple[float, float, float, float] | None) -> DataFrame:
+    """sys, re, im, x0, dx, y0, dy, bx, by: each point's cell; an upper edge belongs to the last cell, points outside have none."""
+    if bounds is None:
+        edges = eig.groupBy("sys").agg(F.min("re").alias("x0"), F.max("re").alias("x1"), F.min("im").alias("y0"), F.max("im").alias("y1"))
+        d = eig.select("sys", "re", "im").join(edges, "sys")
+    else:
+        d = eig.select("sys", "re", "im", *[F.lit(float(v)).alias(c) for c, v in zip(("x0", "x1", "y0", "y1"), bounds, strict=True)])
+    width = lambda lo, hi, k: F.when(F.col(hi) > F.col(lo), (F.col(hi) - F.col(lo)) / k).otherwise(1.0)
+    d = d.withColumn("dx", width("x0", "x1", nx)).withColumn("dy", width("y0", "y1", ny))
+    cell = lambda v, lo, hi, step, k: F.when(F.col(v).between(F.col(lo), F.col(hi)), F.least(F.floor((F.col(v) - F.col(lo)) / F.col(step)), F.lit(k - 1))).cast("int")
+    return d.withColumn("bx", cell("re", "x0", "x1", "dx", nx)).withColumn("by", cell("im", "y0", "y1", "dy", ny))
+
+
+def density(eig: DataFrame, nx: int = 100, ny: int = 100, bounds: tuple[float, float, float, float] | None = None, empty: bool = False) -> DataFrame:
+    """sys, bx, by, n, density: points per cell, divided by points and cell area. The trivial eigenvalue 0 isn't among them.
+
+    Without `bounds` each system's own extent is the area. Points outside given bounds are one row with null bx and by and no
+    density, so that no mass is lost unseen. With `empty`, cells without points are rows too.
+    """
+    d = _cells(eig, nx, ny, bounds)
+    inside = F.col("bx").isNotNull() & F.col("by").isNotNull()
+    grid = d.groupBy("sys", F.when(inside, F.col("bx")).alias("bx"), F.when(inside, F.col("by")).alias("by")).agg(F.count(F.lit(1)).alias("n"))
+    area = d.groupBy("sys").agg(F.count(F.lit(1)).alias("_all"), F.first(F.col("dx") * F.col("dy")).alias("_area"))
     if empty:
-        every = eig.select("sys").distinct().select("sys", F.explode(F.sequence(F.lit(0), F.lit(nx - 1))).alias("bx")).select("sys", "bx", F.explode(F.sequence(F.lit(0), F.lit(ny - 1))).alias("by"))
-        grid = every.join(grid, ["sys", "bx", "by"], "left").na.fill(0, ["n"])
-    total = eig.groupBy("sys").agg(F.count(F.lit(1)).alias("_all"))
-    return grid.join(F.broadcast(total), "sys").select("sys", "bx", "by", "n", (F.col("n") / F.col("_all") / (dx * dy)).alias("density"))
+        every = area.select("sys", F.explode(F.sequence(F.lit(0), F.lit(nx - 1))).alias("bx")).select("sys", "bx", F.explode(F.sequence(F.lit(0), F.lit(ny - 1))).alias("by"), F.lit(0).cast("long").alias("n"))
+        grid = grid.unionByName(every).groupBy("sys", "bx", "by").agg(F.sum("n").alias("n"))
+    return grid.join(area, "sys").select("sys", "bx", "by", "n", F.when(F.col("bx").isNotNull(), F.col("n") / F.col("_all") / F.col("_area")).alias("density"))
+
+
+def power_trace(order: int, m: int):
+    """A grouped aggregate (s, n, x) -> Tr(A^order) of the matrix whose cells are a group's rows; at most `MOST` rows."""
+    if m > MOST:
+        raise ValueError(f"{m} rows are more than one task should hold; use moments()")
+
+    @F.pandas_udf("double")
+    def run(s: pd.Series, n: pd.Series, x: pd.Series) -> float:
+        a = np.zeros((m, m))
+        np.add.at(a, (s.to_numpy(int) - 1, n.to_numpy(int) - 1), x.to_numpy(float))
+        return float(np.trace(np.linalg.matrix_power(a, order)))
+
+    return run
 
 
 def load_boundary(spark: SparkSession, path: str) -> DataFrame:

@@ -65,6 +65,8 @@ def planes(vec: DataFrame, n: int, m: str = "idx") -> DataFrame:
     # Diagonal planes: both elements of every pair of levels it tells apart or holds, and the other diagonal elements.
     d = v.where("fam = 'D'").withColumn("l", F.col("j")).drop("j", "k")
     dp = d.select(*keep, "l", F.explode(F.sequence(F.lit(2), F.lit(n))).alias("k"))
+    # A diagonal plane has O(n^2) rows where others have O(n): its (l, k) are dealt out before they are multiplied, at most n^2 small rows.
+    dp = dp.repartition(int(vec.sparkSession.conf.get("spark.sql.shuffle.partitions")), "l", "k")
     dp = dp.select(*keep, "l", "k", F.explode(F.sequence(F.lit(1), F.least(F.col("k") - 1, F.col("l") + 1))).alias("j"))
     dp = dp.select(*keep, F.explode(F.array(_row(S(j, k), J(j, k), less, 0.0), _row(J(j, k), S(j, k), -less, 0.0), _row(S(j, k), S(j, k), 0.0, more), _row(J(j, k), J(j, k), 0.0, more))).alias("_x")).select(*keep, "_x.*")
     y = F.col("y")
@@ -76,7 +78,7 @@ def planes(vec: DataFrame, n: int, m: str = "idx") -> DataFrame:
 
 
 def tensor(spark: SparkSession, n: int, m_range: tuple[int, int] | None = None) -> DataFrame:
-    """m, n, s, alpha, beta over all planes, or those of an index range (ends included); a narrow plan."""
+    """m, n, s, alpha, beta over all planes, or those of an index range (ends included)."""
     lo, hi = m_range or (1, basis.size(n))
     return planes(spark.range(lo, hi + 1).withColumnRenamed("id", "m"), n, "m")
 

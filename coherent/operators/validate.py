@@ -55,3 +55,25 @@ def residual(system_matrix: DataFrame, k: DataFrame, v: DataFrame) -> DataFrame:
     """sys, s, x of A v + k; 0 for a steady state."""
     av = system_matrix.join(v.select("sys", F.col("idx").alias("n"), F.col("x").alias("v")), ["sys", "n"]).select("sys", "s", (F.col("x") * F.col("v")).alias("x"))
     return av.unionByName(k.select("sys", "s", "x")).groupBy("sys", "s").agg(F.sum("x").alias("x"))
+
+
+def state_facts(rho: DataFrame, n: int) -> DataFrame:
+    """sys, trace, hermitian_gap, smallest: Tr(rho), the largest |rho - rho^+| and the smallest eigenvalue of a density operator."""
+    d = rho.select("sys", "row", "col", "re", "im")
+    mirror = d.select("sys", F.col("col").alias("row"), F.col("row").alias("col"), (-F.col("re")).alias("re"), F.col("im"))
+    gap = d.unionByName(mirror).groupBy("sys", "row", "col").agg(F.sum("re").alias("x"), F.sum("im").alias("y"))
+    gap = gap.groupBy("sys").agg(F.max(F.sqrt(F.expr("x*x+y*y"))).alias("hermitian_gap"))
+    trace = d.groupBy("sys").agg(F.sum(F.when(F.col("row") == F.col("col"), F.col("re")).otherwise(0.0)).alias("trace"))
+    # Cells in order, with zeros for those that are absent: at most n^2 a system.
+    every = d.select("sys").distinct().select("sys", F.explode(F.sequence(F.lit(1), F.lit(n))).alias("row")).select("sys", "row", F.explode(F.sequence(F.lit(1), F.lit(n))).alias("col"))
+    cells = every.join(d, ["sys", "row", "col"], "left").na.fill(0.0, ["re", "im"]).groupBy("sys").agg(F.array_sort(F.collect_list(F.struct("row", "col", "re", "im"))).alias("c"))
+    packed = cells.select("sys", smallest_eigenvalue(F.flatten(F.transform("c", lambda c: F.array(c["re"], c["im"])))).alias("smallest"))
+    return trace.join(gap, "sys").join(packed, "sys")
+
+
+def conjugate_gap(eig: DataFrame, digits: int = 6) -> DataFrame:
+    """sys, unmatched: eigenvalues of a real matrix whose conjugate isn't one, in so many digits; 0."""
+    at = lambda im: (F.round("re", digits) + 0.0, F.round(im, digits) + 0.0)
+    own = eig.select("sys", *[c.alias(a) for c, a in zip(at(F.col("im")), "xy", strict=True)], F.lit(1).alias("w"))
+    other = eig.select("sys", *[c.alias(a) for c, a in zip(at(-F.col("im")), "xy", strict=True)], F.lit(-1).alias("w"))
+    return own.unionByName(other).groupBy("sys", "x", "y").agg(F.sum("w").alias("w")).groupBy("sys").agg((F.sum(F.abs("w")) / 2).cast("long").alias("unmatched"))

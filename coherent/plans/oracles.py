@@ -47,13 +47,14 @@ def flow_jump() -> str:
     return "L AS (SELECT 0 AS op, r, c, v AS re, 0.0::DOUBLE AS im, 1.0::DOUBLE AS g FROM l0)"
 
 
-def dimer_cells(n: int, tab: str, key: str) -> str:
+def dimer_cells(n: int | str, tab: str, key: str) -> str:
     """CTEs lv, h0, h1, la (antisymmetric pump), lp (printed pump)."""
-    b, j, u, e = n - 1, models.J, models.U, models.E
+    b, j, e = n - 1 if isinstance(n, int) else f"({n} - 1)", models.J, models.E
+    u = f"{2 * models.U!r}::DOUBLE / {b}"
     return f"""lv AS (SELECT {key}::BIGINT + 1 AS k, {key}::DOUBLE AS t, {b} - {key}::DOUBLE AS o FROM {tab}),
 hp AS (SELECT k, sqrt((t + 1) * o) AS x, t, o FROM lv WHERE t < {b}),
 h0 AS (SELECT * FROM (SELECT k AS r, k + 1 AS c, {-j}::DOUBLE * x AS re, 0.0::DOUBLE AS im FROM hp UNION ALL SELECT k + 1, k, {-j}::DOUBLE * x, 0.0 FROM hp
-  UNION ALL SELECT k, k, {2 * u / b!r}::DOUBLE * (o * (o - 1) + t * (t - 1)) + {e}::DOUBLE * (t - o), 0.0 FROM lv) WHERE abs(re) > 1e-12),
+  UNION ALL SELECT k, k, {u} * (o * (o - 1) + t * (t - 1)) + {e}::DOUBLE * (t - o), 0.0 FROM lv) WHERE abs(re) > 1e-12),
 h1 AS (SELECT k AS r, k AS c, t - o AS re, 0.0::DOUBLE AS im FROM lv WHERE t <> o),
 la AS (SELECT * FROM (SELECT k AS r, k AS c, o - t AS re, 0.0::DOUBLE AS im FROM lv UNION ALL SELECT k + 1, k, x, 0.0 FROM hp UNION ALL SELECT k, k + 1, -x, 0.0 FROM hp) WHERE abs(re) > 1e-12),
 lp AS (SELECT k AS r, k AS c, 0.0::DOUBLE AS re, 0.0::DOUBLE AS im FROM lv UNION ALL SELECT k + 1, k, x, 0.0 FROM hp UNION ALL SELECT k, k + 1, x, 0.0 FROM hp)"""

@@ -14,6 +14,7 @@ from coherent.operators import assemble, baselines, basis, expand, integrate, li
 from coherent.plans import oracles as o
 from coherent.plans import sqlapi, workloads
 from coherent.sources import io, structure_source
+from coherent.sources.store import fresh_path, keep
 from coherent.streaming import drives
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -22,6 +23,11 @@ c6 = cplx.clean
 r6 = o.r6
 
 
+def coefficients(op: DataFrame, n: int) -> DataFrame:
+    """The expansion, kept: a few rows that every branch of the planes reads."""
+    return keep(expand.expand(op, n), "coefficients")
+
+
 def query(name: str, oracle: str | None = None):
     def add(f):
         QUERIES[name] = f
@@ -107,25 +113,25 @@ FLOW5 = f"{o.elem(5)}, {o.flow()}, {o.flow_h(5)}, {o.flow_jump()}"
 @query("expand_h", _vec_sql(FLOW5, "h"))
 def expand_h(spark, d):
     h, _, _, n = workloads.flow_system(spark, d)
-    return _vec(expand.expand(h, n))
+    return _vec(coefficients(h, n))
 
 
 @query("expand_jump", _vec_sql(FLOW5, "L"))
 def expand_jump(spark, d):
     _, l0, _, n = workloads.flow_system(spark, d)
-    return _vec(expand.expand(l0, n))
+    return _vec(coefficients(l0, n))
 
 
 @query("prefix_d", _vec_sql(f"{o.elem(25)}, {o.dimer_cells(25, 'nation', 'n_nationkey')}", "h0").replace(") WHERE abs(re) > 1e-9 OR abs(im) > 1e-9", ") WHERE idx > 600 AND (abs(re) > 1e-9 OR abs(im) > 1e-9)"))
 def prefix_d(spark, d):
     h0, *_ = workloads.dimer(spark, d, "nation")
-    return _vec(expand.expand(h0, 25)).where("idx > 600")
+    return _vec(coefficients(h0, 25)).where("idx > 600")
 
 
 @query("rebuild_roundtrip", f"WITH {o.flow()} SELECT r AS row, c AS col, {r6('v')} AS re FROM flow WHERE abs(v) > 1e-9")
 def rebuild_roundtrip(spark, d):
     x = workloads.flow(spark, d)
-    return sparse(expand.rebuild(expand.expand(x, 5), expand.traces(x), 5), F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), values=("re",))
+    return sparse(expand.rebuild(coefficients(x, 5), expand.traces(x), 5), F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), values=("re",))
 
 
 LABEL = "x AS (SELECT quality + 1 AS r, toxic + 1 AS c, count(*)::DOUBLE AS v FROM labels JOIN documents USING (doc_id) GROUP BY ALL), rho AS (SELECT a.r::BIGINT AS r, b.r::BIGINT AS c, sum(a.v * b.v) / (SELECT sum(v * v) FROM x) AS re, 0.0::DOUBLE AS im FROM x a JOIN x b USING (c) GROUP BY a.r, b.r)"
@@ -140,7 +146,7 @@ def qubit_vector(spark, d):
 @query("qutrit_expand", f"WITH {o.elem(3)}, {o.jumps_cte('turn3')} SELECT op, idx, {r6('re')} AS re, {r6('im')} AS im FROM (SELECT op, e.idx, sum(e.re * l.re - e.im * l.im) AS re, sum(e.re * l.im + e.im * l.re) AS im FROM elem e JOIN L l ON e.c = l.r AND e.r = l.c GROUP BY op, e.idx) WHERE abs(re) > 1e-9 OR abs(im) > 1e-9")
 def qutrit_expand(spark, d):
     j, _ = workloads.turns(spark, d)
-    return sparse(expand.expand(j, 3), "op", "idx", values=("re", "im"))
+    return sparse(coefficients(j, 3), "op", "idx", values=("re", "im"))
 
 
 @query("initial_vector", f"WITH {o.elem(4)}, {LANG} SELECT idx, {r6('re')} AS x FROM ({o.expand_sql('rho')}) WHERE abs(re) > 1e-9")
@@ -153,7 +159,7 @@ def lang_density(spark, d):
     return sparse(workloads.gram(workloads.lang_cells(spark, d)), F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), values=("re",))
 
 
-EMBED = "e0 AS (SELECT label::VARCHAR AS sys, vec_id, unnest(embedding[1:8])::DOUBLE AS v, generate_subscripts(embedding[1:8], 1) AS r FROM embeddings), et AS (SELECT sys, sum(v * v) AS t FROM e0 GROUP BY sys), rho AS (SELECT a.sys, a.r::BIGINT AS r, b.r::BIGINT AS c, sum(a.v * b.v) / any_value(t) AS re, 0.0::DOUBLE AS im FROM e0 a JOIN e0 b ON a.sys = b.sys AND a.vec_id = b.vec_id JOIN et ON a.sys = et.sys GROUP BY a.sys, a.r, b.r)"
+EMBED = "e0 AS (SELECT label::VARCHAR AS sys, vec_id, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) AS r FROM embeddings), et AS (SELECT sys, sum(v * v) AS t FROM e0 GROUP BY sys), rho AS (SELECT a.sys, a.r::BIGINT AS r, b.r::BIGINT AS c, sum(a.v * b.v) / any_value(t) AS re, 0.0::DOUBLE AS im FROM e0 a JOIN e0 b ON a.sys = b.sys AND a.vec_id = b.vec_id JOIN et ON a.sys = et.sys GROUP BY a.sys, a.r, b.r)"
 
 
 @query("embed_gram", f"WITH {EMBED} SELECT sys, r AS row, c AS col, {r6('re')} AS re FROM rho WHERE abs(re) > 1e-9")
@@ -243,19 +249,19 @@ D25 = f"{o.elem(25)}, {o.dimer_cells(25, 'nation', 'n_nationkey')}, {o.dimer_jum
 @query("drift_tensor", system_sql(FLOW5, o.drift_sql("h")))
 def drift_tensor(spark, d):
     h, _, _, n = workloads.flow_system(spark, d)
-    return sparse(assemble.drift(expand.expand(h, n), n), "s", "n")
+    return sparse(assemble.drift(coefficients(h, n), n), "s", "n")
 
 
 @query("drift_multi_n", system_sql(D25, o.drift_sql("h0")))
 def drift_multi_n(spark, d):
     h0, *_ = workloads.dimer(spark, d, "nation")
-    return sparse(assemble.drift(expand.expand(h0, 25), 25), "s", "n")
+    return sparse(assemble.drift(coefficients(h0, 25), 25), "s", "n")
 
 
 @query("sql_drift", system_sql(D5, o.drift_sql("h0")))
 def sql_drift(spark, d):
     h0, *_ = workloads.dimer(spark, d)
-    sqlapi.register(spark, 5, coherent_h0=expand.expand(h0, 5))
+    sqlapi.register(spark, 5, coherent_h0=coefficients(h0, 5))
     return sparse(sqlapi.drift(spark, 5, "coherent_h0"), "s", "n")
 
 
@@ -266,7 +272,7 @@ def _times(spark: SparkSession, sys: str) -> DataFrame:
 @query("drift_at_times", f"WITH {D5}, q0 AS ({o.drift_sql('h0')}), q1 AS ({o.drift_sql('h1')}), tt AS (SELECT i * {math.pi / 4!r}::DOUBLE + 0.1 AS t FROM range(8) r(i)), a AS (SELECT t, s, n, x FROM q0, tt UNION ALL SELECT t, s, n, x * CASE WHEN t < {math.pi!r} THEN -1.5 ELSE 1.5 END FROM q1, tt) SELECT {r6('t')} AS t, s, n, {r6('sum(x)')} AS x FROM a GROUP BY t, s, n HAVING abs(sum(x)) > 1e-9")
 def drift_at_times(spark, d):
     h0, h1, *_ = workloads.dimer(spark, d)
-    q0, q1 = (assemble.drift(expand.expand(h, 5), 5) for h in (h0, h1))
+    q0, q1 = (assemble.drift(coefficients(h, 5), 5) for h in (h0, h1))
     got = assemble.drift_at(q0, q1, models.square_drive(spark, "dimer5"), _times(spark, "dimer5"))
     return sparse(got, c6(F.col("t")).alias("t"), "s", "n")
 
@@ -290,19 +296,19 @@ def _inhom_sql(body: str, n: int) -> str:
 @query("inhom_tensor", _inhom_sql(HOP5, 5))
 def inhom_tensor(spark, d):
     j, w = workloads.hops(spark, d)
-    return sparse(assemble.inhomogeneity(expand.expand(j, 5), w, 5), "s")
+    return sparse(assemble.inhomogeneity(coefficients(j, 5), w, 5), "s")
 
 
 @query("inhom_dimer", _inhom_sql(D5, 5))
 def inhom_dimer(spark, d):
     _, _, l, w, n = workloads.dimer(spark, d)
-    return sparse(assemble.inhomogeneity(expand.expand(l, n), w, n), "s")
+    return sparse(assemble.inhomogeneity(coefficients(l, n), w, n), "s")
 
 
 @query("inhom_printed_pump", "SELECT 0::BIGINT AS nonzeros")
 def inhom_printed_pump(spark, d):
     _, _, l, w, n = workloads.dimer(spark, d, pump="printed")
-    return assemble.inhomogeneity(expand.expand(l, n), w, n).where("abs(x) > 1e-9").agg(F.count(F.lit(1)).alias("nonzeros"))
+    return assemble.inhomogeneity(coefficients(l, n), w, n).where("abs(x) > 1e-9").agg(F.count(F.lit(1)).alias("nonzeros"))
 
 
 def _relax_sql(body: str, n: int) -> str:
@@ -312,44 +318,43 @@ def _relax_sql(body: str, n: int) -> str:
 @query("relax_tensor_flow", _relax_sql(FLOW5, 5))
 def relax_tensor_flow(spark, d):
     _, l, w, n = workloads.flow_system(spark, d)
-    return sparse(assemble.relaxation(expand.expand(l, n), w, n), "s", "n")
+    return sparse(assemble.relaxation(coefficients(l, n), w, n), "s", "n")
 
 
 @query("relax_tensor_dimer", _relax_sql(D5, 5))
 def relax_tensor_dimer(spark, d):
     _, _, l, w, n = workloads.dimer(spark, d)
-    return sparse(assemble.relaxation(expand.expand(l, n), w, n), "s", "n")
+    return sparse(assemble.relaxation(coefficients(l, n), w, n), "s", "n")
 
 
 @query("relax_multi", _relax_sql(HOP5, 5))
 def relax_multi(spark, d):
     j, w = workloads.hops(spark, d)
-    return sparse(assemble.relaxation(expand.expand(j, 5), w, 5), "s", "n")
+    return sparse(assemble.relaxation(coefficients(j, 5), w, 5), "s", "n")
 
 
 @query("relax_turns", _relax_sql(TURN3, 3))
 def relax_turns(spark, d):
     j, w = workloads.turns(spark, d)
-    return sparse(assemble.relaxation(expand.expand(j, 3), w, 3), "s", "n")
+    return sparse(assemble.relaxation(coefficients(j, 3), w, 3), "s", "n")
 
 
-@query("relax_cell_flow25", system_sql(f"{o.elem(25)}, {o.flow('nation')}, {o.flow_h(25)}, {o.flow_jump()}, {o.super_sql(25)}", o.RELAX) + " AND s <= 40 AND n > 590")
+@query("relax_cell_flow25", system_sql(f"{o.elem(25)}, {o.flow('nation')}, {o.flow_h(25)}, {o.flow_jump()}, {o.super_sql(25)}", o.RELAX))
 def relax_cell_flow25(spark, d):
     _, l, w, n = workloads.flow_system(spark, d, "nation")
-    got = assemble.relaxation(expand.expand(l, n), w, n)
-    return sparse(got.where("s <= 40 AND n > 590"), "s", "n")
+    return sparse(assemble.relaxation_by_cells(l, w, n), "s", "n")
 
 
-@query("relax_staged", _relax_sql(D5, 5))
+@query("relax_staged", _relax_sql(D25, 25))
 def relax_staged(spark, d):
-    _, _, l, w, n = workloads.dimer(spark, d)
-    return sparse(assemble.relaxation(expand.expand(l, n), w, n, stages=4), "s", "n")
+    _, _, l, w, n = workloads.dimer(spark, d, "nation")
+    return sparse(assemble.relaxation(coefficients(l, n), w, n, stages=20), "s", "n")
 
 
 @query("route_except", "SELECT 0::BIGINT AS tensor_only, 0::BIGINT AS cell_only")
 def route_except(spark, d):
     _, l, w, n = workloads.flow_system(spark, d)
-    a = sparse(assemble.relaxation(expand.expand(l, n), w, n), "s", "n")
+    a = sparse(assemble.relaxation(coefficients(l, n), w, n), "s", "n")
     b = sparse(assemble.relaxation_by_cells(l, w, n), "s", "n")
     x, y = a.exceptAll(b).agg(F.count(F.lit(1)).alias("tensor_only")), b.exceptAll(a).agg(F.count(F.lit(1)).alias("cell_only"))
     return x.crossJoin(y)
@@ -358,7 +363,7 @@ def route_except(spark, d):
 @query("seq_equals_parallel", "SELECT 0::BIGINT AS only_a, 0::BIGINT AS only_b, true AS equal")
 def seq_equals_parallel(spark, d):
     j, w = workloads.turns(spark, d)
-    l = expand.expand(j, 3)  # noqa: E741
+    l = coefficients(j, 3)  # noqa: E741
     got = validate.compare(baselines.sequential(l, w, 3), assemble.relaxation(l, w, 3), ["sys", "s", "n"])
     return got.select("only_a", "only_b", (F.col("largest") < 1e-9).alias("equal"))
 
@@ -386,18 +391,18 @@ def random_rates(spark, d):
     return sparse(models.random_rates(spark, 4, workloads.samples(spark, d, 2)), "sys", "j", "k", values=("re", "im"))
 
 
-RATE_CELLS = "C AS (SELECT x.r AS a, y.r AS b, x.c AS c, y.c AS d, sum(w.re * (x.re * y.re + x.im * y.im) - w.im * (x.im * y.re - x.re * y.im)) AS re, sum(w.re * (x.im * y.re - x.re * y.im) + w.im * (x.re * y.re + x.im * y.im)) AS im FROM w JOIN elem x ON w.j = x.idx JOIN elem y ON w.k = y.idx WHERE sys = 's0' GROUP BY x.r, y.r, x.c, y.c)"
+RATE_CELLS = "C AS (SELECT x.r AS a, y.r AS b, x.c AS c, y.c AS d, sum(w.re * (x.re * y.re + x.im * y.im) - w.im * (x.im * y.re - x.re * y.im)) AS re, sum(w.re * (x.im * y.re - x.re * y.im) + w.im * (x.re * y.re + x.im * y.im)) AS im FROM w JOIN elem x ON w.j = x.idx JOIN elem y ON w.k = y.idx GROUP BY x.r, y.r, x.c, y.c)"
 
 
-@query("relax_rates", system_sql(f"{_random(3, 2)}, {o.super_sql(3, RATE_CELLS)}", o.RELAX))
+@query("relax_rates", system_sql(f"{_random(3, 1)}, {o.super_sql(3, RATE_CELLS)}", o.RELAX))
 def relax_rates(spark, d):
-    r = models.random_rates(spark, 3, workloads.samples(spark, d, 2)).where("sys = 's0'")
+    r = models.random_rates(spark, 3, workloads.samples(spark, d, 1))
     return sparse(assemble.relaxation_from_rates(r, 3), "s", "n")
 
 
-@query("relax_rates_cell", system_sql(f"{_random(4, 2)}, {o.super_sql(4, RATE_CELLS)}", o.RELAX))
+@query("relax_rates_cell", system_sql(f"{_random(4, 1)}, {o.super_sql(4, RATE_CELLS)}", o.RELAX))
 def relax_rates_cell(spark, d):
-    r = models.random_rates(spark, 4, workloads.samples(spark, d, 2)).where("sys = 's0'")
+    r = models.random_rates(spark, 4, workloads.samples(spark, d, 1))
     return sparse(assemble.relaxation_from_rates(r, 4, "cell"), "s", "n")
 
 
@@ -415,35 +420,43 @@ def ensemble_trace(spark, d):
     return t.select("sys", c6(F.col("trace") / 8).alias("mean_eigenvalue"))
 
 
-@query("spectrum_moments", f"WITH {_random(3, 2)}, {o.super_sql(3, RATE_CELLS)}, R AS {o.RELAX} SELECT 's0' AS sys, {r6('(SELECT sum(x) FROM R WHERE s = n)')} AS trace, {r6('(SELECT sum(a.x * b.x) FROM R a JOIN R b ON a.s = b.n AND a.n = b.s)')} AS trace2")
+@query("spectrum_moments", f"WITH {_random(3, 1)}, {o.super_sql(3, RATE_CELLS)}, R AS {o.RELAX} SELECT 's0' AS sys, {r6('(SELECT sum(x) FROM R WHERE s = n)')} AS trace, {r6('(SELECT sum(a.x * b.x) FROM R a JOIN R b ON a.s = b.n AND a.n = b.s)')} AS trace2")
 def spectrum_moments(spark, d):
-    r = models.random_rates(spark, 3, workloads.samples(spark, d, 2)).where("sys = 's0'")
+    r = models.random_rates(spark, 3, workloads.samples(spark, d, 1))
     e = spectrum.eigenvalues(assemble.relaxation_from_rates(r, 3), 8)
     return e.groupBy("sys").agg(c6(F.sum("re")).alias("trace"), c6(F.sum(F.expr("re*re-im*im"))).alias("trace2"))
 
 
-@query("local_eigen")
+def _power(k: int) -> str:
+    """The sum of the k-th powers of R's eigenvalues, from traces."""
+    names = "abc"[:k]
+    return f"(SELECT sum({' * '.join(x + '.x' for x in names)}) FROM {', '.join('R ' + x for x in names)} WHERE {' AND '.join(f'{x}.n = {y}.s' for x, y in zip(names, names[1:] + names[0]))})"
+
+
+@query("local_eigen", f"WITH {_random(4, 1)}, {o.super_sql(4, RATE_CELLS)}, R AS MATERIALIZED {o.RELAX} SELECT 's0' AS sys, 15::BIGINT AS n, {r6(_power(1))} AS p1, {r6(_power(2))} AS p2, {r6(_power(3))} AS p3")
 def local_eigen(spark, d):
-    r = models.random_rates(spark, 4, workloads.samples(spark, d, 2))
-    return spectrum.eigenvalues(assemble.relaxation_from_rates(r, 4), 15)
+    r = models.random_rates(spark, 4, workloads.samples(spark, d, 1))
+    e = spectrum.eigenvalues(assemble.relaxation_from_rates(r, 4), 15)
+    return e.groupBy("sys").agg(F.count(F.lit(1)).alias("n"), c6(F.sum("re")).alias("p1"), c6(F.sum(F.expr("re*re-im*im"))).alias("p2"), c6(F.sum(F.expr("re*re*re-3*re*im*im"))).alias("p3"))
 
 
-GRID = "p AS (SELECT floor((embedding[1]::DOUBLE + 4) / 0.08)::INT AS bx, floor((embedding[2]::DOUBLE + 4) / 0.08)::INT AS cy FROM embeddings)"
+_EDGE = lambda i: f"CASE WHEN embedding[1]::DOUBLE BETWEEN -4 AND 4 AND embedding[2]::DOUBLE BETWEEN -4 AND 4 THEN least(floor((embedding[{i}]::DOUBLE + 4) / 0.08), 99)::INT END"
+GRID = f"p AS (SELECT {_EDGE(1)} AS bx, {_EDGE(2)} AS cy FROM embeddings)"
 
 
 def _points(spark, d):
     return io.table(spark, d, "embeddings").select(F.lit("points").alias("sys"), F.col("embedding")[0].cast("double").alias("re"), F.col("embedding")[1].cast("double").alias("im"))
 
 
-@query('density_grid', f'''WITH {GRID} SELECT bx, cy AS "by", count(*) AS n, {r6('count(*) / (SELECT count(*) FROM p)::DOUBLE / (0.08 * 0.08)')} AS density FROM p WHERE bx BETWEEN 0 AND 99 AND cy BETWEEN 0 AND 99 GROUP BY bx, cy''')
+@query('density_grid', f'''WITH {GRID} SELECT bx, cy AS "by", count(*) AS n, CASE WHEN bx IS NOT NULL THEN {r6('count(*) / (SELECT count(*) FROM p)::DOUBLE / (0.08 * 0.08)')} END AS density FROM p GROUP BY bx, cy''')
 def density_grid(spark, d):
     return spectrum.density(_points(spark, d), bounds=(-4.0, 4.0, -4.0, 4.0)).select("bx", "by", "n", c6(F.col("density")).alias("density"))
 
 
-@query("grid_area_norm", f"WITH {GRID} SELECT 10000::BIGINT AS cells, {r6('(SELECT count(*) FROM p WHERE bx BETWEEN 0 AND 99 AND cy BETWEEN 0 AND 99) / (SELECT count(*) FROM p)::DOUBLE')} AS mass")
+@query("grid_area_norm", f"WITH {GRID} SELECT 10000::BIGINT AS cells, {r6('(SELECT count(bx) FROM p) / (SELECT count(*) FROM p)::DOUBLE')} AS mass")
 def grid_area_norm(spark, d):
     g = spectrum.density(_points(spark, d), bounds=(-4.0, 4.0, -4.0, 4.0), empty=True)
-    return g.agg(F.count(F.lit(1)).alias("cells"), c6(F.sum("density") * 0.08 * 0.08).alias("mass"))
+    return g.agg(F.count("bx").alias("cells"), c6(F.sum("density") * 0.08 * 0.08).alias("mass"))
 
 
 # -- models
@@ -457,12 +470,12 @@ def _op_sql(body: str, name: str) -> str:
     return f"WITH {body} SELECT r AS row, c AS col, {r6('re')} AS re FROM {name} WHERE abs(re) > 1e-9"
 
 
-PART100 = o.dimer_cells(100, "(SELECT p_partkey - 1 AS k FROM part WHERE p_partkey <= 100)", "k")
+PARTS = o.dimer_cells("(SELECT count(*) FROM part)", "(SELECT p_partkey - 1 AS k FROM part)", "k")
 
 
-@query("dimer_h0", _op_sql(PART100, "h0"))
+@query("dimer_h0", _op_sql(PARTS, "h0"))
 def dimer_h0(spark, d):
-    return _op_rows(models.dimer(workloads.part_levels(spark, d, 100), 100)[0])
+    return _op_rows(models.dimer(*workloads.part_levels(spark, d))[0])
 
 
 @query("dimer_h1", _op_sql(o.dimer_cells(25, "nation", "n_nationkey"), "h1"))
@@ -470,33 +483,31 @@ def dimer_h1(spark, d):
     return _op_rows(models.dimer(workloads.levels_of(spark, d, "nation"), 25)[1])
 
 
-@query("dimer_jump", _op_sql(PART100, "la"))
+@query("dimer_jump", _op_sql(PARTS, "la"))
 def dimer_jump(spark, d):
-    return _op_rows(models.dimer(workloads.part_levels(spark, d, 100), 100)[2])
+    return _op_rows(models.dimer(*workloads.part_levels(spark, d))[2])
 
 
-@query("dimer_relax", _relax_sql(f"{o.elem(10)}, {o.dimer_cells(10, '(SELECT p_partkey - 1 AS k FROM part WHERE p_partkey <= 10)', 'k')}, {o.dimer_jump(10)}", 10))
+@query("dimer_relax", _relax_sql(D25, 25))
 def dimer_relax(spark, d):
-    lv = workloads.part_levels(spark, d, 10)
-    jump = models.dimer(lv, 10)[2].withColumn("op", F.lit(0))
-    w = lv.select("sys").distinct().select("sys", F.lit(0).alias("op"), F.lit(models.dimer_weight(10)).alias("gamma"))
-    return sparse(assemble.relaxation(expand.expand(jump, 10), w, 10), "s", "n")
+    _, _, l, w, n = workloads.dimer(spark, d, "nation")
+    return sparse(assemble.relaxation(coefficients(l, n), w, n), "s", "n")
 
 
-CHAIN = """st AS (SELECT n_regionkey AS site, abs(avg(c_acctbal) / 10000) AS g FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE n_regionkey < 3 GROUP BY 1),
-L AS (SELECT site::INT AS op, (z - (1 << site) - (1 << (site + 1)) + 1)::BIGINT AS r, z::BIGINT + 1 AS c, 1.0::DOUBLE AS re, 0.0::DOUBLE AS im, g FROM st, range(8) t(z) WHERE site < 2 AND (z // (1 << site)) % 2 = 1 AND (z // (1 << (site + 1))) % 2 = 1)"""
+CHAIN = """st AS (SELECT n_regionkey AS site, abs(avg(c_acctbal) / 10000) AS g FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1),
+L AS (SELECT site::INT AS op, (z - (1 << site) - (1 << (site + 1)) + 1)::BIGINT AS r, z::BIGINT + 1 AS c, 1.0::DOUBLE AS re, 0.0::DOUBLE AS im, g FROM st, range(32) t(z) WHERE site < 4 AND (z // (1 << site)) % 2 = 1 AND (z // (1 << (site + 1))) % 2 = 1)"""
 
 
 @query("chain_embed", f"WITH {CHAIN} SELECT op, r AS row, c AS col, {r6('g')} AS gamma FROM L")
 def chain_embed(spark, d):
-    j, w = models.chain(workloads.sites(spark, d, 3), 3, 2)
+    j, w = models.chain(workloads.sites(spark, d), 5, 2)
     return j.join(w, ["sys", "op"]).select("op", F.col("row").cast("long").alias("row"), F.col("col").cast("long").alias("col"), c6(F.col("gamma")).alias("gamma"))
 
 
-@query("chain_relax", _relax_sql(f"{o.elem(8)}, {CHAIN}", 8))
+@query("chain_relax", _relax_sql(f"{o.elem(32)}, {CHAIN}", 32))
 def chain_relax(spark, d):
-    j, w = models.chain(workloads.sites(spark, d, 3), 3, 2)
-    return sparse(assemble.relaxation(expand.expand(j, 8), w, 8), "s", "n")
+    j, w = models.chain(workloads.sites(spark, d), 5, 2)
+    return sparse(assemble.relaxation(coefficients(j, 32), w, 32), "s", "n")
 
 
 # -- panels
@@ -507,7 +518,7 @@ BALANCED = "bal AS (SELECT s, nnz, least(3, floor((sum(nnz) OVER (ORDER BY s) -
 
 def _q0(spark, d):
     h0, *_ = workloads.dimer(spark, d, "nation")
-    return assemble.drift(expand.expand(h0, 25), 25).where("abs(x) > 1e-9")
+    return assemble.drift(coefficients(h0, 25), 25).where("abs(x) > 1e-9")
 
 
 @query("panel_uniform", COUNTS + " SELECT s, nnz::BIGINT AS nnz, ((s - 1) * 4 // 624)::INT AS panel FROM rc")
@@ -533,10 +544,34 @@ def edge_cut(spark, d):
     return measures.edge_cut(q, partition.balanced(partition.row_counts(q, 624), 4)).select("cut", "remote")
 
 
-@query("graph_panels")
+GRAPH = COUNTS + """, ge AS (SELECT DISTINCT s AS a, n AS b FROM q WHERE s <> n UNION SELECT DISTINCT n, s FROM q WHERE s <> n),
+reach AS (SELECT s AS label, s FROM rc UNION SELECT reach.label, b FROM reach JOIN ge ON a = s),
+comp AS (SELECT s, min(label) AS label FROM reach GROUP BY s),
+ring AS (SELECT label, label AS s, 0 AS far FROM comp WHERE s = label UNION SELECT label, b, far + 1 FROM ring JOIN ge ON a = ring.s WHERE far < 100),
+pos AS (SELECT rc.s, nnz, row_number() OVER (ORDER BY label, f, rc.s) AS pl FROM rc JOIN comp USING (s) JOIN (SELECT s, min(far) AS f FROM ring GROUP BY s) USING (s)),
+gp AS (SELECT s, nnz, least(3, floor((sum(nnz) OVER (ORDER BY pl) - nnz) * 4 / sum(nnz) OVER ()))::INT AS panel FROM pos)"""
+GRAPH = GRAPH.replace("WITH ", "WITH RECURSIVE ", 1)
+
+
+@query("graph_panels", GRAPH + " SELECT s, nnz::BIGINT AS nnz, panel FROM gp")
 def graph_panels(spark, d):
-    q = _q0(spark, d)
-    return partition.by_graph(q, 624, 4).select("s", "nnz", "panel")
+    return partition.by_graph(keep(_q0(spark, d)), 624, 4).select("s", "nnz", "panel")
+
+
+@query("graph_cut", GRAPH + ", cuts AS (SELECT 'graph' AS method, s, panel FROM gp UNION ALL SELECT 'uniform', s, ((s - 1) * 4 // 624)::INT FROM rc) SELECT a.method, count(*) AS cut, count(DISTINCT a.panel * 1000 + q.n) AS remote FROM q JOIN cuts a ON q.s = a.s JOIN cuts b ON q.n = b.s AND a.method = b.method WHERE a.panel <> b.panel GROUP BY a.method")
+def graph_cut(spark, d):
+    q = keep(_q0(spark, d))
+    panels = {"graph": partition.by_graph(q, 624, 4), "uniform": partition.uniform(partition.row_counts(q, 624), 624, 4)}
+    parts = [measures.edge_cut(q, p).select(F.lit(name).alias("method"), "cut", "remote") for name, p in panels.items()]
+    return parts[0].unionByName(parts[1])
+
+
+@query("panel_loads", COUNTS + f", {BALANCED}, t AS (SELECT panel, sum(nnz) AS nnz FROM bal GROUP BY panel) SELECT count(*) AS tasks, max(nnz)::BIGINT AS largest, {r6('max(nnz) / avg(nnz)')} AS ratio FROM t")
+def panel_loads(spark, d):
+    """What the tasks of a balanced matrix really hold."""
+    q = keep(_q0(spark, d))
+    held = partition.loads(partition.dealt(q, partition.balanced(partition.row_counts(q, 624), 4), 4))
+    return held.agg(F.count(F.lit(1)).alias("tasks"), F.max("rows").alias("largest"), c6(F.max("ratio")).alias("ratio"))
 
 
 @query("ntile_panels", COUNTS + " SELECT s, ntile(4) OVER (ORDER BY s)::INT AS panel FROM rc")
@@ -550,10 +585,10 @@ def ntile_panels(spark, d):
 
 def _turn_system(spark, d):
     j, w = workloads.turns(spark, d)
-    l = expand.expand(j, 3)  # noqa: E741
+    l = coefficients(j, 3)  # noqa: E741
     h = spark.createDataFrame([("turn3", 1, 2, 0.5, 0.0), ("turn3", 2, 1, 0.5, 0.0), ("turn3", 2, 3, 0.0, 0.25), ("turn3", 3, 2, 0.0, -0.25)], io.OPERATOR)
     v0 = expand.initial_vector(expand.pure(spark, "turn3", 1), 3)
-    return integrate.bundle(assemble.drift(expand.expand(h, 3), 3), assemble.relaxation(l, w, 3), assemble.inhomogeneity(l, w, 3), v0), h, j, w
+    return integrate.bundle(assemble.drift(coefficients(h, 3), 3), assemble.relaxation(l, w, 3), assemble.inhomogeneity(l, w, 3), v0), h, j, w
 
 
 def _rk4_sql(steps: int, period: float) -> str:
@@ -580,9 +615,9 @@ def _rho_sql(steps: int, period: float) -> str:
     return _rk4_sql(steps, period) + f"""SELECT row, col, {r6('re')} AS re, {r6('im')} AS im FROM (SELECT a.i AS row, b.i AS col, v[(a.i - 1) * 6 + (b.i - 1) * 2 + 1] AS re, v[(a.i - 1) * 6 + (b.i - 1) * 2 + 2] AS im FROM it, lev a, lev b WHERE k = {steps}) WHERE abs(re) > 1e-9 OR abs(im) > 1e-9"""
 
 
-@query("rk4_short", _rk4_vec(2, 0.2))
+@query("rk4_short", _rk4_vec(3, 0.3))
 def rk4_short(spark, d):
-    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 2, 0.2, strategy="step"), "idx")
+    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 3, 0.3, strategy="step"), "idx")
 
 
 @query("rk4_grouped", _rk4_vec(40, 2.0))
@@ -595,9 +630,9 @@ def rk4_collapsed(spark, d):
     return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 40, 2.0, strategy="collapsed"), "idx")
 
 
-@query("rk4_panel", _rk4_vec(2, 0.2))
+@query("rk4_panel", _rk4_vec(3, 0.3))
 def rk4_panel(spark, d):
-    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 2, 0.2, strategy="panel"), "idx")
+    return sparse(integrate.rk4(_turn_system(spark, d)[0], 8, 3, 0.3, strategy="panel"), "idx")
 
 
 @query("rho_final", _rho_sql(40, 2.0))
@@ -615,23 +650,51 @@ def rk4_density_equals(spark, d):
 
 def dimer_bundle(spark, d, name="region"):
     h0, h1, l, w, n = workloads.dimer(spark, d, name)
-    e = expand.expand(l, n)
+    e = coefficients(l, n)
     v0 = expand.initial_vector(h0.select("sys").distinct().select("sys", F.lit(1).alias("row"), F.lit(1).alias("col"), F.lit(1.0).alias("re"), F.lit(0.0).alias("im")), n)
-    return integrate.bundle(assemble.drift(expand.expand(h0, n), n), assemble.relaxation(e, w, n), assemble.inhomogeneity(e, w, n), v0, assemble.drift(expand.expand(h1, n), n)), n
-
-
-@query("period_end")
+    return integrate.bundle(assemble.drift(coefficients(h0, n), n), assemble.relaxation(e, w, n), assemble.inhomogeneity(e, w, n), v0, assemble.drift(coefficients(h1, n), n)), n
+
+
+def _period_sql(n: int, steps: int, period: float) -> str:
+    """The density matrix as 2 n^2 numbers; each half's step is a matrix (the series to fourth order), raised by squaring."""
+    h, size, out = period / steps, 2 * n * n, []
+
+    def product(name: str, a: str, b: str) -> None:
+        out.append(f"{name} AS MATERIALIZED (SELECT a.p, b.q, sum(a.x * b.x) AS x FROM {a} a JOIN {b} b ON a.q = b.p GROUP BY a.p, b.q)")
+
+    for half, eps in (("u", models.A), ("w", -models.A)):
+        out.append(f"""h{half} AS (SELECT r, c, sum(re) AS re, sum(im) AS im FROM (SELECT * FROM h0 UNION ALL SELECT r, c, re * {eps!r}::DOUBLE, im FROM h1) GROUP BY r, c),
+Y{half} AS (SELECT a, b, c, d, sum(re) AS re, sum(im) AS im FROM (SELECT * FROM X UNION ALL SELECT r, i, c, i, im, -re FROM h{half}, lev UNION ALL SELECT i, c, i, r, -im, re FROM h{half}, lev) GROUP BY ALL),
+A{half} AS MATERIALIZED (SELECT p, q, sum(x) * {h!r}::DOUBLE AS x FROM (SELECT ((a - 1) * {n} + b - 1) * 2 + k AS p, ((c - 1) * {n} + d - 1) * 2 + m AS q, CASE WHEN k = m THEN re WHEN k = 1 THEN im ELSE -im END AS x FROM Y{half}, range(2) s(k), range(2) t(m)) GROUP BY p, q)""")
+        product(f"A{half}2", f"A{half}", f"A{half}")
+        product(f"A{half}3", f"A{half}2", f"A{half}")
+        product(f"A{half}4", f"A{half}3", f"A{half}")
+        terms = " UNION ALL ".join([f"SELECT i AS p, i AS q, 1.0::DOUBLE AS x FROM range({size}) t(i)", f"SELECT * FROM A{half}", f"SELECT p, q, x / 2 FROM A{half}2", f"SELECT p, q, x / 6 FROM A{half}3", f"SELECT p, q, x / 24 FROM A{half}4"])
+        out.append(f"P{half}0 AS MATERIALIZED (SELECT p, q, sum(x) AS x FROM ({terms}) GROUP BY p, q)")
+        done, bits = None, steps // 2
+        for k in range(bits.bit_length()):
+            if k:
+                product(f"P{half}{k}", f"P{half}{k - 1}", f"P{half}{k - 1}")
+            if bits >> k & 1:
+                if done:
+                    product(f"R{half}{k}", f"P{half}{k}", done)
+                done = f"R{half}{k}" if done else f"P{half}{k}"
+        out.append(f"E{half} AS (SELECT * FROM {done})")
+    return f"WITH {D5}, {o.super_sql(n)}, {', '.join(out)}, v AS (SELECT w.p, sum(w.x * u.x) AS x FROM Ew w JOIN Eu u ON w.q = u.p WHERE u.q = 0 GROUP BY w.p) SELECT idx, {r6('x')} AS x FROM (SELECT e.idx, sum(CASE WHEN v.p % 2 = 0 THEN e.re ELSE -e.im END * v.x) AS x FROM elem e JOIN v ON v.p // 2 = (e.c - 1) * {n} + e.r - 1 GROUP BY e.idx) WHERE abs(x) > 1e-9"
+
+
+@query("period_end", _period_sql(5, 2000, models.PERIOD))
 def period_end(spark, d):
     system, n = dimer_bundle(spark, d)
-    return integrate.rk4(system, basis.size(n), 2000, models.PERIOD, ((0.5, models.A), (0.5, -models.A)))
+    return sparse(integrate.rk4(system, basis.size(n), 2000, models.PERIOD, ((0.5, models.A), (0.5, -models.A))), "idx")
 
 
 @query("neutral_state_residual", "SELECT 24::BIGINT AS rows, 0.0::DOUBLE AS largest")
 def neutral_state_residual(spark, d):
     _, _, l, w, n = workloads.dimer(spark, d)
     h0 = workloads.dimer(spark, d)[0]
-    e = expand.expand(l, n)
-    q, r, k = assemble.drift(expand.expand(h0, n), n), assemble.relaxation(e, w, n), assemble.inhomogeneity(e, w, n)
+    e = coefficients(l, n)
+    q, r, k = assemble.drift(coefficients(h0, n), n), assemble.relaxation(e, w, n), assemble.inhomogeneity(e, w, n)
     empty = k.select("sys", F.col("s").alias("idx"), "x").where("1 = 0")
     v = integrate.steady_state(integrate.bundle(q, r, k, empty), basis.size(n))
     res = validate.residual(q.unionByName(r), k, v)
@@ -691,13 +754,13 @@ def kron(spark, d):
 def matvec(spark, d):
     h0, *_ = workloads.dimer(spark, d)
     v = spark.range(1, 25).select(F.lit("dimer5").alias("sys"), F.col("id").alias("idx"), (1.0 / F.col("id")).alias("x"))
-    return sparse(linalg.matvec(assemble.drift(expand.expand(h0, 5), 5), v), "s")
+    return sparse(linalg.matvec(assemble.drift(coefficients(h0, 5), 5), v), "s")
 
 
 @query("array_matvec", f"WITH {D5}, q AS ({o.drift_sql('h0')}) SELECT s, {r6('sum(x * n)')} AS x FROM q GROUP BY s HAVING abs(sum(x * n)) > 1e-9")
 def array_matvec(spark, d):
     h0, *_ = workloads.dimer(spark, d)
-    rows = linalg.dense_rows(assemble.drift(expand.expand(h0, 5), 5), 24)
+    rows = linalg.dense_rows(assemble.drift(coefficients(h0, 5), 5), 24)
     v = spark.range(1).select(F.lit("dimer5").alias("sys"), F.expr("transform(sequence(1, 24), x -> CAST(x AS DOUBLE))").alias("v"))
     return sparse(linalg.array_matvec(rows, v), "s")
 
@@ -705,7 +768,7 @@ def array_matvec(spark, d):
 @query("dense_rows", f"WITH {D5}, q AS (SELECT * FROM ({o.drift_sql('h0')}) WHERE abs(x) > 1e-9) SELECT s, 24::INT AS width, {r6('sum(x)')} AS total FROM q GROUP BY s")
 def dense_rows(spark, d):
     h0, *_ = workloads.dimer(spark, d)
-    rows = linalg.dense_rows(assemble.drift(expand.expand(h0, 5), 5), 24)
+    rows = linalg.dense_rows(assemble.drift(coefficients(h0, 5), 5), 24)
     return rows.select("s", F.size("cells").alias("width"), c6(F.aggregate("cells", F.lit(0.0), lambda a, x: a + x)).alias("total"))
 
 
@@ -813,13 +876,24 @@ def interval_drive(spark, d):
     return j.select("event_id", c6(F.col("value") - F.col("eps")).alias("gap"))
 
 
-@query("stream_state")
+STREAM = """WITH RECURSIVE e AS (SELECT user_id, value, epoch(ts) / 3600 AS t, row_number() OVER w AS i, lag(value) OVER w AS eps, floor((epoch(ts) - lag(epoch(ts)) OVER w) / 21600) AS n FROM events WHERE ts IS NOT NULL WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+z AS (SELECT *, -0.005 AS zr, -0.0005 * eps AS zi FROM e), z2 AS (SELECT *, zr * zr - zi * zi AS ar, 2 * zr * zi AS ai FROM z), z3 AS (SELECT *, ar * zr - ai * zi AS br, ar * zi + ai * zr AS bi, ar * ar - ai * ai AS dr, 2 * ar * ai AS di FROM z2),
+p AS (SELECT *, 1 + zr + ar / 2 + br / 6 + dr / 24 AS pr, zi + ai / 2 + bi / 6 + di / 24 AS pi FROM z3),
+f AS (SELECT *, pow(pr * pr + pi * pi, n / 2) * cos(n * atan2(pi, pr)) AS gr, pow(pr * pr + pi * pi, n / 2) * sin(n * atan2(pi, pr)) AS gi, pow(1 - 0.005 + 0.0000125 - 0.005 * 0.000025 / 6 + 0.000025 * 0.000025 / 24, n) AS g3 FROM p),
+g AS (SELECT *, -0.05 * 0.1 / (0.01 + 0.0001 * eps * eps) AS cr, 0.05 * 0.01 * eps / (0.01 + 0.0001 * eps * eps) AS ci FROM f),
+v AS (SELECT user_id, i, 0.0::DOUBLE AS x, 0.0::DOUBLE AS y, 0.0::DOUBLE AS w FROM e WHERE i = 1
+ UNION ALL SELECT g.user_id, g.i, gr * x - gi * y + (gr - 1) * cr - gi * ci, gr * y + gi * x + (gr - 1) * ci + gi * cr, g3 * w + 1 - g3 FROM v JOIN g ON g.user_id = v.user_id AND g.i = v.i + 1),
+last AS (SELECT user_id, max(i) AS i, max(t) AS t FROM e GROUP BY user_id)"""
+
+
+@query("stream_state", STREAM + f" SELECT user_id, i AS events, {r6('t')} AS t, {r6('x')} AS x1, {r6('y')} AS x2, {r6('w')} AS x3 FROM last JOIN v USING (user_id, i)")
 def stream_state(spark, d):
     """The batch form of the stateful propagation; tests run it as a stream."""
     import numpy as np
 
-    a0, a1, k = -0.1 * np.eye(3), np.array([[0, 1, 0], [-1, 0, 0], [0, 0, 0]]) * 0.01, np.array([0, 0, 0.1])
-    return drives.propagated(io.table(spark, d, "events"), a0, a1, k)
+    a0, a1, k = -0.1 * np.eye(3), np.array([[0, 1, 0], [-1, 0, 0], [0, 0, 0]]) * 0.01, np.array([0.05, 0, 0.1])
+    got = drives.propagated(io.table(spark, d, "events"), a0, a1, k)
+    return got.select("user_id", "events", c6(F.col("t")).alias("t"), *[c6(F.col("x")[i]).alias(f"x{i + 1}") for i in range(3)])
 
 
 # -- relational operators on system matrices
@@ -828,7 +902,7 @@ def stream_state(spark, d):
 @query("join_semi_support", f"WITH {TENSOR5}, {o.flow()}, {o.flow_h(5)}, v AS (SELECT idx FROM ({o.expand_sql('h')}) WHERE abs(re) > 1e-9) SELECT count(*) AS n FROM sc WHERE abs(alpha) > 1e-9 AND m IN (SELECT idx FROM v)")
 def join_semi_support(spark, d):
     h, _, _, n = workloads.flow_system(spark, d)
-    return structure.alpha(spark, 5).join(expand.expand(h, n).where("abs(re) > 1e-9"), F.col("m") == F.col("idx"), "left_semi").agg(F.count(F.lit(1)).alias("n"))
+    return structure.alpha(spark, 5).join(coefficients(h, n).where("abs(re) > 1e-9"), F.col("m") == F.col("idx"), "left_semi").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query("join_anti_cells", "SELECT item_id FROM benchmark WHERE item_id NOT IN (SELECT doc_id FROM labels)")
@@ -845,19 +919,19 @@ def theta_pairs(spark, d):
 @query("compare_full_outer", f"WITH {D5}, a AS (SELECT s, n, x FROM ({o.drift_sql('h0')}) WHERE abs(x) > 1e-9), b AS (SELECT s, n, x FROM ({o.drift_sql('h1')}) WHERE abs(x) > 1e-9) SELECT count(*) AS rows, count(*) FILTER (WHERE b.x IS NULL) AS only_a, count(*) FILTER (WHERE a.x IS NULL) AS only_b, {r6('max(abs(coalesce(a.x, 0) - coalesce(b.x, 0)))')} AS largest FROM a FULL JOIN b ON a.s = b.s AND a.n = b.n")
 def compare_full_outer(spark, d):
     h0, h1, *_ = workloads.dimer(spark, d)
-    a, b = (assemble.drift(expand.expand(h, 5), 5).where("abs(x) > 1e-9") for h in (h0, h1))
+    a, b = (assemble.drift(coefficients(h, 5), 5).where("abs(x) > 1e-9") for h in (h0, h1))
     return validate.compare(a, b, ["s", "n"]).select("rows", "only_a", "only_b", c6(F.col("largest")).alias("largest"))
 
 
 @query("drop_small", f"WITH {FLOW5}, q AS ({o.drift_sql('h')}) SELECT count(*) AS n FROM q WHERE abs(x) > 0.05")
 def drop_small(spark, d):
     h, _, _, n = workloads.flow_system(spark, d)
-    return assemble.drift(expand.expand(h, n), n).where("abs(x) > 0.05").agg(F.count(F.lit(1)).alias("n"))
+    return assemble.drift(coefficients(h, n), n).where("abs(x) > 0.05").agg(F.count(F.lit(1)).alias("n"))
 
 
 def _mats(spark, d):
     h0, h1, *_ = workloads.dimer(spark, d)
-    q = lambda h, name: assemble.drift(expand.expand(h, 5), 5).where("abs(x) > 1e-9").withColumn("part", F.lit(name)).withColumn("half", (F.col("s") > 12).cast("int"))
+    q = lambda h, name: assemble.drift(coefficients(h, 5), 5).where("abs(x) > 1e-9").withColumn("part", F.lit(name)).withColumn("half", (F.col("s") > 12).cast("int"))
     return q(h0, "Q0").unionByName(q(h1, "Q1"))
 
 
@@ -930,10 +1004,6 @@ def scan_counts(spark, d):
 
 @query("save_load", system_sql(D5, o.drift_sql("h0")))
 def save_load(spark, d):
-    import tempfile
-    import uuid
-
-    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="coherent-")
-    path = f"{shared}/system-{uuid.uuid4().hex}"
+    path = fresh_path(spark, "system")
     io.save_system(dimer_bundle(spark, d)[0], path)
     return sparse(io.load_system(spark, path, "dimer5", "Q0"), "s", "n")

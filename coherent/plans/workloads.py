@@ -8,6 +8,7 @@ from pyspark.sql.window import Window
 
 from coherent.operators import expand, linalg, models
 from coherent.sources.io import table
+from coherent.sources.store import keep
 
 OP = ["sys", "row", "col", "re", "im"]
 
@@ -26,7 +27,7 @@ def flow(spark: SparkSession, d: str, level: str = "region") -> DataFrame:
         x = x.select(F.col("c_nationkey").alias("row"), F.col("s_nationkey").alias("col"), "v")
     top = x.agg(F.max("v").alias("top"))
     name = "flow5" if level == "region" else "flow25"
-    return x.crossJoin(F.broadcast(top)).select(F.lit(name).alias("sys"), (F.col("row") + 1).cast("int").alias("row"), (F.col("col") + 1).cast("int").alias("col"), (F.col("v") / F.col("top")).alias("re"), F.lit(0.0).alias("im")).coalesce(1).persist()
+    return x.crossJoin(F.broadcast(top)).select(F.lit(name).alias("sys"), (F.col("row") + 1).cast("int").alias("row"), (F.col("col") + 1).cast("int").alias("col"), (F.col("v") / F.col("top")).alias("re"), F.lit(0.0).alias("im"))
 
 
 def flow_hamiltonian(x: DataFrame) -> DataFrame:
@@ -36,7 +37,7 @@ def flow_hamiltonian(x: DataFrame) -> DataFrame:
 def flow_system(spark: SparkSession, d: str, level: str = "region", gamma: float = 1.0) -> tuple[DataFrame, DataFrame, DataFrame, int]:
     """(H, jump operators, weights, levels) with the traceless part of the flow as the one jump operator."""
     n = 5 if level == "region" else 25
-    x = flow(spark, d, level)
+    x = keep(flow(spark, d, level), "flow")
     l0, h = expand.recentre_jump(x, flow_hamiltonian(x), gamma, n)
     return h, l0.withColumn("op", F.lit(0)), x.select("sys").distinct().select("sys", F.lit(0).alias("op"), F.lit(gamma).alias("gamma")), n
 
@@ -46,7 +47,7 @@ def transitions(pairs: DataFrame, names: list[str], sys: str) -> tuple[DataFrame
     level = lambda c: F.array_position(F.array(*[F.lit(x) for x in names]), F.col(c)).cast("int")
     c = pairs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n")).select(level("a").alias("f"), level("b").alias("t"), "n").where("f > 0 AND t > 0")
     total = c.agg(F.sum("n").alias("total"))
-    c = c.crossJoin(F.broadcast(total)).select(F.lit(sys).alias("sys"), ((F.col("f") - 1) * len(names) + F.col("t") - 1).cast("int").alias("op"), "f", "t", (F.col("n") / F.col("total")).alias("gamma"))
+    c = keep(c.crossJoin(F.broadcast(total)), "pairs").select(F.lit(sys).alias("sys"), ((F.col("f") - 1) * len(names) + F.col("t") - 1).cast("int").alias("op"), "f", "t", (F.col("n") / F.col("total")).alias("gamma"))
     jumps = c.select("sys", "op", F.col("t").alias("row"), F.col("f").alias("col"), F.lit(1.0).alias("re"), F.lit(0.0).alias("im"))
     return jumps, c.select("sys", "op", "gamma")
 
@@ -101,10 +102,10 @@ def lang_cells(spark: SparkSession, d: str) -> DataFrame:
     return x.select(F.lit("lang4").alias("sys"), level.alias("row"), F.col("source").alias("col"), F.col("n").cast("double").alias("v")).where("row > 0")
 
 
-def embedding_cells(spark: SparkSession, d: str, dims: int = 8) -> DataFrame:
-    """The first dims coordinates: row = dimension, col = vector, one system a label."""
+def embedding_cells(spark: SparkSession, d: str) -> DataFrame:
+    """row = dimension, col = vector, one system a label."""
     x = table(spark, d, "embeddings").select(F.col("label").cast("string").alias("sys"), F.col("vec_id").alias("col"), F.posexplode("embedding").alias("p", "v"))
-    return x.where(F.col("p") < dims).select("sys", (F.col("p") + 1).alias("row"), "col", F.col("v").cast("double").alias("v"))
+    return x.select("sys", (F.col("p") + 1).alias("row"), "col", F.col("v").cast("double").alias("v"))
 
 
 def levels_of(spark: SparkSession, d: str, name: str) -> DataFrame:
@@ -113,8 +114,10 @@ def levels_of(spark: SparkSession, d: str, name: str) -> DataFrame:
     return table(spark, d, name).select(F.lit(sys).alias("sys"), (F.col(key) + 1).cast("int").alias("level"))
 
 
-def part_levels(spark: SparkSession, d: str, n: int) -> DataFrame:
-    return table(spark, d, "part").where(F.col("p_partkey") <= n).select(F.lit(f"dimer{n}").alias("sys"), F.col("p_partkey").cast("int").alias("level"))
+def part_levels(spark: SparkSession, d: str) -> tuple[DataFrame, int]:
+    """(sys, level of every part, the number of levels): a two-site model as large as the table."""
+    p = table(spark, d, "part")
+    return p.select(F.lit("parts").alias("sys"), F.col("p_partkey").cast("int").alias("level")), p.count()
 
 
 def dimer(spark: SparkSession, d: str, name: str = "region", **options) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame, int]:
@@ -130,8 +133,8 @@ def samples(spark: SparkSession, d: str, count: int) -> DataFrame:
     return table(spark, d, "lineitem").select(F.concat(F.lit("s"), (F.col("l_suppkey") % count).cast("string")).alias("sys")).distinct()
 
 
-def sites(spark: SparkSession, d: str, count: int) -> DataFrame:
-    """sys, site, gamma: regions as sites, weighed by their customers' mean balance."""
+def sites(spark: SparkSession, d: str) -> DataFrame:
+    """sys, site, gamma: the regions as sites, weighed by their customers' mean balance."""
     c = table(spark, d, "customer").select("c_nationkey", "c_acctbal").join(table(spark, d, "nation").select("n_nationkey", "n_regionkey"), F.col("c_nationkey") == F.col("n_nationkey"))
-    g = c.groupBy(F.col("n_regionkey").alias("site")).agg((F.avg("c_acctbal") / 10000).alias("gamma")).where(F.col("site") < count)
-    return g.select(F.lit(f"chain{count}").alias("sys"), "site", F.abs("gamma").alias("gamma"))
+    g = c.groupBy(F.col("n_regionkey").alias("site")).agg((F.avg("c_acctbal") / 10000).alias("gamma"))
+    return g.select(F.lit("chain").alias("sys"), "site", F.abs("gamma").alias("gamma"))

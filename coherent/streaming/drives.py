@@ -38,6 +38,30 @@ def once(events: DataFrame, watermark: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def rescaled(windows: DataFrame, sys: str) -> DataFrame:
+    """sys, t0, t1, eps: a drive from windowed means, rescaled to [-1, 1] and timed in shares of its whole span."""
+    seconds = lambda c: F.unix_micros(F.col(c).cast("timestamp")) / 1e6
+    w = windows.select(seconds("t0").alias("a"), seconds("t1").alias("b"), "eps")
+    ends = w.agg(F.min("a").alias("lo"), F.max("b").alias("hi"), F.min("eps").alias("least"), F.max("eps").alias("most"))
+    span, width = F.col("hi") - F.col("lo"), F.col("most") - F.col("least")
+    scaled = F.when(width > 0, 2 * (F.col("eps") - F.col("least")) / width - 1).otherwise(0.0)
+    return w.crossJoin(ends).select(F.lit(sys).alias("sys"), ((F.col("a") - F.col("lo")) / span).alias("t0"), ((F.col("b") - F.col("lo")) / span).alias("t1"), scaled.alias("eps"))  # one row on the right
+
+
+def with_static(events: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """Each event (stream or batch) with its row of a static table, or nulls."""
+    return events.join(table, key, "left")
+
+
+def upsert(path: str, key: str):
+    """A sink for foreachBatch: each batch in a folder of its number, written over if it is tried again, so that a batch counts once."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{key}={number}")
+
+    return write
+
+
 def propagated(events: DataFrame, a0: np.ndarray, a1: np.ndarray, k: np.ndarray, hours_per_step: float = 6.0) -> DataFrame:
     """user_id, events, t, x: per user, the vector v carried from event to event under the drive's last value.
 
