@@ -506,6 +506,96 @@ def test_toxicity_learns_words(spark, empty):
     assert toxicity.fit(["a", "b"], [0, 0]) is None and toxicity.score(empty, net).count() == 0
 
 
+def plain_score(net, text):
+    """The score of one text by loops over words, apart from the operator's arrays."""
+    np, w, h = toxicity.np, net.w, toxicity.HIDDEN
+    words = []
+    for raw in re.findall(r"[^ \t-\r]+", (text or "").lower()):
+        words += toxicity.pieces(raw.strip(toxicity.MARKS))
+
+    def bins(word):
+        data = f"<{word}>".encode().ljust(max(toxicity.GRAMS), b"\0")
+        for n in toxicity.GRAMS:
+            for i in range(len(data) - n + 1):
+                x = n
+                for c in data[i : i + n]:
+                    x = ((x ^ c) * 16777619) % 2**32
+                yield (x ^ (x >> 15)) % toxicity.BINS
+
+    def row(word):
+        b = list(bins(word))
+        odds = [float(net.gram_odds[i]) for i in b]
+        return np.concatenate([w["word"][zlib.crc32(word.encode()) % toxicity.BINS], np.mean([w["gram"][i] for i in b], axis=0), [net.word_odds.get(word, 0.0), max(odds), sum(odds) / len(odds)]])
+
+    hard = lambda x: np.clip(0.25 * x + 0.5, 0, 1)
+
+    def direction(k, xs):
+        state, out = np.zeros(h), []
+        for x in xs:
+            own, rec = x @ w[f"in_{k}"] + w[f"in_b_{k}"], state @ w[f"rec_{k}"]
+            update, reset = hard(own[:h] + rec[:h]), hard(own[h : 2 * h] + rec[h : 2 * h])
+            state = state + (1 - update) * (np.tanh(own[2 * h :] + reset * rec[2 * h :]) - state)
+            out.append(state)
+        return out
+
+    def logit(some):
+        if not some:
+            return float(w["out_b"][0])
+        xs = [row(x) for x in some]
+        states = [np.concatenate(s) for s in zip(direction("f", xs), direction("b", xs[::-1])[::-1], strict=True)]
+        e = np.array([np.tanh(s @ w["att"] + w["att_b"]) @ w["att_v"] for s in states])
+        a = np.exp(e - e.max())
+        return float((a / a.sum()) @ np.array(states) @ w["out"] + w["out_b"][0])
+
+    starts = range(0, max(1, len(words) - toxicity.WINDOW + toxicity.STRIDE), toxicity.STRIDE)
+    return 1 / (1 + np.exp(-(max(logit(words[i : i + toxicity.WINDOW]) for i in starts) + net.shift)))
+
+
+def toxic_corpus(n, seed):
+    rng, texts, y = random.Random(seed), [], []
+    for i in range(n):
+        w = [rng.choice(WORDS) + rng.choice(["", ",", ".", "-x"]) for _ in range(rng.randrange(1, 90))]
+        if i % 4 == 0:
+            w.insert(rng.randrange(len(w)), rng.choice(["vilewort", "Badstuff!"]))
+        texts.append(" ".join(w))
+        y.append(int(i % 4 == 0))
+    return texts, y
+
+
+def test_toxicity_scores_by_hand():
+    texts, y = toxic_corpus(120, 5)
+    net = toxicity.fit(texts, y, epochs=1)
+    own = texts[:25] + ["", None, "a", "Ünïcode vilewort " * 30, "x" * 300, "\u00a0 \t\n!!"]
+    got, windows = net.score(pa.array(own))
+    assert got.tolist() == pytest.approx([plain_score(net, t) for t in own], abs=2e-4)
+    assert windows[-3] == 3 and windows[25] == 1
+
+
+def test_toxicity_gradients():
+    np = toxicity.np
+    net = toxicity.Network(np.random.default_rng(3))
+    net.w = {k: v.astype(np.float64) for k, v in net.w.items()}
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((7, 2 * toxicity.WORD_DIM + toxicity.STATS)) * 0.4
+    at, on = rng.integers(0, 7, (3, 5)), np.array([[1, 1, 1, 1, 1], [1, 1, 1, 0, 0], [1, 0, 0, 0, 0]], float)
+    weight = rng.standard_normal(3)
+    loss = lambda rows: float(weight @ net.forward(net.projected(rows), at, on))
+    keep = {}
+    net.forward(net.projected(x), at, on, keep)
+    grad, dx = net.backward(x, at, on, keep, weight)
+    assert set(grad) == set(net.w) - {"word", "gram"}
+    for target, exact in [(net.w[k], g) for k, g in grad.items()] + [(x, dx)]:
+        for i in map(tuple, rng.integers(0, target.shape, (12, target.ndim))):
+            was = target[i]
+            target[i] = was + 1e-3
+            up = loss(x)
+            target[i] = was - 1e-3
+            down = loss(x)
+            target[i] = was
+            # States travel in single precision.
+            assert exact[i] == pytest.approx((up - down) / 2e-3, abs=1e-2 + 1e-2 * abs(float(exact[i])))
+
+
 def test_toxicity_reads_whole_words():
     word = "".join(chr(97 + i * i % 23) for i in range(500)) + "ünïcode" * 9
     cut = toxicity.pieces(word)
@@ -548,6 +638,54 @@ def test_pipeline_stages(spark, tmp_path, docs):
     assert d.count() == before.count() and set(r.shard for r in d.select("shard").collect()) <= set(range(16))
 
 
+def test_pipeline_against_brute_force(spark, tmp_path):
+    """Planted toxic documents, copies and benchmark passages: each stage's decisions on its own input, one row at a time."""
+    import corpus_pipeline
+
+    texts, y = toxic_corpus(240, 6)
+    item = "Which of the seven old bridges over the wide river was built first by the monks"
+    rng = random.Random(7)
+    rows = [(i, t) for i, t in enumerate(texts)]
+    base = [" ".join(rng.choice(WORDS) + str(rng.randrange(90)) for _ in range(60)) for _ in range(6)]
+    for k, b in enumerate(base):
+        rows += [(300 + 10 * k, b), (301 + 10 * k, b), (302 + 10 * k, b + " tail"), (303 + 10 * k, base[k][:200] + " " + item + ".")]
+    rows += [(None, base[0]), (900, None), (901, ""), (301, base[0])]
+    docs = spark.createDataFrame([(i, t, "en", rng.choice(["a", "b", None]), len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    spark.createDataFrame([(i, 1, v) for i, v in enumerate(y)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    show = lambda rows: sorted((str(r.doc_id), r.text or "") for r in rows)
+    d, states = docs, {}
+    for name, stage in corpus_pipeline.STAGES:
+        d = common.durable(stage(spark, d, str(tmp_path)), name)
+        states[name] = d.collect()
+    before = docs.collect()
+    net = toxicity.learn(docs, common.table(spark, str(tmp_path), "labels"))
+    clear = [r for r in before if plain_score(net, r.text) < 0.5]
+    assert show(states["toxicity"]) == show(clear)
+    assert not any("vilewort" in (r.text or "") or "badstuff" in (r.text or "").lower() for r in clear) and len(clear) > 190
+    groups = linked([shingles(r.text) for r in clear])
+    key = lambda r: (r.doc_id is None, r.doc_id or 0)
+    least = {}
+    for g, r in zip(groups, clear, strict=True):
+        if g not in least or key(r) < key(least[g]):
+            least[g] = r
+    assert show(states["near_duplicates"]) == show(least.values())
+    assert show(states["decontamination"]) == show(r for r in least.values() if item not in (r.text or ""))
+    mixed = states["mixing"]
+    own = {(r.doc_id, r.text): r for r in states["decontamination"]}
+    times = {k: sum((r.doc_id, r.text) == k for r in mixed) for k in own}
+    assert all((r.doc_id, r.text) in own for r in mixed) and max(times.values()) <= 2
+    words = lambda t: len(re.findall(common.WORD, t or ""))
+    goal = mixing.targets([(s, sum(words(t) for (_, t), r in own.items() if r.source == s)) for s in {r.source for r in own.values()}])
+    for s, g in goal.items():
+        assert abs(sum(words(r.text) for r in mixed if r.source == s) - g) <= 2 * 90
+    assert len(states["sharding"]) == len(mixed)
+    counts = [sum(r.shard == k for r in states["sharding"]) for k in range(16)]
+    assert max(counts) - min(counts) <= 1
+    assert sorted((r.shard, r.slot) for r in states["sharding"]) == [(k, i) for k in range(16) for i in range(counts[k])]
+
+
 def test_stages_with_clashing_columns_and_repeated_rows(spark, tmp_path):
     import corpus_pipeline
 
