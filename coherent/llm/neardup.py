@@ -265,7 +265,8 @@ def keep_one(docs: DataFrame) -> DataFrame:
     plain = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
     doc, text = (F.col(f"c{docs.columns.index(c)}") for c in ("doc_id", "text"))
     on = (F.coalesce(doc.cast("long"), F.lit(LAST)) == F.col("_doc")) & (F.xxhash64(F.coalesce(text, F.lit(""))) == F.col("_h"))
-    out = plain.join(marks, on, "left_anti")
+    # The marks grow with the documents: joined by a merge at every size, never broadcast.
+    out = plain.join(marks.hint("merge"), on, "left_anti")
     often = marks.where("_stays and _often")
     if not often.isEmpty():
         whole = F.struct(*plain.columns)
