@@ -37,7 +37,11 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def fresh_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/coherent-llm/{tag}-{uuid.uuid4().hex}"
+    """A new path in the shared folder, deleted when the application ends."""
+    path = f"{shared_dir(spark)}/coherent-llm/{tag}-{uuid.uuid4().hex}"
+    there = spark._jvm.org.apache.hadoop.fs.Path(path)
+    there.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).deleteOnExit(there)
+    return path
 
 
 def durable(df: DataFrame, tag: str) -> DataFrame:

@@ -625,6 +625,44 @@ def test_toxicity_schedule_and_overlap(monkeypatch):
     assert all(any(a <= p and p + toxicity.WINDOW // 2 <= b for a, b in zip(first, last, strict=True)) for p in range(1000 - toxicity.WINDOW // 2 + 1))
 
 
+CLASHES = "_h h n k1 k2 node first slice anchor place packed covers wanted part gone _bucket _edge _sha _x base found _raw _t _w _text _hash _s _blocks _p _whole size target copies shard slot _f _rank _all _of score n_words c0 _doc _stays a.b".split()
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls in every column, repeated and null numbers, ties, empty and very long texts, with and without clashing columns."""
+    rng = random.Random(31)
+    long = " ".join(rng.choice(WORDS) + str(rng.randrange(999)) for _ in range(150_000))
+    rows = [(rng.choice([i, None, i // 2]), rng.choice([None, "", " ", "mit license a@b.co " * 3, f"text number {i} " * 9]), rng.choice([None, "en"]), rng.choice([None, "a", "b"]), rng.choice([None, 3])) for i in range(30)]
+    rows += [(3, "same row", "en", "a", 1)] * 3 + [(None, "no number", None, None, None)] * 2 + [(50, long, "en", "a", len(long))]
+    plain = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    return plain.select("*", *[F.lit(i).alias(c) for i, c in enumerate(CLASHES)]), plain
+
+
+RUNS = {
+    "licenses": licenses.scan, "fingerprints": fingerprint.compare_with_next, "mixing": mixing.mix, "near_duplicates": neardup.group, "personal_data": pii.scan,
+    "repeats": substrings.deduplicate, "sharding": sharding.interleave, "toxicity": lambda d: toxicity.score(d, toxicity.fit(["a bad one", "a good one"] * 9, [1, 0] * 9, epochs=1)),
+}
+
+
+@pytest.mark.parametrize("name", RUNS)
+def test_odd_tables(odd, name):
+    wide, plain = odd
+    got, want = (sorted(map(str, RUNS[name](d).collect())) for d in (wide, plain))
+    assert got == want and len(got) == plain.count()
+
+
+def test_odd_pages(spark):
+    big = "<p>" + "word " * 300_000
+    rows = [(1, None, big), (1, "u", big), (None, "u", big), (None, None, None), (2, "u", "x"), (2, "u", "x"), (None, "n", "y" * 2000), (7, "v", big)]
+    df = spark.createDataFrame([(*r, 1, 2, 3, 4) for r in rows], "page_id long, url string, html string, _bucket int, _digest int, _size int, file int")
+    root = common.fresh_path(spark, "odd-pages")
+    warc.write(df, root)
+    got = sorted((r.page_id or 0, r.payload_bytes, r.record_type, r.refers_to or 0, r.intact) for r in warc.read(spark, root).collect())
+    size = len(big)
+    assert got == sorted([(1, size, "revisit", 7, True), (1, size, "revisit", 7, True), (0, size, "response", 0, True), (0, 0, "response", 0, True), (2, 1, "response", 0, True), (2, 1, "response", 0, True), (0, 2000, "response", 0, True), (7, size, "response", 0, True)])
+
+
 def test_pipeline_stages(spark, tmp_path, docs):
     import corpus_pipeline
 
