@@ -383,3 +383,17 @@ def test_diagonal_planes_are_dealt_out(spark):
     n = 24
     counts = structure.tensor(spark, n).groupBy(F.spark_partition_id().alias("p")).agg(F.sum((F.col("m") > n * (n - 1)).cast("int")).alias("rows")).where("rows > 0").collect()
     assert max(r.rows for r in counts) < 0.5 * sum(r.rows for r in counts)
+
+
+def test_dimer_of_more_levels_than_int_products_hold(spark):
+    from coherent.plans import queries
+
+    n = 1_200_000
+    lv = spark.createDataFrame([("x", k) for k in (1, 317_333, n)], "sys string, level int")
+    h0, _, jump = models.dimer(lv, n)
+    got = as_dict(h0.where("row = col"), "row", value="re")
+    b, inter = n - 1, lambda t, o: 2 * models.U / (n - 1) * (o * (o - 1) + t * (t - 1)) + models.E * (t - o)
+    assert got == {1: inter(0, b), 317_333: inter(317_332, b - 317_332), n: inter(b, 0)}
+    # Cells are rounded as the SQL rounds: scaled first. Decimal rounding takes this one, 529244.1469785 as printed, up.
+    hop = math.sqrt(317_333.0 * (b - 317_332))
+    assert as_dict(queries._op_rows(jump), "row", "col", value="re")[317_334, 317_333] == math.floor(hop * 1e6 + 0.5) / 1e6 == 529244.146978
