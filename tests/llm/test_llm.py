@@ -464,6 +464,18 @@ def test_decontamination(spark, docs, empty):
     assert decontamination.find(empty, bench).count() == 0 and decontamination.find(docs, bench.where("1 = 0")).count() == 0
 
 
+def test_decontamination_hands_its_keys_over_as_one_literal(spark):
+    """The driver's memory: literals by one call each, twice a key, and both kept and printed with every plan."""
+    text = lambda k: " ".join(WORDS[(k * 7 + i * i) % len(WORDS)] + "abcdefghij"[(k + i) % 10] for i in range(12))
+    bench = spark.createDataFrame([(i, text(i)) for i in range(1, 31)], "item_id long, text string")
+    texts = spark.createDataFrame([(k, text(k) + " and more") for k in (3, 17)] + [(99, "nothing of it")], "doc_id long, text string")
+    pairs = decontamination._copies(texts, bench)
+    plan = pairs._jdf.queryExecution().analyzed().toString()
+    keys = [r[0] for r in decontamination.item_windows(bench).select("_hash").distinct().collect()]
+    assert len(keys) > 100 and max(plan.count(str(h)) for h in keys) == 1
+    assert {(r.doc_id, r.item_id) for r in pairs.collect()} >= {(3, 3), (17, 17)} and pairs.where("doc_id = 99").count() == 0
+
+
 def test_decontamination_of_null_and_repeated_numbers(spark):
     item = "Which of the many old bridges over the river is the longest one in town"
     bench = spark.createDataFrame([(1, item), (1, item), (None, None)], "item_id long, text string")
