@@ -397,3 +397,19 @@ def test_dimer_of_more_levels_than_int_products_hold(spark):
     # Cells are rounded as the SQL rounds: scaled first. Decimal rounding takes this one, 529244.1469785 as printed, up.
     hop = math.sqrt(317_333.0 * (b - 317_332))
     assert as_dict(queries._op_rows(jump), "row", "col", value="re")[317_334, 317_333] == math.floor(hop * 1e6 + 0.5) / 1e6 == 529244.146978
+
+
+def _on_tables(spark, name, folder=D):
+    """The query's result, which comes from files that Spark reads."""
+    from coherent.plans import queries
+
+    df = queries.QUERIES[name](spark, folder)
+    assert df.inputFiles()
+    return df
+
+
+def test_alpha_plane_of_the_flow(spark):
+    from coherent.plans import queries
+
+    terms = _on_tables(spark, "alpha_plane").groupBy("s", "n").agg(F.sum(F.expr("re*alpha")).alias("x"))
+    assert validate.compare(terms, queries.QUERIES["drift_tensor"](spark, D), ["s", "n"]).first().largest < 1e-5
