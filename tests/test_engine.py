@@ -413,3 +413,12 @@ def test_alpha_plane_of_the_flow(spark):
 
     terms = _on_tables(spark, "alpha_plane").groupBy("s", "n").agg(F.sum(F.expr("re*alpha")).alias("x"))
     assert validate.compare(terms, queries.QUERIES["drift_tensor"](spark, D), ["s", "n"]).first().largest < 1e-5
+
+
+def test_basis_gram_of_the_flow(spark):
+    """Its sum is the squared norm of the traceless part of the Hamiltonian."""
+    from coherent.plans import queries
+
+    g, h = _on_tables(spark, "basis_gram").collect(), queries.QUERIES["flow_h"](spark, D).collect()
+    trace = sum(r.re for r in h if r.row == r.col)
+    assert all(r.i == r.j for r in g) and sum(r.re for r in g) == pytest.approx(sum(r.re**2 + r.im**2 for r in h) - trace**2 / 5, abs=1e-4)
