@@ -422,3 +422,12 @@ def test_basis_gram_of_the_flow(spark):
     g, h = _on_tables(spark, "basis_gram").collect(), queries.QUERIES["flow_h"](spark, D).collect()
     trace = sum(r.re for r in h if r.row == r.col)
     assert all(r.i == r.j for r in g) and sum(r.re for r in g) == pytest.approx(sum(r.re**2 + r.im**2 for r in h) - trace**2 / 5, abs=1e-4)
+
+
+def test_beta_plane_of_the_flow(spark):
+    from coherent.plans import queries
+
+    got = _on_tables(spark, "beta_plane").collect()
+    own = {r.idx: (r.re, r.im) for r in queries.QUERIES["expand_jump"](spark, D).collect()}
+    assert {r.m: (r.re, r.im) for r in got} == own
+    assert len(got) == structure.beta(spark, 5).where(F.col("m").isin(*own)).count()
