@@ -431,3 +431,9 @@ def test_beta_plane_of_the_flow(spark):
     own = {r.idx: (r.re, r.im) for r in queries.QUERIES["expand_jump"](spark, D).collect()}
     assert {r.m: (r.re, r.im) for r in got} == own
     assert len(got) == structure.beta(spark, 5).where(F.col("m").isin(*own)).count()
+
+
+def test_contraction_tuples_of_jumps(spark):
+    full = spark.range(1, 9).select(F.lit("x").alias("sys"), F.lit(0).alias("op"), F.col("id").alias("idx"))
+    assert measures.contraction_tuples(spark, 3, full).first().tuples == measures.contraction_tuples(spark, 3).first().tuples
+    assert _on_tables(spark, "contraction_tuples").columns == ["op", "tuples"]
