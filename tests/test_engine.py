@@ -437,3 +437,12 @@ def test_contraction_tuples_of_jumps(spark):
     full = spark.range(1, 9).select(F.lit("x").alias("sys"), F.lit(0).alias("op"), F.col("id").alias("idx"))
     assert measures.contraction_tuples(spark, 3, full).first().tuples == measures.contraction_tuples(spark, 3).first().tuples
     assert _on_tables(spark, "contraction_tuples").columns == ["op", "tuples"]
+
+
+def test_dense_tensor_count_of_turns(spark):
+    from coherent.plans import queries
+
+    own = {}
+    for r in queries.QUERIES["qutrit_expand"](spark, D).collect():
+        own[r.op] = own.get(r.op, 0) + 64
+    assert as_dict(_on_tables(spark, "dense_tensor_count"), "op", value="entries") == own
